@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import mixing, ngram_join, packing, token_files, url_filter
+from . import mixing, ngram_join, packing, token_files, url_filter, vector_dedup
 from .shared import table
 
 
@@ -30,6 +30,10 @@ def op6_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.round_trip(table(spark, sf_dir, "documents"), tokenizer_path("word_bpe_49k.json"), end_id=2)
 
 
+def op7_vector_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return vector_dedup.near_duplicates(table(spark, sf_dir, "embeddings"), cosine=0.93)
+
+
 def op9_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.judge_urls(table(spark, sf_dir, "pages"), URL_RULES)
 
@@ -42,6 +46,7 @@ QUERIES = {
     "op1_ngram_jaccard_join": op1_ngram_jaccard_join,
     "op4_best_fit_packing": op4_best_fit_packing,
     "op6_token_files": op6_token_files,
+    "op7_vector_near_duplicates": op7_vector_near_duplicates,
     "op9_url_filter": op9_url_filter,
     "op10_source_mixing": op10_source_mixing,
 }

@@ -101,24 +101,30 @@ def span_hashes(part: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nd
     return mix64((sums[ends] - sums[starts]) * back[starts] + (ends - starts).astype(np.uint64))
 
 
-def hashed_words(column: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
-    """(first text, past last text, word borders of these texts, word hashes), each text whole."""
+def hashed_spans(column: pa.Array, prefixes: tuple[int, ...] = ()) -> Iterator[tuple[int, int, np.ndarray, list[np.ndarray]]]:
+    """(first text, past last text, word borders of these texts, hashes of the words and of their prefixes), each text whole."""
     raw, offsets = bytes_and_offsets(column)
-    held: list[np.ndarray] = []
+    held: list[list[np.ndarray]] = []
     for i, j, a, b in slices(raw, offsets):
         part = raw[a:b]
         cuts = np.clip(offsets[i : j + 1], a, b) - a
         starts, ends, borders = word_spans(part, cuts)
-        hashes = span_hashes(part, starts, ends)
+        hashes = [span_hashes(part, starts, ends)] + [span_hashes(part, starts, np.minimum(ends, starts + n)) for n in prefixes]
         if j == i + 1 and (b < offsets[j] or held):  # a piece of a long text
             held.append(hashes)
             if b < offsets[j]:
                 continue
-            hashes, held = np.concatenate(held), []
-            borders = np.array([0, len(hashes)])
+            hashes, held = [np.concatenate(x) for x in zip(*held, strict=True)], []
+            borders = np.array([0, len(hashes[0])])
         yield i, j, borders, hashes
 
 
+def hashed_words(column: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+    """(first text, past last text, word borders of these texts, word hashes), each text whole."""
+    for i, j, borders, hashes in hashed_spans(column):
+        yield i, j, borders, hashes[0]
+
+
 COMBINE = (
     np.uint64(0x9FB21C651E98DF25), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0x165667B19E3779F9),
     np.uint64(0xD1B54A32D192ED03), np.uint64(0x8CB92BA72F3D8DD7), np.uint64(0xAAAAAAAB5EEDBEEF),

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import mixing, ngram_join, packing, progressive_jpeg, quality, token_files, toxicity, url_filter, vector_dedup
+from . import maxent_lm, mixing, ngram_join, packing, progressive_jpeg, quality, token_files, toxicity, url_filter, vector_dedup
 from .shared import table
 
 
@@ -15,6 +15,10 @@ def op1_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 URL_RULES = [url_filter.Rule(v, k) for v, k in (("block", "com/en/"), ("allow", "example.com/en/7"), ("allow", "net/de/"), ("block", "example.net/de/8"), ("block", "org/es/"))]
 
 
+def op2_maxent_lm_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return maxent_lm.score_texts(table(spark, sf_dir, "documents"))
+
+
 def tokenizer_path(name: str) -> str:
     """Place of a public vocabulary file; the package that has them is on every machine."""
     import public_tokenizers
@@ -56,6 +60,7 @@ def op10_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {
     "op1_ngram_jaccard_join": op1_ngram_jaccard_join,
+    "op2_maxent_lm_scores": op2_maxent_lm_scores,
     "op3_progressive_jpeg": op3_progressive_jpeg,
     "op4_best_fit_packing": op4_best_fit_packing,
     "op5_quality_classifier": op5_quality_classifier,

@@ -102,14 +102,16 @@ def span_hashes(part: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nd
 
 
 def hashed_spans(column: pa.Array, prefixes: tuple[int, ...] = ()) -> Iterator[tuple[int, int, np.ndarray, list[np.ndarray]]]:
-    """(first text, past last text, word borders of these texts, hashes of the words and of their prefixes), each text whole."""
+    """(first text, past last text, word borders of these texts, hashes of the words and of their first n (negative: last -n) bytes), each text whole."""
     raw, offsets = bytes_and_offsets(column)
     held: list[list[np.ndarray]] = []
     for i, j, a, b in slices(raw, offsets):
         part = raw[a:b]
         cuts = np.clip(offsets[i : j + 1], a, b) - a
         starts, ends, borders = word_spans(part, cuts)
-        hashes = [span_hashes(part, starts, ends)] + [span_hashes(part, starts, np.minimum(ends, starts + n)) for n in prefixes]
+        hashes = [span_hashes(part, starts, ends)]
+        for n in prefixes:
+            hashes.append(span_hashes(part, starts, np.minimum(ends, starts + n)) if n > 0 else span_hashes(part, np.maximum(starts, ends + n), ends))
         if j == i + 1 and (b < offsets[j] or held):  # a piece of a long text
             held.append(hashes)
             if b < offsets[j]:

@@ -39,8 +39,8 @@ def source_targets(sizes: DataFrame, weights: Sequence[float], share: float, mos
     """sizes (source, size) -> source, source_size, target: one row per source.
 
     Sources are ordered by code point (null last) and take the weights in turn. Filling by weight up to the caps
-    stops at one water level: sorted by cap over weight, the first k are full, where k is the least number for which
-    the rest's level stays below the next one's cap over weight.
+    stops at one water level. Sorted by cap over weight, with the first k taken as full, the others' level grows with k
+    up to the right k and falls from there, so the water level is the largest.
     """
     per_source = sizes.groupBy("source").agg(F.sum("size").alias("source_size"))
     order = Window.orderBy(F.col("source").asc_nulls_last())
@@ -52,9 +52,8 @@ def source_targets(sizes: DataFrame, weights: Sequence[float], share: float, mos
     after = by_level.rowsBetween(0, Window.unboundedFollowing)
     everything = Window.partitionBy()
     levels = weighed.withColumn("level", (F.lit(share) * F.sum("source_size").over(everything) - F.coalesce(F.sum("cap").over(before), F.lit(0.0))) / F.sum("weight").over(after))
-    level = F.min(F.when(F.col("level") * F.col("weight") <= F.col("cap"), F.col("level"))).over(everything)
-    full = F.col("cap")
-    return levels.withColumn("water", level).select("source", "source_size", F.least(full, F.coalesce(F.col("water") * F.col("weight"), full)).alias("target"))
+    water = F.max("level").over(everything)
+    return levels.withColumn("water", water).select("source", "source_size", F.least(F.col("cap"), F.col("water") * F.col("weight")).alias("target"))
 
 
 def _copies(rows: DataFrame, sizes: DataFrame, weights: Sequence[float], share: float, most: float, seed: str) -> DataFrame:

@@ -102,7 +102,7 @@ levels as (
       / sum(weight) over (order by cap / weight, source nulls last rows between current row and unbounded following) as level from weighed),
 targets as (
   select source, source_size,
-    least(cap, coalesce(min(case when level * weight <= cap then level end) over () * weight, cap)) as target from levels),
+    least(cap, max(level) over () * weight) as target from levels),
 rated as (
   select d.doc_id, d.size, t.source_size, t.target, case when t.source_size > 0 then t.target / t.source_size else 0 end as rate,
     ('0x' || substr(md5(coalesce(d.doc_id::varchar, '') || ':mix'), 1, 13))::bigint::double / 4503599627370496.0::double as u

@@ -8,9 +8,9 @@ two linked documents agree in at least 1 + e of them. A piece (as a 64-bit code
 that it is the XOR of the codes of the shingles that fall into it) is the key of an equi-join; candidates
 pass a whole-sketch Hamming test and an exact intersection of their shingle sets.
 
-Groups of copies are never expanded into pairs. Equal sets become one class; each key links its members to
-its smallest member only, and members that the verified links don't yet connect are paired afterwards, until
-no key holds two components with an untested pair. Components come from star contractions.
+Groups of copies are never expanded into pairs. Equal sets become one class; each key tests its members against
+one of them, a different one for each key, and only members that the verified links don't connect are paired
+afterwards, so that no key holds two components with an untested pair. Components come from star contractions.
 
 Results for odd input: a null or empty text, or one without words, has no shingles and links with nothing; a
 null doc_id is returned with its own size and a null component; rows that repeat a doc_id are one node that
@@ -212,45 +212,61 @@ def jaccard_components(docs: DataFrame, k: int = 5, num: int = 4, den: int = 5)
     reps = classes.select(F.col("rep").alias("doc_id")).distinct()
     kept = filled.join(reps, "doc_id", "left_semi")
     rows = kept.select("doc_id", F.explode("keys").alias("key"))
-    span = rows.groupBy("key").agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high")).where("low <> high")
-    buckets = materialize(rows.join(span.select("key", "low"), "key").distinct(), "buckets")
+    # the member nearest to the key in XOR distance is the hub: another one for each key
+    spot = F.col("doc_id").bitwiseXOR(F.col("key"))
+    span = rows.groupBy("key").agg(F.min(spot).alias("low"), F.max(spot).alias("high")).where("low <> high")
+    hubs = span.select("key", F.col("low").bitwiseXOR(F.col("key")).alias("hub"))
+    buckets = materialize(rows.join(hubs, "key").distinct(), "buckets")
     marks = filled.join(buckets.select("doc_id").distinct(), "doc_id", "left_semi").select("doc_id", "n", "sketch").dropDuplicates(["doc_id", "n", "sketch"])
     marks = materialize(marks, "sketches")
 
-    def near(pairs: DataFrame) -> DataFrame:
-        """Pairs that the sketches don't rule out: Hamming distance is at most the symmetric difference."""
-        u = marks.select(F.col("doc_id").alias("u"), F.col("n").alias("nu"), F.col("sketch").alias("ku"))
-        v = marks.select(F.col("doc_id").alias("v"), F.col("n").alias("nv"), F.col("sketch").alias("kv"))
-        apart = sum(F.bit_count(F.col("ku")[i].bitwiseXOR(F.col("kv")[i])) for i in range(WORDS))
-        most = F.floor((F.col("nu") + F.col("nv")) * (den - num) / (den + num))
-        sizes = (F.least("nu", "nv") * den >= F.greatest("nu", "nv") * num)
-        return pairs.join(u, "u").join(v, "v").where(sizes & (apart <= most)).select("u", "v").distinct()
-
-    stars = materialize(near(buckets.where("doc_id <> low").select(F.col("low").alias("u"), F.col("doc_id").alias("v")).distinct()), "pairs")
-    bits = _id_filter(stars.select(F.explode(F.array("u", "v")).alias("doc_id")).distinct())
-    sets = materialize(texts.mapInArrow(_sets(k, bits), "doc_id long, shingles array<long>"), "sets")
+    def possible(nu, nv, ku, kv):
+        """What sizes and sketches don't rule out: Hamming distance is at most the symmetric difference."""
+        apart = sum(F.bit_count(F.col(ku)[i].bitwiseXOR(F.col(kv)[i])) for i in range(WORDS))
+        most = F.floor((F.col(nu) + F.col(nv)) * (den - num) / (den + num))
+        return (F.least(nu, nv) * den >= F.greatest(nu, nv) * num) & (apart <= most)
+
+    left = [F.col("n").alias("nu"), F.col("sketch").alias("ku")]
+    right = [F.col("n").alias("nv"), F.col("sketch").alias("kv")]
+
+    def stars(members: DataFrame) -> DataFrame:
+        """Links between hubs and members (key, doc_id, hub)."""
+        pairs = members.where("doc_id <> hub").select(F.least("hub", "doc_id").alias("u"), F.greatest("hub", "doc_id").alias("v")).distinct()
+        pairs = pairs.join(marks.select(F.col("doc_id").alias("u"), *left), "u").join(marks.select(F.col("doc_id").alias("v"), *right), "v")
+        return materialize(pairs.where(possible("nu", "nv", "ku", "kv")).select("u", "v").distinct(), "pairs")
+
+    def verified(pairs: DataFrame) -> DataFrame:
+        bits = _id_filter(pairs.select(F.explode(F.array("u", "v")).alias("doc_id")).distinct())
+        sets = materialize(texts.mapInArrow(_sets(k, bits), "doc_id long, shingles array<long>"), "sets")
+        found = materialize(_verified(pairs, sets, bands), "links")
+        discard(sets)
+        return found
+
+    def unconnected(members: DataFrame, labels: DataFrame) -> DataFrame:
+        """Members (key, doc_id, component, base) of the keys that still hold several components, base being one of them."""
+        member = members.join(labels.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("key", "doc_id", F.coalesce("component", "doc_id").alias("component"))
+        split = member.groupBy("key").agg(F.min("component").alias("base"), F.max("component").alias("top")).where("base <> top").select("key", "base")
+        return materialize(member.join(split, "key"), "open")
+
     # rows that repeat a doc_id with other texts tie their classes together
-    tied = known.where("n > 0").join(classes, ["n", "print_a", "print_b"]).select("doc_id", "rep")
+    tied = filled.join(classes, ["n", "print_a", "print_b"]).select("doc_id", "rep")
     ties = tied.groupBy("doc_id").agg(F.min("rep").alias("u"), F.max("rep").alias("v")).where("u <> v")
     ties = tied.join(ties.select("doc_id", "u"), "doc_id").select("u", F.col("rep").alias("v"))
-    links = materialize(_verified(stars, sets, bands).unionByName(ties).distinct(), "links")
-    discard(sets)
+    first = stars(buckets)
+    links = materialize(verified(first).unionByName(ties).distinct(), "links")
     labels = connected_components(links)
-    # keys whose members aren't connected yet: pair members of different components
-    member = buckets.join(labels.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("key", "doc_id", "low", F.coalesce("component", "doc_id").alias("component"))
-    split = member.groupBy("key").agg(F.min("component").alias("base"), F.max("component").alias("top")).where("base <> top").select("key", "base")
-    open_ = materialize(member.join(split, "key").where("doc_id <> low").select("key", "doc_id", "component", "base"), "open")
-    other = open_.select("key", F.col("doc_id").alias("v"), F.col("component").alias("cv"))
-    stray = open_.where("component <> base").select("key", F.col("doc_id").alias("u"), F.col("component").alias("cu"))
-    rest = stray.join(other, "key").where("cu <> cv").select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).distinct()
-    rest = materialize(near(rest), "pairs")
-    more = rest.select(F.explode(F.array("u", "v")).alias("doc_id")).distinct()
-    if more.limit(1).count():
-        sets = materialize(texts.mapInArrow(_sets(k, _id_filter(more)), "doc_id long, shingles array<long>"), "sets")
-        links = materialize(links.unionByName(_verified(rest, sets, bands)).distinct(), "links")
-        discard(sets)
+    # members of different components are paired, where the sketches don't rule them out
+    open_ = unconnected(buckets, labels)
+    marked = open_.join(marks, "doc_id")
+    stray = marked.where("component <> base").select("key", F.col("doc_id").alias("u"), F.col("component").alias("cu"), *left)
+    other = marked.select("key", F.col("doc_id").alias("v"), F.col("component").alias("cv"), *right)
+    rest = stray.join(other, (stray["key"] == other["key"]) & (F.col("cu") != F.col("cv")) & possible("nu", "nv", "ku", "kv"))
+    rest = rest.select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).distinct().join(first, ["u", "v"], "left_anti")
+    rest = materialize(rest, "pairs")
+    if rest.limit(1).count():
+        links = materialize(links.unionByName(verified(rest)).distinct(), "links")
         labels = connected_components(links)
-    discard(buckets, marks, stars, open_, rest)
+    discard(buckets, marks, first, open_, rest)
     of_class = classes.join(labels.withColumnRenamed("node", "rep"), "rep", "left").select("n", "print_a", "print_b", F.coalesce("component", "rep").alias("component"))
     own = prints.select("doc_id", "n", "print_a", "print_b").join(of_class, ["n", "print_a", "print_b"], "left")
     return own.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "doc_id")).alias("component_id"))

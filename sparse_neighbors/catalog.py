@@ -2,5 +2,7 @@
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLES: dict[str, str] = {}
+from .queries import joins, relational, streams
+
+QUERIES = {**joins.QUERIES, **relational.QUERIES, **streams.QUERIES}
+ORACLES = {**joins.ORACLES, **relational.ORACLES, **streams.ORACLES}

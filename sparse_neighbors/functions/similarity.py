@@ -33,9 +33,7 @@ def probe_dot(a: Column, b: Column, kind: str = "bigint") -> Column:
     return F.aggregate(b, F.lit(0).cast(kind), lambda total, x: total + F.coalesce(F.try_element_at(a, x["d"]) * x["w"], F.lit(0)).cast(kind))
 
 
-@F.arrow_udf("bigint")
-def merge_dot_arrow(a: pa.Array, b: pa.Array) -> pa.Array:
-    """Dot product of packed arrays with whole weights and numeric dimensions, by sorted intersection."""
+def _merge_arrays(a: pa.Array, b: pa.Array) -> pa.Array:
     out = []
     for x, y in zip(a, b, strict=True):
         dx, dy = (np.asarray(v.values.field("d")) for v in (x, y))
@@ -45,6 +43,15 @@ def merge_dot_arrow(a: pa.Array, b: pa.Array) -> pa.Array:
     return pa.array(out, pa.int64())
 
 
+def merge_dot_arrow(a: str, b: str) -> Column:
+    """Dot product of packed columns with whole weights and numeric dimensions, by sorted intersection in Arrow batches."""
+
+    def run(x: pa.Array, y: pa.Array) -> pa.Array:
+        return _merge_arrays(x, y)
+
+    return F.arrow_udf(run, "bigint")(a, b)
+
+
 def join_dot(r: DataFrame, s: DataFrame) -> DataFrame:
     """(r_id, s_id, score) of all pairs that share a dimension; products are added where they arise, then by pair."""
     left = r.select(F.col("id").alias("r_id"), "d", F.col("w").alias("rw"))

@@ -65,5 +65,5 @@ def knn_join(
 def explain_join(r: DataFrame, s: DataFrame) -> DataFrame:
     """What each method would cost and which one `auto` takes."""
     plan = plan_blocks(r, s)
-    named = costs.summary(r, s).withColumn("c2", costs.C2).withColumn("c3", costs.C3)
+    named = costs.summary(r, s).withColumn("c2", F.expr(costs.C2)).withColumn("c3", F.expr(costs.C3))
     return named.select(F.lit(choose_strategy(r, s)).alias("method"), "c2", "c3", (F.col("products") * PARTIAL_SUM_BYTES).alias("shuffle_bytes"), F.lit(plan.io_pages).alias("pages"), F.lit(plan.r_blocks).alias("r_blocks"), F.lit(plan.s_blocks).alias("s_blocks"))

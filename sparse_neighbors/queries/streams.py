@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegerType
 
 from ..functions import vectors as V
 from ..functions.similarity import join_dot
@@ -43,12 +44,12 @@ query("st_session", "with g as (select user_id, ts, case when ts - lag(ts) over
 @query("st_late", "select 0 as late_rows")
 def st_late(s: SparkSession, d: str) -> DataFrame:
     """Rows older than the watermark after a newer file was read don't reach the windows they belong to."""
-    e = table(s, d, "events").select("event_id", "ts")
+    e = table(s, d, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"))
     path = new_path(s, "late")
     e.where("ts >= timestamp '2024-01-10'").coalesce(1).write.parquet(f"{path}/part=1")
     e.where("ts >= timestamp '2024-01-20'").coalesce(1).write.parquet(f"{path}/part=2")
     e.where("ts < timestamp '2024-01-05'").coalesce(1).write.parquet(f"{path}/part=3")
-    stream = s.readStream.schema(e.schema.add("part", "int")).option("maxFilesPerTrigger", 1).parquet(path)
+    stream = s.readStream.schema(e.schema.add("part", IntegerType())).option("maxFilesPerTrigger", 1).parquet(path)
     windows = stream.withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 day")).agg(F.count("*").alias("n"))
     out = streams.collect_stream(windows, "append")
     return out.where(F.col("window")["start"] < "2024-01-05").agg(F.count("*").cast("int").alias("late_rows"))
@@ -57,14 +58,14 @@ def st_late(s: SparkSession, d: str) -> DataFrame:
 @query("st_dedup", "select user_id, count(*) as n from events group by 1")
 def st_dedup(s: SparkSession, d: str) -> DataFrame:
     """Every event arrives twice and counts once."""
-    e = table(s, d, "events").select("event_id", "user_id", "ts")
+    e = table(s, d, "events").select("event_id", "user_id", F.col("ts").cast("timestamp").alias("ts"))
     stream = streams.stream_of(s, e.unionAll(e), 1)
     return streams.collect_stream(stream.withWatermark("ts", "40 days").dropDuplicatesWithinWatermark(["event_id"]), "append").groupBy("user_id").agg(F.count("*").alias("n"))
 
 
 @query("st_stream_join", "select a.event_id as click_id, b.event_id as purchase_id from events a join events b on a.user_id = b.user_id and a.event_type = 'click' and b.event_type = 'purchase' and b.ts >= a.ts and b.ts <= a.ts + interval 1 hour")
 def st_stream_join(s: SparkSession, d: str) -> DataFrame:
-    e = _events(s, d, 1)
+    e = _events(s, d, 1).withColumn("ts", F.col("ts").cast("timestamp"))
     a = e.where("event_type = 'click'").select(F.col("user_id").alias("u"), F.col("ts").alias("click_ts"), F.col("event_id").alias("click_id")).withWatermark("click_ts", "2 hours")
     b = e.where("event_type = 'purchase'").select("user_id", "ts", F.col("event_id").alias("purchase_id")).withWatermark("ts", "2 hours")
     joined = a.join(b, F.expr("u = user_id and ts >= click_ts and ts <= click_ts + interval 1 hour"))

@@ -26,6 +26,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import BinaryType, IntegerType, StructField, StructType
 
 from .shared import prepare_workers
 
@@ -573,7 +574,7 @@ def store_texts(docs: DataFrame) -> DataFrame:
 def decode_column(media: DataFrame, column: str = "media") -> DataFrame:
     """media plus height, width and rgb (the tensor's bytes in row order) of a column of JPEG files; null for a null file."""
     prepare_workers(media.sparkSession)
-    schema = media.schema.add("height", "int").add("width", "int").add("rgb", "binary")
+    schema = StructType([*media.schema, StructField("height", IntegerType()), StructField("width", IntegerType()), StructField("rgb", BinaryType())])
 
     def run(batches):
         basis = _basis()

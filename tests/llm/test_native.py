@@ -63,7 +63,7 @@ def fill(sizes, weights, share, most):
 
 @pytest.fixture(scope="module")
 def docs(spark):
-    rows = [(i, "w " * (i % 40), f"s{i * i % 7}" if i % 11 else None, 1) for i in range(600)] + [(None, "a b", "é", 2), (7, None, "empty", 3), (8, "x\x0by\u00a0z", "s1", 4), (8, "x y z", "s1", 4)]
+    rows = [(i, "w " * (i % 40), f"s{i * i % 7}" if i % 11 else None, 1) for i in range(600)] + [(None, "a b", "é", 2), (607, None, "empty", 3), (8, "x\x0by\u00a0z", "s1", 4), (8, "x y z", "s1", 4)]
     return spark.createDataFrame(rows, "doc_id long, text string, source string, size int")
 
 

@@ -70,8 +70,8 @@ def test_plans_fill_sequences(seed):
     for own in place.values():
         own.sort()
         assert [o for o, _ in own] == [0, *np.cumsum([n for _, n in own])[:-1].tolist()] and sum(n for _, n in own) <= 100
-    least = -(-int(lengths.sum()) // 100)
-    assert len(place) == plan.sequences <= (least * 1.01 + 1 if seed else -(-999 // 14))
+    least = max(-(-int(lengths.sum()) // 100), int((lengths > 50).sum()))
+    assert len(place) == plan.sequences <= (least * 1.03 if seed else -(-999 // 14))
 
 
 def test_token_files_round_trip(spark, docs):
@@ -85,7 +85,10 @@ def test_token_files_round_trip(spark, docs):
         ids = np.array([*plain.encode(r.text or "", add_special_tokens=False).ids, 2], "<u4")
         want.append((-1 if r.doc_id is None else r.doc_id, start, len(ids), zlib.crc32(ids.tobytes())))
         start += len(ids)
-    assert sorted(map(tuple, got.fillna({"doc_id": -1}).astype(int).itertuples(index=False))) == sorted(want)
+    got = got.fillna({"doc_id": -1}).astype(int).sort_values("start")
+    free = lambda rows: sorted((d, n, crc) for d, _, n, crc in rows)  # noqa: E731  rows of one id come in any order
+    assert free(got.itertuples(index=False)) == free(want) and got.doc_id.is_monotonic_increasing
+    assert got.start.tolist() == (got.n_tokens.cumsum() - got.n_tokens).tolist()
     assert token_files.round_trip(docs.where("false"), path, 2).count() == 0
 
 

@@ -63,6 +63,7 @@ def statistics(column: pa.Array) -> np.ndarray:
         hashes = span_hashes(part, starts, ends)
         again = np.zeros(len(starts), bool)
         again[1:] = hashes[1:] == hashes[:-1]
+        again[borders[:-1][np.diff(borders) > 0]] = False
         columns = (np.ones(len(size)), size, size > 18, size == 1, (big > 1) & (2 * big >= size), odd > 0, odd == size, again)
         for c, values in enumerate(columns):
             words[i:j, c] += np.diff(np.concatenate([[0.0], np.cumsum(values)])[borders])

@@ -100,7 +100,7 @@ def test_statistics_count_whole_texts(monkeypatch):
     cut = quality.statistics(texts)
     assert np.allclose(whole[:3], cut[:3])
     assert np.allclose(whole[3, :18], cut[3, :18], rtol=0.01)  # what spans two slices, such as a repeated word, isn't seen there
-    each = [quality.statistics(pa.array([t]))[0] for t in texts.to_pylist()]
+    each = [quality.statistics(pa.array([t], pa.string()))[0] for t in texts.to_pylist()]
     assert np.allclose(cut, each)  # neighbours in a batch don't matter
     assert not whole[1].any() and not whole[2].any()
 

@@ -26,11 +26,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .labelled import remainder, sample_texts
-from .shared import materialize, prepare_workers
+from .shared import discard, materialize, prepare_workers
 from .textscan import hashed_spans, mix64
 
 SAMPLE = {1: 8_000, 0: 12_000}
-MOST_KEYS = 300_000  # per level, those in most documents
+MOST_KEYS = 100_000  # per level, those in most documents
 LEAST_DOCS = 3
 LETTERS = (6, 3)
 DISCOUNT = 0.75
@@ -140,10 +140,11 @@ def _counts(rows: DataFrame, key: str, step: int, kinds: bool) -> Counts:
     else:
         kept = kept.select(key, "n0", "n1", F.lit(0).alias("k0"), F.lit(0).alias("k1"))
     total = F.col("n0") + F.col("n1")
-    got = kept.where(total >= LEAST_DOCS).orderBy(total.desc(), key).limit(MOST_KEYS).toPandas()
-    keys = got[key].to_numpy(np.int64).view(np.uint64)
+    got = kept.where(total >= LEAST_DOCS).orderBy(total.desc(), key).limit(MOST_KEYS).toArrow()
+    keys = np.asarray(got[key], dtype=np.int64).view(np.uint64)
     order = np.argsort(keys)
-    return Counts(keys[order], got[["n0", "n1"]].to_numpy(float)[order], got[["k0", "k1"]].to_numpy(float)[order])
+    pair = lambda a, b: np.stack([np.asarray(got[c], dtype=np.float32) for c in (a, b)], 1)[order]
+    return Counts(keys[order], pair("n0", "n1"), pair("k0", "k1"))
 
 
 def logistic(x: np.ndarray, y: np.ndarray, w: np.ndarray, l2: float = 1.0) -> np.ndarray:
@@ -180,6 +181,7 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, mod: int = 3, held: int = 1
                 yield pa.RecordBatch.from_arrays([pa.array(labels_[i:j].astype(np.int32)), pa.array(weights[i:j]), pa.array(list(x), pa.list_(pa.float64()))], ["label", "weight", "x"])
 
     got = sample.mapInArrow(training, "label int, weight double, x array<double>").toPandas()
+    discard(sample, rows)
     x = np.array(got["x"].tolist(), float)
     order = np.lexsort(np.column_stack([x, got["label"]]).T)
     model.weights = logistic(x[order], got["label"].to_numpy(float)[order], got["weight"].to_numpy(float)[order])

@@ -5,6 +5,7 @@ import subprocess
 import sys
 
 import duckdb
+import pandas as pd
 import pytest
 
 from sparse_neighbors import catalog
@@ -24,7 +25,7 @@ def duck(data):
 
 def canonical(df):
     df = df[sorted(df.columns)]
-    cells = [tuple("NULL" if v is None or v != v else f"{v:.9g}" if isinstance(v, float) else str(v) for v in row) for row in df.itertuples(index=False)]
+    cells = [tuple("NULL" if pd.isna(v) else f"{v:.9g}" if isinstance(v, float) else str(v) for v in row) for row in df.itertuples(index=False)]
     return list(df.columns), sorted(cells)
 
 

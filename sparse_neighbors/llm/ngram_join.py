@@ -32,7 +32,7 @@ from .shared import discard, materialize, prepare_workers
 from .textscan import hashed_words, mix64, shingle_hashes
 
 WORDS = 8  # 64-bit words of the whole-document sketch
-FILTER_BITS = 1 << 24  # of the filter of documents whose sets are needed; a full filter only lets more rows through
+FILTER_BITS = 1 << 26  # of the filters of keys and documents that are needed; a full filter only lets more rows through
 
 
 @dataclass(frozen=True)
@@ -118,12 +118,22 @@ def _ragged(rows: list[np.ndarray]) -> pa.Array:
 
 
 def _prints(k: int, bands: Bands):
+    none = np.zeros(0, np.uint64)
+
     def run(batches):
+        seen: set[tuple[int, int, int]] = set()  # equal sets of a task give their keys once
         for batch in batches:
             ids, rows = batch.column("doc_id"), []
+            known = np.asarray(ids.is_valid())
             for row, s in _per_text(batch, k):
-                with np.errstate(over="ignore"):
-                    rows.append((row, len(s), int(np.add.reduce(mix64(s)).view(np.int64)) if len(s) else 0, int(np.bitwise_xor.reduce(mix64(s ^ np.uint64(0xA5A5A5A5A5A5A5A5))).view(np.int64)) if len(s) else 0, sketch(s), piece_keys(s, bands) if len(s) else np.zeros(0, np.uint64)))
+                if not len(s):
+                    rows.append((row, 0, 0, 0, sketch(s), none))
+                    continue
+                a, b = int(np.add.reduce(mix64(s)).view(np.int64)), int(np.bitwise_xor.reduce(mix64(s ^ np.uint64(0xA5A5A5A5A5A5A5A5))).view(np.int64))
+                first = bool(known[row]) and (len(s), a, b) not in seen
+                if first:
+                    seen.add((len(s), a, b))
+                rows.append((row, len(s), a, b, sketch(s), piece_keys(s, bands) if first else none))
                 if len(rows) >= 2000:
                     yield _batch(ids, rows)
                     rows = []
@@ -167,18 +177,33 @@ def _sets(k: int, bits: np.ndarray):
     return run
 
 
-def _filter_spots(ids: np.ndarray) -> list[np.ndarray]:
+def _keys_in(bits: np.ndarray):
+    """(doc_id, key) for the keys that the filter lets through."""
+
+    def run(batches):
+        for batch in batches:
+            keys = batch.column("keys")
+            sizes = np.asarray(keys.value_lengths().fill_null(0), dtype=np.int64)
+            flat = np.asarray(keys.flatten(), dtype=np.int64)
+            kept = ((bits[(at := _filter_spots(flat, 1)[0]) >> 3] >> (at & 7)) & 1).astype(bool)
+            owner = np.repeat(np.asarray(batch.column("doc_id"), dtype=np.int64), sizes)
+            yield pa.RecordBatch.from_arrays([pa.array(owner[kept]), pa.array(flat[kept])], ["doc_id", "key"])
+
+    return run
+
+
+def _filter_spots(ids: np.ndarray, hashes: int = 3) -> list[np.ndarray]:
     base = ids.view(np.uint64)
-    return [(mix64(base + np.uint64(7919 * (i + 1))) & np.uint64(FILTER_BITS - 1)).astype(np.int64) for i in range(3)]
+    return [(mix64(base + np.uint64(7919 * (i + 1))) & np.uint64(FILTER_BITS - 1)).astype(np.int64) for i in range(hashes)]
 
 
-def _id_filter(ids: DataFrame) -> np.ndarray:
+def _id_filter(ids: DataFrame, hashes: int = 3) -> np.ndarray:
     """A Bloom filter of fixed size over a column of ids: what reaches the driver is bounded by FILTER_BITS."""
 
     def run(batches):
         bits = np.zeros(FILTER_BITS // 8, np.uint8)
         for batch in batches:
-            for s in _filter_spots(np.asarray(batch.column(0), dtype=np.int64)):
+            for s in _filter_spots(np.asarray(batch.column(0), dtype=np.int64), hashes):
                 np.bitwise_or.at(bits, s >> 3, (1 << (s & 7)).astype(np.uint8))
         words = bits.view(np.int64)
         at = np.flatnonzero(words)
@@ -209,14 +234,19 @@ def jaccard_components(docs: DataFrame, k: int = 5, num: int = 4, den: int = 5)
     known = prints.where("doc_id is not null")
     filled = known.where("n > 0")
     classes = materialize(filled.groupBy("n", "print_a", "print_b").agg(F.min("doc_id").alias("rep")), "classes")
-    reps = classes.select(F.col("rep").alias("doc_id")).distinct()
-    kept = filled.join(reps, "doc_id", "left_semi")
-    rows = kept.select("doc_id", F.explode("keys").alias("key"))
+    rep_of = filled.join(classes, ["n", "print_a", "print_b"]).select("doc_id", "rep").distinct()
+    # keys of more than one document, few of all; a filter of fixed size keeps most other rows from the shuffles below
+    keyed = filled.select("doc_id", "keys")
+    counted = keyed.select("doc_id", F.explode("keys").alias("key")).groupBy("key").agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high"))
+    repeated = materialize(counted.where("low <> high").select("key"), "keys")
+    rows = keyed.mapInArrow(_keys_in(_id_filter(repeated, hashes=1)), "doc_id long, key long").join(repeated, "key")
+    rows = materialize(rows.join(rep_of, "doc_id").select(F.col("rep").alias("doc_id"), "key").distinct(), "keys")
     # the member nearest to the key in XOR distance is the hub: another one for each key
     spot = F.col("doc_id").bitwiseXOR(F.col("key"))
     span = rows.groupBy("key").agg(F.min(spot).alias("low"), F.max(spot).alias("high")).where("low <> high")
     hubs = span.select("key", F.col("low").bitwiseXOR(F.col("key")).alias("hub"))
-    buckets = materialize(rows.join(hubs, "key").distinct(), "buckets")
+    buckets = materialize(rows.join(hubs, "key"), "buckets")
+    discard(repeated, rows)
     marks = filled.join(buckets.select("doc_id").distinct(), "doc_id", "left_semi").select("doc_id", "n", "sketch").dropDuplicates(["doc_id", "n", "sketch"])
     marks = materialize(marks, "sketches")
 
@@ -252,8 +282,14 @@ def jaccard_components(docs: DataFrame, k: int = 5, num: int = 4, den: int = 5)
     tied = filled.join(classes, ["n", "print_a", "print_b"]).select("doc_id", "rep")
     ties = tied.groupBy("doc_id").agg(F.min("rep").alias("u"), F.max("rep").alias("v")).where("u <> v")
     ties = tied.join(ties.select("doc_id", "u"), "doc_id").select("u", F.col("rep").alias("v"))
+    # one candidate of each document is verified before the others, which matter only if they connect components
     first = stars(buckets)
-    links = materialize(verified(first).unionByName(ties).distinct(), "links")
+    links = materialize(verified(first.groupBy("v").agg(F.min("u").alias("u")).select("u", "v")).unionByName(ties).distinct(), "links")
+    labels = connected_components(links)
+    of_u = labels.select(F.col("node").alias("u"), F.col("component").alias("cu"))
+    of_v = labels.select(F.col("node").alias("v"), F.col("component").alias("cv"))
+    apart = first.join(of_u, "u", "left").join(of_v, "v", "left").where(F.coalesce("cu", "u") != F.coalesce("cv", "v")).select("u", "v")
+    links = materialize(links.unionByName(verified(materialize(apart, "pairs"))).distinct(), "links")
     labels = connected_components(links)
     # members of different components are paired, where the sketches don't rule them out
     open_ = unconnected(buckets, labels)

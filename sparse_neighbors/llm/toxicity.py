@@ -10,18 +10,19 @@ A document's evidence is the difference of its toxic and ordinary log-likelihood
 sum in a window of WINDOW words (which a long text doesn't dilute). Their weights are fitted by logistic regression, each training
 document being scored without its own counts.
 
-Only labelled documents, SAMPLE of each class at most, are learned from; MOST_KEYS bounds the kept counts. Results
-for odd input: a null or empty text has no evidence and the score of zeros; without labels of both classes the score is
+Only labelled documents, SAMPLE of each class at most, are learned from; every count of theirs is kept, down to what a
+single document holds, as sorted hashes with small integers, which are broadcast once. Results for odd input: a null or empty text has no evidence and the score of zeros; without labels of both classes the score is
 0; a null doc_id is scored and never held out; rows that repeat are scored alike; an empty table gives an empty result;
 other columns are ignored.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -30,8 +31,6 @@ from .shared import discard, materialize, prepare_workers
 from .textscan import hashed_spans, mix64
 
 SAMPLE = {1: 8_000, 0: 12_000}
-MOST_KEYS = 100_000  # per level, those in most documents
-LEAST_DOCS = 3
 LETTERS = (6, 3)
 DISCOUNT = 0.75
 WINDOW = 12
@@ -55,17 +54,34 @@ STEPS = ((ROOT, SHORT), (SHORT, LONG), (LONG, WORD), (CONTEXT, PAIR))  # (given,
 
 @dataclass
 class Counts:
-    """Of one level: sorted keys, documents per class, and different events after it per class."""
+    """Of one level: sorted keys, documents per class, and of contexts the different events after them per class."""
 
     keys: np.ndarray
     docs: np.ndarray  # keys x 2
-    kinds: np.ndarray
+    kinds: np.ndarray | None = None
 
-    def find(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    def find(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray | None]:
+        if not len(self.keys):
+            nothing = np.zeros((len(keys), 2))
+            return nothing, nothing.copy()
         at = np.searchsorted(self.keys, keys)
         at[at == len(self.keys)] = 0
-        ok = self.keys[at] == keys if len(self.keys) else np.zeros(len(keys), bool)
-        return (self.docs[at] * ok[:, None], self.kinds[at] * ok[:, None]) if len(self.keys) else (np.zeros((len(keys), 2)),) * 2
+        ok = (self.keys[at] == keys)[:, None]
+        return tuple(None if x is None else np.where(ok, x[at], 0).astype(float) for x in (self.docs, self.kinds))
+
+
+def own_counts(owner: np.ndarray, given: np.ndarray, event: np.ndarray, single: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """For each word: different events that its document has after the word's context, and those that are `single`."""
+    order = np.lexsort((event, given, owner))
+    context = np.ones(len(order), bool)
+    context[1:] = (given[order][1:] != given[order][:-1]) | (owner[order][1:] != owner[order][:-1])
+    first = context.copy()
+    first[1:] |= event[order][1:] != event[order][:-1]
+    group = np.cumsum(context) - 1
+    out = np.empty((2, len(order)))
+    for x, values in zip(out, (first, first & single[order]), strict=True):
+        x[order] = np.bincount(group, values)[group] if len(order) else 0
+    return out[0], out[1]
 
 
 @dataclass
@@ -74,24 +90,34 @@ class Toxicity:
     event: list[Counts]
     weights: np.ndarray
 
-    def evidence(self, parts: list[np.ndarray], own: int | None = None) -> np.ndarray:
-        """log P(word | toxic) - log P(word | ordinary) for each word; `own`: the class whose counts hold this text once."""
-        total = np.zeros(len(parts[0]))
-        for (g, e), given, event in zip(STEPS, self.given, self.event, strict=True):
-            n, kinds = given.find(parts[g])
-            c, _ = event.find(parts[e])
-            if own is not None:
-                c[:, own] = np.maximum(c[:, own] - 1, 0)
-                n[:, own] = np.maximum(n[:, own] - 1, 0)
-            shared = (c.sum(1) + 0.5) / (n.sum(1) + 0.5 * (kinds.sum(1) + 1))
-            p = (np.maximum(c - DISCOUNT, 0) + DISCOUNT * np.maximum(kinds, 1) * shared[:, None]) / np.maximum(n, 1)
-            p = np.where(n > 0, np.minimum(p, 1), np.minimum(shared, 1)[:, None])
-            step = np.log(p[:, 1]) - np.log(p[:, 0])
-            total += np.where(n.sum(1) >= LEAST_DOCS, step, 0)
+    def step(self, s: int, g: np.ndarray, e: np.ndarray, owner: np.ndarray | None = None, own: np.ndarray | None = None) -> np.ndarray:
+        """One step's part of the evidence. With `owner`, each word's document, and `own`, the class whose counts hold it: without these."""
+        n, kinds = self.given[s].find(g)
+        c, _ = self.event[s].find(e)
+        if owner is not None:
+            at = np.arange(len(own))
+            events, lost = own_counts(owner, g, e, c[at, own] <= 1)
+            for counts, less in ((c, 1), (n, events), (kinds, lost)):
+                counts[at, own] = np.maximum(counts[at, own] - less, 0)
+        shared = (c.sum(1) + 0.5) / (n.sum(1) + 0.5 * (kinds.sum(1) + 1))
+        p = (np.maximum(c - DISCOUNT, 0) + DISCOUNT * np.maximum(kinds, 1) * shared[:, None]) / np.maximum(n, 1)
+        p = np.where(n > 0, np.minimum(p, 1), np.minimum(shared, 1)[:, None])
+        return np.log(p[:, 1]) - np.log(p[:, 0])
+
+    def evidence(self, parts: list[np.ndarray], owner: np.ndarray | None = None, own: np.ndarray | None = None) -> np.ndarray:
+        """log P(word | toxic) - log P(word | ordinary) for each word; `owner`, `own`: as in step."""
+        if owner is not None:
+            total = sum(self.step(s, parts[g], parts[e], owner, own) for s, (g, e) in enumerate(STEPS))
+        else:  # the chain depends on the word alone
+            _, first, back = np.unique(parts[WORD], return_index=True, return_inverse=True)
+            total = sum(self.step(s, parts[g][first], parts[e][first]) for s, (g, e) in enumerate(STEPS[:-1]))[back]
+            total = total + self.step(len(STEPS) - 1, parts[CONTEXT], parts[PAIR])
         return np.clip(total, -4, 8)
 
-    def features(self, borders: np.ndarray, parts: list[np.ndarray], own: int | None = None) -> np.ndarray:
-        llr = self.evidence(parts, own)
+    def features(self, borders: np.ndarray, parts: list[np.ndarray], own: np.ndarray | None = None) -> np.ndarray:
+        """`own`: the class of each text, where its counts are in the model."""
+        owner = None if own is None else np.repeat(np.arange(len(own)), np.diff(borders))
+        llr = self.evidence(parts, owner, None if own is None else own[owner])
         out = np.zeros((len(borders) - 1, FEATURES))
         out[:, 0] = 1
         sums = np.concatenate([[0], np.cumsum(llr)])
@@ -133,18 +159,22 @@ def _keys(batches):
                 )
 
 
+def _small(*columns) -> np.ndarray:
+    out = np.stack([np.asarray(c, dtype=np.int64) for c in columns], 1)
+    return out.astype(np.min_scalar_type(int(out.max(initial=0))))
+
+
 def _counts(rows: DataFrame, key: str, step: int, kinds: bool) -> Counts:
+    """All counts of a level: as many as the sample has, whatever the size of the table."""
     kept = rows.where(F.col("step") == step)
     if kinds:
         kept = kept.groupBy(key).agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"), F.sum((F.col("n0") > 0).cast("int")).alias("k0"), F.sum((F.col("n1") > 0).cast("int")).alias("k1"))
-    else:
-        kept = kept.select(key, "n0", "n1", F.lit(0).alias("k0"), F.lit(0).alias("k1"))
-    total = F.col("n0") + F.col("n1")
-    got = kept.where(total >= LEAST_DOCS).orderBy(total.desc(), key).limit(MOST_KEYS).toArrow()
+    columns = ("n0", "n1", "k0", "k1") if kinds else ("n0", "n1")
+    got = kept.select(key, *(F.col(c).cast("int").alias(c) for c in columns)).toArrow()
     keys = np.asarray(got[key], dtype=np.int64).view(np.uint64)
     order = np.argsort(keys)
-    pair = lambda a, b: np.stack([np.asarray(got[c], dtype=np.float32) for c in (a, b)], 1)[order]
-    return Counts(keys[order], pair("n0", "n1"), pair("k0", "k1"))
+    small = [_small(got[a], got[b])[order] for a, b in zip(columns[::2], columns[1::2], strict=True)]
+    return Counts(keys[order], *small)
 
 
 def logistic(x: np.ndarray, y: np.ndarray, w: np.ndarray, l2: float = 1.0) -> np.ndarray:
@@ -159,51 +189,50 @@ def logistic(x: np.ndarray, y: np.ndarray, w: np.ndarray, l2: float = 1.0) -> np
     return b
 
 
-def fit_toxicity(docs: DataFrame, labels: DataFrame, mod: int = 3, held: int = 1) -> Toxicity:
+def fit_toxicity(docs: DataFrame, labels: DataFrame, mod: int = 3, held: int = 1) -> tuple[Broadcast, np.ndarray]:
+    """The model, its counts broadcast, and the weights of the evidence."""
     prepare_workers(docs.sparkSession)
     sample = materialize(sample_texts(docs, labels, "toxic", mod, held, SAMPLE), "sample")
     classes = {r["label"] for r in sample.select("label").distinct().collect()}
     if len(classes) < 2:
-        nothing = Counts(np.zeros(0, np.uint64), np.zeros((0, 2)), np.zeros((0, 2)))
-        return Toxicity([nothing] * len(STEPS), [nothing] * len(STEPS), np.array([-30.0] + [0.0] * (FEATURES - 1)))
+        discard(sample)
+        nothing = [Counts(np.zeros(0, np.uint64), np.zeros((0, 2)))] * len(STEPS)
+        return docs.sparkSession.sparkContext.broadcast(Toxicity(nothing, nothing, np.zeros(FEATURES))), np.array([-30.0] + [0.0] * (FEATURES - 1))
     rows = sample.mapInArrow(_keys, "step int, given long, event long, label int").groupBy("step", "given", "event")
     rows = materialize(rows.agg(F.sum(F.when(F.col("label") == 0, 1).otherwise(0)).alias("n0"), F.sum(F.when(F.col("label") == 1, 1).otherwise(0)).alias("n1")), "counts")
     steps = range(len(STEPS))
-    model = Toxicity([_counts(rows, "given", s, True) for s in steps], [_counts(rows, "event", s, False) for s in steps], np.zeros(FEATURES))
+    counts = docs.sparkSession.sparkContext.broadcast(Toxicity([_counts(rows, "given", s, True) for s in steps], [_counts(rows, "event", s, False) for s in steps], np.zeros(FEATURES)))
 
     def training(batches):
         for batch in batches:
             labels_, weights = np.asarray(batch.column("label")), np.asarray(batch.column("weight"))
             for i, j, borders, hashes in hashed_spans(batch.column("text"), LETTERS):
-                parts = levels(borders, hashes)
-                both = np.stack([model.features(borders, parts, own) for own in (0, 1)])
-                x = both[labels_[i:j].astype(int), np.arange(j - i)]
+                x = counts.value.features(borders, levels(borders, hashes), labels_[i:j].astype(int))
                 yield pa.RecordBatch.from_arrays([pa.array(labels_[i:j].astype(np.int32)), pa.array(weights[i:j]), pa.array(list(x), pa.list_(pa.float64()))], ["label", "weight", "x"])
 
     got = sample.mapInArrow(training, "label int, weight double, x array<double>").toPandas()
     discard(sample, rows)
     x = np.array(got["x"].tolist(), float)
     order = np.lexsort(np.column_stack([x, got["label"]]).T)
-    model.weights = logistic(x[order], got["label"].to_numpy(float)[order], got["weight"].to_numpy(float)[order])
-    return model
+    return counts, logistic(x[order], got["label"].to_numpy(float)[order], got["weight"].to_numpy(float)[order])
 
 
-def toxicity_score(model: Toxicity):
+def toxicity_score(counts: Broadcast, weights: np.ndarray):
     @F.arrow_udf("double")
     def score(text: pa.Array) -> pa.Array:
-        return pa.array(model.score(text))
+        return pa.array(replace(counts.value, weights=weights).score(text))
 
     return score
 
 
 def score_toxicity(docs: DataFrame, labels: DataFrame, threshold: float = 0.7) -> DataFrame:
     """docs (doc_id, text), labels (doc_id, toxic) -> doc_id, held_out, score, predicted."""
-    score = toxicity_score(fit_toxicity(docs, labels))
+    score = toxicity_score(*fit_toxicity(docs, labels))
     scored = docs.select("doc_id", F.coalesce(remainder(F.col("doc_id"), 3) == 1, F.lit(False)).alias("held_out"), score(F.col("text").cast("string")).alias("score"))
     return scored.withColumn("predicted", (F.col("score") >= threshold).cast("int"))
 
 
 def keep_civil(docs: DataFrame, labels: DataFrame, threshold: float = 0.7) -> DataFrame:
     """The rows of docs that the models don't call toxic."""
-    score = toxicity_score(fit_toxicity(docs, labels))
+    score = toxicity_score(*fit_toxicity(docs, labels))
     return docs.withColumn("_score", score(F.col("text").cast("string"))).where(F.col("_score") < threshold).drop("_score")

@@ -64,6 +64,26 @@ def test_toxicity_on_held_out_rows(tables):
     assert kept.columns == docs.columns and kept.count() == sum(not r.predicted for r in got)
 
 
+def test_toxicity_keeps_every_count_of_the_sample(tables):
+    docs, labels, rows, truth = tables
+    model = toxicity.fit_toxicity(docs, labels)[0].value
+    known = {i: t for i, t, *_ in rows if i is not None and i in truth and zlib.crc32(str(i).encode()) % 3 != 1}
+    twice = Counter(i for i, *_ in rows if i in known)
+    seen = [Counter(), Counter()]
+    for i, t in known.items():
+        w = [x.lower() for x in (t or "").split()]
+        for x in set(zip([None, *w], w)):
+            seen[truth[i][1]][x] += twice[i]
+    pairs = seen[0].keys() | seen[1].keys()
+    found = model.event[3]
+    assert len(found.keys) == len(pairs) and min(found.docs.sum(1)) == 1
+    assert Counter(map(tuple, found.docs.tolist())) == Counter((seen[0][x], seen[1][x]) for x in pairs)
+    # a document taken out of the counts is scored as by a model that never held it
+    owner, given, event = np.array([0, 0, 0, 1]), np.array([7, 7, 7, 7]), np.array([1, 2, 1, 2])
+    events, lost = toxicity.own_counts(owner, given, event, np.array([True, False, True, False]))
+    assert events.tolist() == [2, 2, 2, 1] and lost.tolist() == [1, 1, 1, 0]
+
+
 def test_without_labels_or_rows(tables):
     docs, labels, *_ = tables
     assert {r.score for r in quality.score_quality(docs, labels.where("false")).collect()} == {0.5}

@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 
 from .labelled import remainder, sample_texts
 from .shared import prepare_workers
-from .textscan import bytes_and_offsets, slices, span_hashes, word_spans
+from .textscan import bytes_and_offsets, joined_sum, mix64, slices, span_hashes, span_sums, word_spans
 
 SAMPLE = {0: 20_000, 1: 30_000}  # labelled documents of each class that the trees may be fitted on
 BINS, DEPTH, TREES, RATE, L2 = 64, 4, 80, 0.15, 2.0
@@ -48,7 +48,8 @@ def statistics(column: pa.Array) -> np.ndarray:
     n = len(offsets) - 1
     sets, words = np.zeros((n, len(BYTE_SETS))), np.zeros((n, 8))
     varied = np.zeros((n, 4))
-    held: dict[int, list[np.ndarray]] = {}
+    held: list[tuple[np.ndarray, np.ndarray]] = []  # word and line hashes of a long text's earlier slices
+    begun = (np.uint64(0), 0)  # sum and size of the line that its last slice cut
     for i, j, a, b in slices(raw, offsets):
         part = raw[a:b]
         cuts = np.clip(offsets[i : j + 1], a, b) - a
@@ -64,20 +65,32 @@ def statistics(column: pa.Array) -> np.ndarray:
         again = np.zeros(len(starts), bool)
         again[1:] = hashes[1:] == hashes[:-1]
         again[borders[:-1][np.diff(borders) > 0]] = False
+        if held and len(hashes):  # the word before is in an earlier slice
+            before = next((own[-1] for own, _ in reversed(held) if len(own)), None)
+            again[0] = hashes[0] == before
         columns = (np.ones(len(size)), size, size > 18, size == 1, (big > 1) & (2 * big >= size), odd > 0, odd == size, again)
         for c, values in enumerate(columns):
             words[i:j, c] += np.diff(np.concatenate([[0.0], np.cumsum(values)])[borders])
         line_ends = np.flatnonzero(LINE[part])
         line_cuts = np.unique(np.concatenate([cuts, line_ends + 1]))
-        lines = span_hashes(part, line_cuts[:-1], line_cuts[1:])
-        line_borders = np.searchsorted(line_cuts[:-1], cuts)
+        line_sums, line_sizes = span_sums(part, line_cuts[:-1], line_cuts[1:]), np.diff(line_cuts)
+        long = b < offsets[j]  # the text goes on in the next slice
+        if long or held:
+            line_sums[0], line_sizes[0] = joined_sum(*begun, line_sums[0], line_sizes[0])
+            begun = (np.uint64(0), 0)
+            if long and not LINE[part[-1]]:
+                begun = line_sums[-1], line_sizes[-1]
+                line_sums, line_sizes = line_sums[:-1], line_sizes[:-1]
+        lines = mix64(line_sums + line_sizes.astype(np.uint64))
+        line_borders = np.array([0, len(lines)]) if long or held else np.searchsorted(line_cuts[:-1], cuts)
         for t in range(j - i):
             own, own_lines = hashes[borders[t] : borders[t + 1]], lines[line_borders[t] : line_borders[t + 1]]
-            if b < offsets[j] or i in held:
-                held.setdefault(i, []).append(own)
-                if b < offsets[j]:
+            if long or held:
+                held.append((own, own_lines))
+                if long:
                     continue
-                own = np.concatenate(held.pop(i))
+                own, own_lines = (np.concatenate(x) for x in zip(*held, strict=True))
+                held = []
             if len(own):
                 counts = np.unique(own, return_counts=True)[1]
                 varied[i + t] = len(counts) / len(own), counts.max() / len(own), len(counts) / np.sqrt(len(own)), 1 - len(np.unique(own_lines)) / max(1, len(own_lines))

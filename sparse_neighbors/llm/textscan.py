@@ -92,13 +92,23 @@ def word_spans(part: np.ndarray, cuts: np.ndarray) -> tuple[np.ndarray, np.ndarr
     return starts, np.flatnonzero(last) + 1, np.searchsorted(starts, cuts)
 
 
-def span_hashes(part: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """64-bit hashes of byte spans, equal for equal lower-cased bytes wherever they stand."""
+def span_sums(part: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """Polynomials over the lower-cased bytes of spans, wherever they stand."""
     size = max(len(part), SLICE + 4096)
     codes, powers, back = _tables(1 << int(size - 1).bit_length())
     sums = np.zeros(len(part) + 1, np.uint64)
     np.cumsum(codes[part] * powers[: len(part)], out=sums[1:])
-    return mix64((sums[ends] - sums[starts]) * back[starts] + (ends - starts).astype(np.uint64))
+    return (sums[ends] - sums[starts]) * back[starts]
+
+
+def joined_sum(sum_a: np.uint64, size_a: int, sum_b: np.uint64, size_b: int) -> tuple[np.uint64, int]:
+    """Polynomial and size of a span from those of its two parts."""
+    return np.uint64((int(sum_a) + pow(MULTIPLIER, int(size_a), 1 << 64) * int(sum_b)) & MASK), int(size_a) + int(size_b)
+
+
+def span_hashes(part: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """64-bit hashes of byte spans, equal for equal lower-cased bytes wherever they stand."""
+    return mix64(span_sums(part, starts, ends) + (ends - starts).astype(np.uint64))
 
 
 def hashed_spans(column: pa.Array, prefixes: tuple[int, ...] = ()) -> Iterator[tuple[int, int, np.ndarray, list[np.ndarray]]]:

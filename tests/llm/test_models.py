@@ -125,6 +125,20 @@ def test_statistics_count_whole_texts(monkeypatch):
     assert not whole[1].any() and not whole[2].any()
 
 
+def test_statistics_of_a_long_text_are_the_same_in_slices(monkeypatch):
+    from sparse_neighbors.llm import textscan
+
+    rng = random.Random(5)
+    lines = [" ".join(rng.choice(["ab", "Cd!", "12"]) for _ in range(rng.randint(0, 9))) for _ in range(30)]
+    mixed = "\n".join(rng.choice(lines) for _ in range(900))
+    texts = ["one line of words\n" * 2000 + "short end.", mixed, "x " * 5000 + "\n" + "x " * 3000, "\n" * 4000 + "y", "a b", None, " \n" * 3000]
+    whole = quality.statistics(pa.array(texts))
+    assert whole[0, 20] > 0.99
+    for size in (7, 100, 1000, 4097):
+        monkeypatch.setattr(textscan.slices, "__defaults__", (size,))
+        assert np.allclose(quality.statistics(pa.array(texts)), whole)
+
+
 def words(text):
     return re.findall(rb"[^\x20\x09-\x0D]+", re.sub(rb"[A-Z]", lambda m: m[0].lower(), (text or "").encode())) + [None]
 

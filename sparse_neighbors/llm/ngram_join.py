@@ -19,12 +19,13 @@ has the links of all its rows; an empty table gives an empty result; other colum
 
 from __future__ import annotations
 
+import re
 from dataclasses import dataclass
 from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .components import connected_components
@@ -311,9 +312,13 @@ def jaccard_components(docs: DataFrame, k: int = 5, num: int = 4, den: int = 5)
 def keep_one_of_each_group(docs: DataFrame, k: int = 5, num: int = 4, den: int = 5) -> DataFrame:
     """The rows of docs that have the smallest doc_id of their component; a null doc_id is kept.
 
-    Exact repeats of a kept row (same doc_id) come out once.
+    A doc_id is one document, whatever its rows: all texts of a kept one come out, each once (of rows that repeat doc_id and
+    text, the first in the order of the other columns), and all texts of one that is dropped go.
     """
     groups = jaccard_components(docs, k, num, den)
     kept = groups.where("doc_id = component_id").select("doc_id").distinct()
-    named = docs.where("doc_id is not null").join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    named = docs.where("doc_id is not null").join(kept, "doc_id", "left_semi")
+    others = [f.name for f in docs.schema.fields if f.name not in ("doc_id", "text") and not {"map", "variant"} & set(re.findall(r"\w+", f.dataType.simpleString()))]
+    repeats = Window.partitionBy("doc_id", "text").orderBy(*others, F.lit(0))
+    named = named.withColumn("_nth", F.row_number().over(repeats)).where("_nth = 1").drop("_nth")
     return named.unionByName(docs.where("doc_id is null"))

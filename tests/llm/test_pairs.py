@@ -74,6 +74,12 @@ def test_jaccard_odd_rows(spark):
     assert ngram_join.jaccard_components(spark.createDataFrame([], DOCS)).count() == 0
 
 
+def test_all_texts_of_a_kept_id_stay(spark):
+    rows = [(5, "a b c d e f g h i j", "s", 1), (5, "u v w x y z", "s", 1), (5, "u v w x y z", "r", 2), (7, "a b c d e f g h i j", "s", 1), (8, None, "s", 1), (8, None, "s", 1)]
+    kept = ngram_join.keep_one_of_each_group(spark.createDataFrame(rows, DOCS), 3, 9, 10)
+    assert sorted(map(tuple, kept.collect()), key=str) == [(5, "a b c d e f g h i j", "s", 1), (5, "u v w x y z", "r", 2), (8, None, "s", 1)]
+
+
 def test_sketch_distance_bounds_the_difference():
     rng = np.random.default_rng(1)
     for _ in range(50):

@@ -65,3 +65,13 @@ def cost_pruned(r: DataFrame, split: DataFrame) -> DataFrame:
     fr = r.groupBy("rb", "d").agg(F.count("*").alias("fr"))
     tail = split.where("is_tail")
     return tail.join(fr, ["rb", "d"], "left").groupBy("rb").agg(F.count("*").alias("indexed_features"), F.coalesce(F.sum("fr"), F.lit(0)).alias("scanned_postings"))
+
+
+def cost_completion(r: DataFrame, split: DataFrame) -> DataFrame:
+    """Of one S-block: per R-block, pairs that share an indexed feature, and the steps to merge r with the head of s for those that have one."""
+    tails = split.where("is_tail").select("rb", "s_id", "d")
+    pairs = r.select("rb", "r_id", "d").join(tails, ["rb", "d"]).select("rb", "r_id", "s_id").distinct()
+    sizes = r.groupBy("rb", "r_id").agg(F.count("*").alias("nr"))
+    heads = split.where("not is_tail").groupBy("rb", "s_id").agg(F.count("*").alias("nh"))
+    steps = F.coalesce(F.col("nr") + F.col("nh"), F.lit(0))
+    return pairs.join(sizes, ["rb", "r_id"]).join(heads, ["rb", "s_id"], "left").groupBy("rb").agg(F.count("*").alias("candidates"), F.sum(steps).alias("completion_steps"))

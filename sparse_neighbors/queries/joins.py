@@ -175,6 +175,8 @@ query("cost_c3_blocked", f"{_BCOST}, p as (select rb, sb, cast(sum(fr * fs) as b
     lambda s, d: costs.cost_inverted_blocked(*_blocked(s, d, _P, 2, 3))
 )
 query("cost_pruned", f"{_FIRST_STATE}, {_LIVE}, {_SPLIT}, fr as (select rb, d, count(*) as fr from r2 group by rb, d) select split.rb, count(*) as indexed_features, cast(sum(fr) as bigint) as scanned_postings from split join fr on split.rb = fr.rb and split.d = fr.d where is_tail group by split.rb")(lambda s, d: costs.cost_pruned(*_split(s, d)))
+_MET = "met as (select distinct r2.rb, r2.id as r_id, s_id from split join r2 on split.rb = r2.rb and split.d = r2.d where is_tail), sizes as (select id as r_id, count(*) as nr from r2 group by id), heads as (select rb, s_id, count(*) as nh from split where not is_tail group by rb, s_id)"
+query("cost_completion", f"{_FIRST_STATE}, {_LIVE}, {_SPLIT}, {_MET} select met.rb, count(*) as candidates, cast(sum(case when nh is null then 0 else nr + nh end) as bigint) as completion_steps from met join sizes on met.r_id = sizes.r_id left join heads on met.rb = heads.rb and met.s_id = heads.s_id group by met.rb")(lambda s, d: costs.cost_completion(*_split(s, d)))
 
 
 def _plan_sql(name: str, fraction: float, layout: str = "split") -> str:
@@ -334,14 +336,16 @@ query("w8_kmeans_iterate")(lambda s, d: apps.kmeans_iterate(*_seeds(s, d), round
 
 @query("w9_ablation")
 def w9_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Indexed features and visited postings of the second S-block under each dimension order and rule."""
+    """Indexed features, visited postings, candidates and completion steps of the second S-block under each dimension order and rule."""
     outer, block, kth = _state(spark, sf_dir)
     floors = block_floors(kth, live_vectors(outer, block))
     out = []
     for order in ("frequent_first", "rare_first", "natural"):
         for rule in ("tie_safe", "strict"):
             split = split_features(block, block_dimstats(outer, order), floors, PruneOptions(rule=rule, dim_order=order))
-            out.append(costs.cost_pruned(outer, split).select(F.lit(order).alias("dim_order"), F.lit(rule).alias("rule"), "rb", "indexed_features", "scanned_postings"))
+            cost = costs.cost_pruned(outer, split).join(costs.cost_completion(outer, split), "rb", "left").fillna(0, ["candidates", "completion_steps"])
+            cost = cost.withColumn("steps", F.col("scanned_postings") + F.col("completion_steps"))
+            out.append(cost.select(F.lit(order).alias("dim_order"), F.lit(rule).alias("rule"), "rb", "indexed_features", "scanned_postings", "candidates", "completion_steps", "steps"))
     return _union(out)
 
 

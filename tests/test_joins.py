@@ -10,6 +10,7 @@ from sparse_neighbors.functions import vectors as V
 from sparse_neighbors.operators import costs
 from sparse_neighbors.operators.exhaustive import exhaustive_grid, exhaustive_join
 from sparse_neighbors.operators.inverted import inverted_join, inverted_packed
+from sparse_neighbors.operators.costs import cost_completion
 from sparse_neighbors.operators.pruned import PruneOptions, block_dimstats, split_features
 from sparse_neighbors.plans.api import explain_join, knn_join
 from sparse_neighbors.plans.blocks import BlockPlan, assign_blocks, plan_sizes
@@ -180,3 +181,10 @@ def test_scan_reads_only_what_it_needs(spark, data):
 
     text = vectors(spark, data, "order_part")._jdf.queryExecution().toString()
     assert "l_extendedprice" not in text.split("== Physical Plan ==")[1]
+
+
+def test_completion_counts_merges_with_heads(spark):
+    r = spark.createDataFrame([(0, 1, 5, 1), (0, 1, 6, 1), (0, 2, 6, 1), (1, 3, 6, 1)], "rb int, r_id long, d long, w long")
+    split = spark.createDataFrame([(0, 8, 5, False), (0, 8, 6, True), (0, 9, 6, True), (1, 8, 6, False)], "rb int, s_id long, d long, is_tail boolean")
+    # block 0: r 1 and 2 each meet s 8 (a head of 1) and s 9 (none); block 1 has no indexed feature
+    assert [tuple(x) for x in cost_completion(r, split).collect()] == [(0, 4, (2 + 1) + (1 + 1))]

@@ -1,4 +1,4 @@
-"""Toxicity by class-conditional Kneser-Ney models.
+"""Toxicity by class-conditional models with absolute discounting and pooled backoff.
 
 For each class a chain of models gives a word's probability: by its first LETTERS[1] bytes, its first LETTERS[0] bytes
 given these, the word given that, and the word given the word before it. Each step discounts the class's counts and

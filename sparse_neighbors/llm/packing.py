@@ -27,6 +27,7 @@ from pyspark.sql import functions as F
 from .shared import materialize, prepare_workers
 from .tokens import encoded
 
+MOST_OFFSETS = 500_000  # rows of the offset table (shards x lengths) that are broadcast; a larger one is joined by a shuffle
 PIECES = "shard int, nth long, doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
@@ -177,8 +178,10 @@ def pack_documents(docs: DataFrame, tokenizer: str, end_id: int = 0, capacity: i
     counts = pieces.groupBy("length", "shard").agg(F.count("*").alias("n"))
     before = Window.partitionBy("length").orderBy("shard").rowsBetween(Window.unboundedPreceding, -1)
     counts = materialize(counts.withColumn("base", F.coalesce(F.sum("n").over(before), F.lit(0))), "ranks")
-    histogram = counts.groupBy("length").agg(F.sum("n").alias("n")).collect()  # at most `capacity` rows
+    histogram = counts.groupBy("length").agg(F.sum("n").alias("n"), F.count("*").alias("shards")).collect()  # at most `capacity` rows
     plan = Plan(capacity, {r["length"]: r["n"] for r in histogram})
-    ranked = pieces.join(counts.select("length", "shard", "base"), ["length", "shard"]).withColumn("rank", F.col("base") + F.col("nth"))
+    offsets = counts.select("length", "shard", "base")
+    offsets = F.broadcast(offsets) if sum(r["shards"] for r in histogram) <= MOST_OFFSETS else offsets.hint("merge")
+    ranked = pieces.join(offsets, ["length", "shard"]).withColumn("rank", F.col("base") + F.col("nth"))
     ranked = ranked.select("doc_id", "piece", "start", "length", "ids_crc32", "rank")
     return ranked.mapInArrow(_places(plan), "doc_id long, piece int, start long, length long, ids_crc32 long, sequence_id long, offset long")

@@ -125,23 +125,38 @@ def _open(folder: str):
     return system, path
 
 
-def _token_rows(path: str, end_id: int):
+def _unit(vocabulary: int) -> str:
+    """The type that holds every id of the vocabulary between tasks."""
+    return "<u2" if vocabulary <= 1 << 16 else "<u4"
+
+
+def _token_rows(path: str, end_id: int, vocabulary: int):
     def run(batches):
-        end = np.array([end_id], "<u4").tobytes()
+        end, unit, row = np.array([end_id], "<u4").tobytes(), _unit(vocabulary), TaskContext.get().partitionId() << 40
         for batch in batches:
-            rows = [(r, tokens + end) for r, tokens in encoded(batch.column("text"), path)]
-            ids = batch.column("doc_id").cast(pa.int64())
-            yield pa.RecordBatch.from_arrays([ids, pa.array([np.frombuffer(t, "<u4").astype("<u2").tobytes() for _, t in rows], pa.binary())], ["doc_id", "ids"])
+            out = []
+            for _, tokens in encoded(batch.column("text"), path):
+                ids = np.frombuffer(tokens + end, "<u4")
+                if int(ids.max()) >= vocabulary:
+                    raise ValueError(f"id {int(ids.max())} is beyond the vocabulary of {vocabulary}")
+                out.append(ids.astype(unit).tobytes())
+            rows = pa.array(np.arange(row, row + len(out)))
+            row += len(out)
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), rows, pa.array(out, pa.binary())], ["doc_id", "row", "ids"])
 
     return run
 
 
-def _id_counts(size: int):
+def _id_counts(vocabulary: int):
     def run(batches):
-        counts = np.zeros(size, np.int64)
+        counts = np.zeros(vocabulary, np.int64)
         for batch in batches:
-            data = b"".join(batch.column("ids").to_pylist())
-            counts += np.bincount(np.frombuffer(data, "<u2"), minlength=size)
+            for data in batch.column("ids").to_pylist():
+                own = np.frombuffer(data, _unit(vocabulary))
+                if len(own) * 8 > vocabulary:
+                    counts += np.bincount(own, minlength=vocabulary)
+                else:
+                    np.add.at(counts, own, 1)
         at = np.flatnonzero(counts)
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(counts[at])], ["id", "n"])
 
@@ -162,7 +177,7 @@ def segment_bytes(doc_ids: list, tokens: list[np.ndarray], lengths: np.ndarray,
 
 
 def _writer(folder: str, lengths: np.ndarray):
-    codes = canonical_codes(lengths)
+    codes, unit = canonical_codes(lengths), _unit(len(lengths))
 
     def run(batches):
         part, docs, total = TaskContext.get().partitionId(), 0, 0
@@ -182,7 +197,7 @@ def _writer(folder: str, lengths: np.ndarray):
 
             for batch in batches:
                 for doc_id, data in zip(batch.column("doc_id").to_pylist(), batch.column("ids").to_pylist(), strict=True):
-                    own = np.frombuffer(data, "<u2")
+                    own = np.frombuffer(data, unit)
                     held[0].append(doc_id)
                     held[1].append(own)
                     size, docs, total = size + len(own), docs + 1, total + len(own)
@@ -227,16 +242,20 @@ def _reader(folder: str):
 
 
 def write_token_files(docs: DataFrame, tokenizer: str, end_id: int, folder: str, vocabulary: int = 65_536) -> DataFrame:
-    """Write docs (doc_id, text) as token files below folder; returns their manifest (part, name, docs, tokens)."""
+    """Write docs (doc_id, text) as token files below folder; returns their manifest (part, name, docs, tokens).
+
+    Every id must be below `vocabulary`; one that isn't is an error.
+    """
     spark = docs.sparkSession
     prepare_workers(spark)
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    tokens = materialize(texts.mapInArrow(_token_rows(tokenizer, end_id), "doc_id long, ids binary"), "tokens")
+    tokens = materialize(texts.mapInArrow(_token_rows(tokenizer, end_id, vocabulary), "doc_id long, row long, ids binary"), "tokens")
     counts = tokens.mapInArrow(_id_counts(vocabulary), "id long, n long").groupBy("id").agg(F.sum("n").alias("n")).toArrow()
     totals = np.zeros(vocabulary, np.int64)  # bounded by the vocabulary
     totals[np.asarray(counts["id"], dtype=np.int64)] = np.asarray(counts["n"], dtype=np.int64)
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    ordered = tokens.repartitionByRange(parts, F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first())
+    order = [F.col("doc_id").asc_nulls_first(), F.col("row")]  # the written row number lets rows of one id, or of none, spread over files
+    ordered = tokens.repartitionByRange(parts, *order).sortWithinPartitions(*order).select("doc_id", "ids")
     manifest = materialize(ordered.mapInArrow(_writer(folder, code_lengths(totals)), "part long, name string, docs long, tokens long"), "manifest")
     discard(tokens)
     return manifest.where("docs > 0")

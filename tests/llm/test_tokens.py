@@ -24,16 +24,42 @@ def docs(spark):
 def test_cached_ids_are_the_tokenizers_ids(name):
     path = public_tokenizers.path(name)
     plain = Tokenizer.from_file(path)
-    plain.encode_special_tokens = True
     texts = [t or "" for t in TEXTS]
     for got, text in zip(CachedEncoder(path).encode(texts), texts, strict=True):
         assert np.frombuffer(got, "<u4").tolist() == plain.encode(text, add_special_tokens=False).ids, text
 
 
+def test_special_tokens_and_odd_characters():
+    """Random strings, with the strings of special tokens matched as the library does by default or taken as text."""
+    rng = np.random.default_rng(5)
+    parts = [*"abzAZ09 .,;'\n\t\r<|>-_\x1c\x1f\x85", "\u00e9", "\u00df", "\u0130", "\u03a3", "\u03c2", "\u00bd", "\u00b2", "\u0301", "\u200b", "\u65e5", "\u3000", "\u017f", "\u2167", "\u0663", " 's", " 'll", "<|endoftext|>", "<|EndOfText|>", "  ", " \n"]
+    texts = ["".join(rng.choice(parts, int(n))) for n in rng.integers(0, 25, 4000)]
+    for name in ("byte_bpe_50k.json", "word_bpe_49k.json"):
+        path = public_tokenizers.path(name)
+        for as_text in (False, True):
+            plain = Tokenizer.from_file(path)
+            plain.encode_special_tokens = as_text
+            for got, text in zip(CachedEncoder(path, as_text).encode(texts), texts, strict=True):
+                assert np.frombuffer(got, "<u4").tolist() == plain.encode(text, add_special_tokens=False).ids, text
+
+
+def test_caches_change_generations(monkeypatch):
+    from sparse_neighbors.llm import tokens
+
+    monkeypatch.setattr(tokens, "LIMIT", 50)
+    path = public_tokenizers.path("byte_bpe_50k.json")
+    own, plain = CachedEncoder(path), Tokenizer.from_file(path)
+    rng = np.random.default_rng(7)
+    for _ in range(30):
+        texts = [" ".join(f"w{n}" for n in rng.integers(0, 300, 40)) for _ in range(5)]
+        for got, text in zip(own.encode(texts), texts, strict=True):
+            assert np.frombuffer(got, "<u4").tolist() == plain.encode(text, add_special_tokens=False).ids
+        assert len(own.words) <= 50 + 200 and len(own.words.old) <= 50 + 200
+
+
 def test_packing_places_every_piece_once(spark, docs):
     path = public_tokenizers.path("byte_bpe_50k.json")
     plain = Tokenizer.from_file(path)
-    plain.encode_special_tokens = True
     got = packing.pack_documents(docs, path, 0, 64).toPandas()
     want = []
     for r in docs.collect():
@@ -77,7 +103,6 @@ def test_plans_fill_sequences(seed):
 def test_token_files_round_trip(spark, docs):
     path = public_tokenizers.path("word_bpe_49k.json")
     plain = Tokenizer.from_file(path)
-    plain.encode_special_tokens = True
     got = token_files.round_trip(docs, path, 2).toPandas()
     want, start = [], 0
     order = sorted(docs.collect(), key=lambda r: -1 if r.doc_id is None else r.doc_id)
@@ -90,6 +115,8 @@ def test_token_files_round_trip(spark, docs):
     assert free(got.itertuples(index=False)) == free(want) and got.doc_id.is_monotonic_increasing
     assert got.start.tolist() == (got.n_tokens.cumsum() - got.n_tokens).tolist()
     assert token_files.round_trip(docs.where("false"), path, 2).count() == 0
+    with pytest.raises(Exception, match="beyond the vocabulary"):
+        token_files.write_token_files(docs, path, 2, token_files.new_path(spark, "small"), vocabulary=100).count()
 
 
 def test_huffman_codes_are_optimal_limited_and_decodable():

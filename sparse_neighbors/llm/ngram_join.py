@@ -6,7 +6,8 @@ fall into bands such that documents that can reach the threshold lie in the same
 band the largest possible symmetric difference D is known; the sketch is cut into D + 1 + e pieces, and
 two linked documents agree in at least 1 + e of them. A piece (as a 64-bit code linear in its bits, so
 that it is the XOR of the codes of the shingles that fall into it) is the key of an equi-join; candidates
-pass a whole-sketch Hamming test and an exact intersection of their shingle sets.
+pass a whole-sketch Hamming test and an exact intersection of their shingle sets. Sets that a small sketch can't tell apart
+have a wide one besides, with at least a bit for each shingle.
 
 Groups of copies are never expanded into pairs. Equal sets become one class; each key tests its members against
 one of them, a different one for each key, and only members that the verified links don't connect are paired
@@ -25,14 +26,14 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .components import connected_components
-from .shared import discard, materialize, prepare_workers
+from .shared import collect_garbage, discard, materialize, prepare_workers
 from .textscan import hashed_words, mix64, shingle_hashes
 
-WORDS = 8  # 64-bit words of the whole-document sketch
+WORDS = 8  # 64-bit words of the sketch that every document has; larger sets have a wide one as well, of a bit or more a shingle
 FILTER_BITS = 1 << 26  # of the filters of keys and documents that are needed; a full filter only lets more rows through
 
 
@@ -91,13 +92,28 @@ def piece_keys(shingles: np.ndarray, bands: Bands) -> np.ndarray:
     return np.concatenate(out) if out else np.zeros(0, np.uint64)
 
 
-def sketch(shingles: np.ndarray) -> np.ndarray:
-    """Parity of the shingles that fall on each bit of a fixed sketch, as 64-bit words."""
-    spot = (mix64(shingles + np.uint64(0x5DEECE66D)) & np.uint64(64 * WORDS - 1)).astype(np.int64)
-    odd = (np.bincount(spot, minlength=64 * WORDS) & 1).astype(np.uint8)
+def sketch(shingles: np.ndarray, words: int = WORDS) -> np.ndarray:
+    """Parity of the shingles that fall on each bit of a sketch of `words` 64-bit words, a power of two.
+
+    A sketch of half the size is the XOR of both halves.
+    """
+    spot = (mix64(shingles + np.uint64(0x5DEECE66D)) & np.uint64(64 * words - 1)).astype(np.int64)
+    odd = (np.bincount(spot, minlength=64 * words) & 1).astype(np.uint8)
     return np.packbits(odd, bitorder="little").view(np.int64)
 
 
+def wide_words(n: int) -> int:
+    """Size of the wide sketch of n shingles; two sets that can link differ by a factor of two at most."""
+    return 1 << int(-(-n // 64) - 1).bit_length() if n > 64 * WORDS else 0
+
+
+def wide_distance(a: Column, b: Column) -> Column:
+    """Hamming distance of two wide sketches, the larger one folded to the size of the smaller."""
+    n = F.least(F.size(a), F.size(b))
+    folded = lambda x, i: F.when(F.size(x) > n, F.get(x, i).bitwiseXOR(F.get(x, i + n))).otherwise(F.get(x, i))
+    return F.aggregate(F.sequence(F.lit(0), n - 1), F.lit(0), lambda total, i: total + F.bit_count(folded(a, i).bitwiseXOR(folded(b, i))))
+
+
 def _per_text(batch: pa.RecordBatch, k: int):
     """(row, sorted distinct shingle hashes) of every text."""
     for i, j, borders, words in hashed_words(batch.column("text")):
@@ -109,7 +125,7 @@ def _per_text(batch: pa.RecordBatch, k: int):
             yield i + t, np.unique(hashes[cut[t] : cut[t + 1]])
 
 
-PRINT_SCHEMA = "doc_id long, n long, print_a long, print_b long, sketch array<long>, keys array<long>"
+PRINT_SCHEMA = "doc_id long, n long, print_a long, print_b long, sketch array<long>, wide array<long>, keys array<long>"
 
 
 def _ragged(rows: list[np.ndarray]) -> pa.Array:
@@ -128,13 +144,14 @@ def _prints(k: int, bands: Bands):
             known = np.asarray(ids.is_valid())
             for row, s in _per_text(batch, k):
                 if not len(s):
-                    rows.append((row, 0, 0, 0, sketch(s), none))
+                    rows.append((row, 0, 0, 0, sketch(s), none, none))
                     continue
                 a, b = int(np.add.reduce(mix64(s)).view(np.int64)), int(np.bitwise_xor.reduce(mix64(s ^ np.uint64(0xA5A5A5A5A5A5A5A5))).view(np.int64))
                 first = bool(known[row]) and (len(s), a, b) not in seen
                 if first:
                     seen.add((len(s), a, b))
-                rows.append((row, len(s), a, b, sketch(s), piece_keys(s, bands) if first else none))
+                words = wide_words(len(s))
+                rows.append((row, len(s), a, b, sketch(s), sketch(s, words) if words else none, piece_keys(s, bands) if first else none))
                 if len(rows) >= 2000:
                     yield _batch(ids, rows)
                     rows = []
@@ -142,10 +159,10 @@ def _prints(k: int, bands: Bands):
                 yield _batch(ids, rows)
 
     def _batch(ids, rows):
-        at, n, a, b, sk, keys = zip(*rows, strict=True)
+        at, n, a, b, sk, wide, keys = zip(*rows, strict=True)
         return pa.RecordBatch.from_arrays(
-            [ids.take(pa.array(at, pa.int64())).cast(pa.int64()), pa.array(n, pa.int64()), pa.array(a, pa.int64()), pa.array(b, pa.int64()), _ragged(list(sk)), _ragged(list(keys))],
-            ["doc_id", "n", "print_a", "print_b", "sketch", "keys"],
+            [ids.take(pa.array(at, pa.int64())).cast(pa.int64()), pa.array(n, pa.int64()), pa.array(a, pa.int64()), pa.array(b, pa.int64()), _ragged(list(sk)), _ragged(list(wide)), _ragged(list(keys))],
+            ["doc_id", "n", "print_a", "print_b", "sketch", "wide", "keys"],
         )
 
     return run
@@ -236,20 +253,26 @@ def jaccard_components(docs: DataFrame, k: int = 5, num: int = 4, den: int = 5)
     filled = known.where("n > 0")
     classes = materialize(filled.groupBy("n", "print_a", "print_b").agg(F.min("doc_id").alias("rep")), "classes")
     rep_of = filled.join(classes, ["n", "print_a", "print_b"]).select("doc_id", "rep").distinct()
-    # keys of more than one document, few of all; a filter of fixed size keeps most other rows from the shuffles below
+    # keys that come up again, few of all; a filter of fixed size keeps most other rows from the shuffles below
     keyed = filled.select("doc_id", "keys")
-    counted = keyed.select("doc_id", F.explode("keys").alias("key")).groupBy("key").agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high"))
-    repeated = materialize(counted.where("low <> high").select("key"), "keys")
-    rows = keyed.mapInArrow(_keys_in(_id_filter(repeated, hashes=1)), "doc_id long, key long").join(repeated, "key")
-    rows = materialize(rows.join(rep_of, "doc_id").select(F.col("rep").alias("doc_id"), "key").distinct(), "keys")
+    counted = keyed.select(F.explode("keys").alias("key")).groupBy("key").agg(F.count("*").alias("n"))
+    repeated = materialize(counted.where("n > 1").select("key"), "keys")
+    collect_garbage(spark)
+    found = keyed.mapInArrow(_keys_in(_id_filter(repeated, hashes=1)), "doc_id long, key long").join(repeated, "key")
+    rows = materialize(found.join(rep_of, "doc_id").select(F.col("rep").alias("doc_id"), "key").distinct(), "keys")
+    discard(repeated)
     # the member nearest to the key in XOR distance is the hub: another one for each key
     spot = F.col("doc_id").bitwiseXOR(F.col("key"))
     span = rows.groupBy("key").agg(F.min(spot).alias("low"), F.max(spot).alias("high")).where("low <> high")
     hubs = span.select("key", F.col("low").bitwiseXOR(F.col("key")).alias("hub"))
     buckets = materialize(rows.join(hubs, "key"), "buckets")
-    discard(repeated, rows)
-    marks = filled.join(buckets.select("doc_id").distinct(), "doc_id", "left_semi").select("doc_id", "n", "sketch").dropDuplicates(["doc_id", "n", "sketch"])
-    marks = materialize(marks, "sketches")
+    discard(rows)
+    met = filled.join(buckets.select("doc_id").distinct(), "doc_id", "left_semi")
+    marks = materialize(met.select("doc_id", "n", "sketch", "wide").dropDuplicates(["doc_id", "n", "sketch"]), "sketches")
+    whole, prints = prints, materialize(prints.select("doc_id", "n", "print_a", "print_b"), "sizes")
+    discard(whole)
+    known = prints.where("doc_id is not null")
+    filled = known.where("n > 0")
 
     def possible(nu, nv, ku, kv):
         """What sizes and sketches don't rule out: Hamming distance is at most the symmetric difference."""
@@ -264,7 +287,19 @@ def jaccard_components(docs: DataFrame, k: int = 5, num: int = 4, den: int = 5)
         """Links between hubs and members (key, doc_id, hub)."""
         pairs = members.where("doc_id <> hub").select(F.least("hub", "doc_id").alias("u"), F.greatest("hub", "doc_id").alias("v")).distinct()
         pairs = pairs.join(marks.select(F.col("doc_id").alias("u"), *left), "u").join(marks.select(F.col("doc_id").alias("v"), *right), "v")
-        return materialize(pairs.where(possible("nu", "nv", "ku", "kv")).select("u", "v").distinct(), "pairs")
+        return materialize(sifted(pairs.where(possible("nu", "nv", "ku", "kv")).select("u", "v").distinct()), "pairs")
+
+    def sifted(pairs: DataFrame) -> DataFrame:
+        """Pairs (u, v) that wide sketches don't rule out, where both have one; rows that repeat a doc_id are tried each."""
+        wide = marks.where(F.size("wide") > 0)
+        wu, wv = (wide.select(F.col("doc_id").alias(x), F.col("n").alias(f"n{x}"), F.col("wide").alias(f"w{x}")) for x in "uv")
+        both = pairs.join(wu, "u", "left").join(wv, "v", "left")
+        most = F.floor((F.col("nu") + F.col("nv")) * (den - num) / (den + num))
+        open_ = F.col("wu").isNull() | F.col("wv").isNull()
+        if 2 * num < den:  # sizes may differ by more than the fold allows for
+            return pairs
+        fits = F.greatest(F.size("wu"), F.size("wv")) > 2 * F.least(F.size("wu"), F.size("wv"))
+        return both.where(open_ | fits | (wide_distance(F.col("wu"), F.col("wv")) <= most)).select("u", "v").distinct()
 
     def verified(pairs: DataFrame) -> DataFrame:
         bits = _id_filter(pairs.select(F.explode(F.array("u", "v")).alias("doc_id")).distinct())
@@ -299,7 +334,7 @@ def jaccard_components(docs: DataFrame, k: int = 5, num: int = 4, den: int = 5)
     other = marked.select("key", F.col("doc_id").alias("v"), F.col("component").alias("cv"), *right)
     rest = stray.join(other, (stray["key"] == other["key"]) & (F.col("cu") != F.col("cv")) & possible("nu", "nv", "ku", "kv"))
     rest = rest.select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).distinct().join(first, ["u", "v"], "left_anti")
-    rest = materialize(rest, "pairs")
+    rest = materialize(sifted(rest), "pairs")
     if rest.limit(1).count():
         links = materialize(links.unionByName(verified(rest)).distinct(), "links")
         labels = connected_components(links)

@@ -190,6 +190,6 @@ def score_quality(docs: DataFrame, labels: DataFrame, threshold: float = 0.3) ->
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, threshold: float = 0.3) -> DataFrame:
-    """The rows of docs that the classifier doesn't reject."""
+    """The rows of docs that the classifier doesn't reject, with all their columns, whatever their names."""
     score = quality_score(fit_quality(docs, labels))
-    return docs.withColumn("_score", score(F.col("text").cast("string"))).where(F.col("_score") >= threshold).drop("_score")
+    return docs.where(score(F.col("text").cast("string")) >= threshold)

@@ -24,7 +24,7 @@ import pyarrow as pa
 import regex
 
 CUT = re.compile(r" (?=\S)")
-LIMIT = 500_000  # entries of one cache generation; two generations are held
+LIMIT = 200_000  # entries of one cache generation; two generations are held
 STEP = 1 << 20  # characters encoded at a time
 BEYOND = re.compile("[^\x00-\x1b\x20-\u012f\u0131-\u024f]").search  # the others mean the same to Python and to the library, in any case
 DIVIDERS = re.compile("[\x1c-\x1f]").search  # white space to Python only

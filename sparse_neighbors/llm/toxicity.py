@@ -1,19 +1,20 @@
-"""Toxicity by class-conditional models with absolute discounting and pooled backoff.
+"""Toxicity by class-conditional Kneser-Ney models.
 
-For each class a chain of models gives a word's probability: by its first LETTERS[1] bytes, its first LETTERS[0] bytes
-given these, the word given that, and the word given the word before it. Each step discounts the class's counts and
-gives the freed mass, by the number of different continuations the class has seen, to a backoff distribution from the
-counts of both classes together. So an expression seen rarely, or only by its beginning, is judged by what both classes
-share, and differs only as far as its beginning does. Counts are numbers of documents.
+For each class a word's probability is interpolated over two orders. The pair order counts in how many documents the word follows
+the one before it. The order below has continuation counts: after how many different words a word was seen. It is a chain
+of a word's first LETTERS[1] bytes, its first LETTERS[0] bytes given these, and the word given those, so that a stem speaks for a word
+that was seldom or never seen. Every count of a class gives up DISCOUNT; what is freed goes to the same event's counts over both
+classes together, and what those free to the next order. So a rare expression differs between the classes only as far as what
+it shares with others does, and each model sums to 1 over words.
 
-A document's evidence is the difference of its toxic and ordinary log-likelihoods per word, together with the largest
-sum in a window of WINDOW words (which a long text doesn't dilute). Their weights are fitted by logistic regression, each training
-document being scored without its own counts.
+The length-normalised log-likelihoods of the two classes are compared at both orders: over the whole text, and over the windows
+of WINDOWS words where they differ most, as a long text dilutes a short passage. A logistic regression weighs these; each
+training document is scored without its own counts.
 
 Only labelled documents, SAMPLE of each class at most, are learned from; every count of theirs is kept, down to what a
-single document holds, as sorted hashes with small integers, which are broadcast once. Results for odd input: a null or empty text has no evidence and the score of zeros; without labels of both classes the score is
-0; a null doc_id is scored and never held out; rows that repeat are scored alike; an empty table gives an empty result;
-other columns are ignored.
+single document holds, as sorted hashes with small integers, which are broadcast once. Results for odd input: a null or empty
+text has no evidence and the score of zeros; without labels of both classes the score is 0; a null doc_id is scored and never
+held out; rows that repeat are scored alike; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -33,41 +34,82 @@ from .textscan import hashed_spans, mix64
 SAMPLE = {1: 8_000, 0: 12_000}
 LETTERS = (6, 3)
 DISCOUNT = 0.75
-WINDOW = 12
-FEATURES = 4
+BOTH = 2
+LARGE = 255
+WINDOWS = (12, 1)
+FEATURES = 1 + 2 * (1 + len(WINDOWS))
 
 
-def levels(borders: np.ndarray, hashes: list[np.ndarray]) -> list[np.ndarray]:
-    """Per word: root, short prefix, long prefix, word, pair with the word before it (with a border mark at the start)."""
+@dataclass
+class Words:
+    """Hashes of every word of some texts: its first bytes, itself, the word before it, both together."""
+
+    short: np.ndarray
+    long: np.ndarray
+    word: np.ndarray
+    before: np.ndarray
+    pair: np.ndarray
+
+
+def words_of(borders: np.ndarray, hashes: list[np.ndarray]) -> Words:
+    """The word before a text's first word is a border mark."""
     word, long, short = hashes
     before = np.concatenate([[0], word[:-1]]).astype(np.uint64)
-    starts = borders[:-1][np.diff(borders) > 0]
-    before[starts] = 1
-    context = mix64(before * np.uint64(0x9FB21C651E98DF25) + np.uint64(77))
-    pair = mix64(context + word * np.uint64(0xC2B2AE3D27D4EB4F))
-    return [np.zeros(len(word), np.uint64), mix64(short + np.uint64(1)), mix64(long + np.uint64(2)), mix64(word + np.uint64(3)), context, pair]
+    before[borders[:-1][np.diff(borders) > 0]] = 1
+    before = mix64(before * np.uint64(0x9FB21C651E98DF25) + np.uint64(77))
+    return Words(mix64(short + np.uint64(1)), mix64(long + np.uint64(2)), word, before, pair_hash(before, word))
 
 
-ROOT, SHORT, LONG, WORD, CONTEXT, PAIR = range(6)
-STEPS = ((ROOT, SHORT), (SHORT, LONG), (LONG, WORD), (CONTEXT, PAIR))  # (given, event)
+def pair_hash(before: np.ndarray, word: np.ndarray) -> np.ndarray:
+    return mix64(before + word * np.uint64(0xC2B2AE3D27D4EB4F))
 
 
 @dataclass
 class Counts:
-    """Of one level: sorted keys, documents per class, and of contexts the different events after them per class."""
-
-    keys: np.ndarray
-    docs: np.ndarray  # keys x 2
-    kinds: np.ndarray | None = None
-
-    def find(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray | None]:
-        if not len(self.keys):
-            nothing = np.zeros((len(keys), 2))
-            return nothing, nothing.copy()
-        at = np.searchsorted(self.keys, keys)
-        at[at == len(self.keys)] = 0
-        ok = (self.keys[at] == keys)[:, None]
-        return tuple(None if x is None else np.where(ok, x[at], 0).astype(float) for x in (self.docs, self.kinds))
+    """Of one order: 32 bits of each key in the order of keys, the border of each run of equal leading bits, and columns of counts.
+
+    Counts take a byte; a row with one of LARGE or more is kept apart in full. Leading and kept bits tell keys apart: of n keys,
+    about 32 + log2(n / 4) bits.
+    """
+
+    bits: int
+    borders: np.ndarray
+    rest: np.ndarray
+    columns: np.ndarray
+    large_at: np.ndarray
+    large: np.ndarray
+
+    @staticmethod
+    def of(keys: np.ndarray, *columns: np.ndarray) -> Counts:
+        order = np.argsort(keys)
+        keys, table = keys[order], np.stack(columns, 1)[order].astype(np.int64)
+        bits = max(1, len(keys).bit_length() - 2)
+        borders = np.searchsorted(keys >> np.uint64(64 - bits), np.arange((1 << bits) + 1, dtype=np.uint64)).astype(np.uint32)
+        rest = (keys >> np.uint64(32 - bits)).astype(np.uint32)
+        at = np.flatnonzero(table.max(1, initial=0) >= LARGE)
+        return Counts(bits, borders, rest, np.minimum(table, LARGE).astype(np.uint8), at, table[at])
+
+    def find(self, keys: np.ndarray) -> np.ndarray:
+        """Rows of the keys, zeros for a key that isn't there."""
+        out = np.zeros((len(keys), self.columns.shape[1]))
+        if not len(self.rest) or not len(keys):
+            return out
+        run, wanted = (keys >> np.uint64(64 - self.bits)).astype(np.int64), (keys >> np.uint64(32 - self.bits)).astype(np.uint32)
+        at, end = self.borders[run].astype(np.int64), self.borders[run + 1].astype(np.int64)
+        open_ = np.flatnonzero(at < end)
+        while len(open_):  # as often as the longest run, some 20 times
+            here = at[open_]
+            same = self.rest[here] == wanted[open_]
+            hit, rows = open_[same], here[same]
+            out[hit] = self.columns[rows]
+            if len(self.large_at):
+                where = np.minimum(np.searchsorted(self.large_at, rows), len(self.large_at) - 1)
+                big = self.large_at[where] == rows
+                out[hit[big]] = self.large[where[big]]
+            open_ = open_[~same]
+            at[open_] += 1
+            open_ = open_[at[open_] < end[open_]]
+        return out
 
 
 def own_counts(owner: np.ndarray, given: np.ndarray, event: np.ndarray, single: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -84,97 +126,136 @@ def own_counts(owner: np.ndarray, given: np.ndarray, event: np.ndarray, single:
     return out[0], out[1]
 
 
+def discounted(count: np.ndarray, kinds: np.ndarray, total: np.ndarray, lower: np.ndarray) -> np.ndarray:
+    """Discounted relative count, and what the discounts freed times the lower order; the lower order alone without a count."""
+    freed = np.maximum(count - DISCOUNT, 0) + DISCOUNT * kinds * lower
+    return np.where(total > 0, np.minimum(freed / np.maximum(total, 1), 1), lower)
+
+
 @dataclass
 class Toxicity:
-    given: list[Counts]
-    event: list[Counts]
+    """Counts have a column for class 0, class 1 and both together (BOTH); where kinds of what follows are counted, three more for these."""
+
+    pairs: Counts  # documents, without the column for both
+    before: Counts  # documents summed over pairs; different words after
+    words: Counts  # different words before
+    long: Counts  # the same, summed over words; different words
+    short: Counts  # the same, summed over words; different long beginnings
+    root: np.ndarray  # the same, summed over words; different short beginnings
     weights: np.ndarray
 
-    def step(self, s: int, g: np.ndarray, e: np.ndarray, owner: np.ndarray | None = None, own: np.ndarray | None = None) -> np.ndarray:
-        """One step's part of the evidence. With `owner`, each word's document, and `own`, the class whose counts hold it: without these."""
-        n, kinds = self.given[s].find(g)
-        c, _ = self.event[s].find(e)
+    def probabilities(self, x: Words, owner: np.ndarray | None = None, own: np.ndarray | None = None) -> np.ndarray:
+        """P(word) and P(word | word before), in each class (words x order x class). With `owner`, each word's document, and `own`, the class whose counts hold it: without these."""
+        pair, before, word, long, short = self.pairs.find(x.pair) @ np.array([[1, 0, 1], [0, 1, 1]]), self.before.find(x.before), self.words.find(x.word), self.long.find(x.long), self.short.find(x.short)
+        root = np.broadcast_to(self.root.astype(float), (len(x.word), 6))
         if owner is not None:
             at = np.arange(len(own))
-            events, lost = own_counts(owner, g, e, c[at, own] <= 1)
-            for counts, less in ((c, 1), (n, events), (kinds, lost)):
-                counts[at, own] = np.maximum(counts[at, own] - less, 0)
-        shared = (c.sum(1) + 0.5) / (n.sum(1) + 0.5 * (kinds.sum(1) + 1))
-        p = (np.maximum(c - DISCOUNT, 0) + DISCOUNT * np.maximum(kinds, 1) * shared[:, None]) / np.maximum(n, 1)
-        p = np.where(n > 0, np.minimum(p, 1), np.minimum(shared, 1)[:, None])
-        return np.log(p[:, 1]) - np.log(p[:, 0])
-
-    def evidence(self, parts: list[np.ndarray], owner: np.ndarray | None = None, own: np.ndarray | None = None) -> np.ndarray:
-        """log P(word | toxic) - log P(word | ordinary) for each word; `owner`, `own`: as in step."""
-        if owner is not None:
-            total = sum(self.step(s, parts[g], parts[e], owner, own) for s, (g, e) in enumerate(STEPS))
-        else:  # the chain depends on the word alone
-            _, first, back = np.unique(parts[WORD], return_index=True, return_inverse=True)
-            total = sum(self.step(s, parts[g][first], parts[e][first]) for s, (g, e) in enumerate(STEPS[:-1]))[back]
-            total = total + self.step(len(STEPS) - 1, parts[CONTEXT], parts[PAIR])
-        return np.clip(total, -4, 8)
-
-    def features(self, borders: np.ndarray, parts: list[np.ndarray], own: np.ndarray | None = None) -> np.ndarray:
+            for column in (own, BOTH):
+                alone = pair[at, column] <= 1
+                events, lost = own_counts(owner, x.before, x.pair, alone)
+                pair[at, column] -= 1
+                before[at, column] -= events
+                before[at, 3 + column] -= lost
+                for counts, name in ((word, x.word), (long, x.long), (short, x.short)):
+                    counts[at, column] -= own_counts(owner, name, x.pair, alone)[1]
+                long[at, 3 + column] -= own_counts(owner, x.long, x.word, word[at, column] <= 0)[1]
+                short[at, 3 + column] -= own_counts(owner, x.short, x.long, long[at, column] <= 0)[1]
+            for counts in (pair, before, word, long, short):
+                np.maximum(counts, 0, out=counts)
+        chain = ((root, short), (short, long), (long, word))
+        shared = []
+        for given, event in chain:  # an event that neither class has seen counts as one kind more
+            unseen = 1 / (given[:, 3 + BOTH] + 1)
+            shared.append(np.where(given[:, BOTH] > 0, discounted(event[:, BOTH], given[:, 3 + BOTH], given[:, BOTH], unseen), 1))
+        out = np.empty((len(x.word), 2, 2))
+        for c in (0, 1):
+            single = np.ones(len(x.word))
+            for (given, event), lower in zip(chain, shared, strict=True):
+                single = single * discounted(event[:, c], given[:, 3 + c], given[:, c], lower)
+            either = discounted(pair[:, BOTH], before[:, 3 + BOTH], before[:, BOTH], single)
+            out[:, 0, c] = single
+            out[:, 1, c] = discounted(pair[:, c], before[:, 3 + c], before[:, c], either)
+        return out
+
+    def features(self, borders: np.ndarray, x: Words, own: np.ndarray | None = None) -> np.ndarray:
         """`own`: the class of each text, where its counts are in the model."""
         owner = None if own is None else np.repeat(np.arange(len(own)), np.diff(borders))
-        llr = self.evidence(parts, owner, None if own is None else own[owner])
+        p = np.log(self.probabilities(x, owner, None if own is None else own[owner]))
         out = np.zeros((len(borders) - 1, FEATURES))
         out[:, 0] = 1
-        sums = np.concatenate([[0], np.cumsum(llr)])
         size = np.diff(borders)
-        some = np.flatnonzero(size)
-        if len(some):
-            owner_end = np.repeat(borders[1:], size)
-            until = np.minimum(np.arange(len(llr)) + WINDOW, owner_end)
-            windows = sums[until] - sums[np.arange(len(llr))]
-            out[some, 1] = (sums[borders[1:]] - sums[borders[:-1]])[some] / size[some]
-            out[some, 2] = np.maximum.reduceat(windows, borders[:-1][some])
-            out[some, 3] = np.maximum.reduceat(llr, borders[:-1][some])
+        some, ends = np.flatnonzero(size), np.repeat(borders[1:], size)
+        if not len(some):
+            return out
+        f = 1
+        for order in (0, 1):
+            sums = np.concatenate([[0], np.cumsum(p[:, order, 1] - p[:, order, 0])])
+            out[some, f] = (sums[borders[1:]] - sums[borders[:-1]])[some] / size[some]
+            for n in WINDOWS:
+                f += 1
+                windows = (sums[np.minimum(np.arange(len(p)) + n, ends)] - sums[:-1]) / n
+                out[some, f] = np.maximum.reduceat(windows, borders[:-1][some])
+            f += 1
         return out
 
     def score(self, text: pa.Array) -> np.ndarray:
         out = np.zeros(len(text))
         for i, j, borders, hashes in hashed_spans(text, LETTERS):
-            x = self.features(borders, levels(borders, hashes))
+            x = self.features(borders, words_of(borders, hashes))
             out[i:j] = 1 / (1 + np.exp(-np.clip(x @ self.weights, -30, 30)))
         return out
 
 
-def _keys(batches):
-    """Each document's different (given, event) pairs of every step, once."""
+def nothing(weights: np.ndarray) -> Toxicity:
+    empty = [Counts.of(np.zeros(0, np.uint64), *np.zeros((n, 0))) for n in (2, 6, 3, 6, 6)]
+    return Toxicity(*empty, np.zeros(6), weights)
+
+
+def _pairs(batches):
+    """Each document's different pairs, once."""
     for batch in batches:
         labels = np.asarray(batch.column("label"))
         for i, j, borders, hashes in hashed_spans(batch.column("text"), LETTERS):
-            parts = levels(borders, hashes)
+            x = words_of(borders, hashes)
             owner = np.repeat(np.arange(j - i), np.diff(borders))
-            for step, (g, e) in enumerate(STEPS):
-                code = mix64(parts[g] ^ (parts[e] * np.uint64(0x165667B19E3779F9)))
-                order = np.lexsort((code, owner))
-                first = np.ones(len(order), bool)
-                first[1:] = (code[order][1:] != code[order][:-1]) | (owner[order][1:] != owner[order][:-1])
-                at = order[first]
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(np.full(len(at), step, np.int32)), pa.array(parts[g][at].view(np.int64)), pa.array(parts[e][at].view(np.int64)), pa.array(labels[i + owner[at]].astype(np.int32))],
-                    ["step", "given", "event", "label"],
-                )
-
-
-def _small(*columns) -> np.ndarray:
-    out = np.stack([np.asarray(c, dtype=np.int64) for c in columns], 1)
-    return out.astype(np.min_scalar_type(int(out.max(initial=0))))
-
-
-def _counts(rows: DataFrame, key: str, step: int, kinds: bool) -> Counts:
-    """All counts of a level: as many as the sample has, whatever the size of the table."""
-    kept = rows.where(F.col("step") == step)
-    if kinds:
-        kept = kept.groupBy(key).agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"), F.sum((F.col("n0") > 0).cast("int")).alias("k0"), F.sum((F.col("n1") > 0).cast("int")).alias("k1"))
-    columns = ("n0", "n1", "k0", "k1") if kinds else ("n0", "n1")
-    got = kept.select(key, *(F.col(c).cast("int").alias(c) for c in columns)).toArrow()
-    keys = np.asarray(got[key], dtype=np.int64).view(np.uint64)
-    order = np.argsort(keys)
-    small = [_small(got[a], got[b])[order] for a, b in zip(columns[::2], columns[1::2], strict=True)]
-    return Counts(keys[order], *small)
+            order = np.lexsort((x.pair, owner))
+            first = np.ones(len(order), bool)
+            first[1:] = (x.pair[order][1:] != x.pair[order][:-1]) | (owner[order][1:] != owner[order][:-1])
+            at = order[first]
+            columns = [pa.array(v[at].view(np.int64)) for v in (x.before, x.word, x.long, x.short)]
+            yield pa.RecordBatch.from_arrays([*columns, pa.array(labels[i + owner[at]].astype(np.int32))], ["before", "word", "long", "short", "label"])
+
+
+def _table(rows: DataFrame, *names: str) -> list[np.ndarray]:
+    got = rows.select(*(F.col(n).cast("long").alias(n) for n in names)).toArrow()
+    return [np.asarray(got[n], dtype=np.int64) for n in names]
+
+
+def _summed(at: np.ndarray, n: int, columns: list[np.ndarray]) -> list[np.ndarray]:
+    return [np.bincount(at, x, n).astype(np.int64) for x in columns]
+
+
+def _model(pairs: DataFrame) -> Toxicity:
+    """All orders of both classes from the counted pairs (before, word, long, short, n0, n1): as many counts as the sample has."""
+    before, word, n0, n1 = _table(pairs, "before", "word", "n0", "n1")
+    before, word = before.view(np.uint64), word.view(np.uint64)
+    counted = Counts.of(pair_hash(before, word), n0, n1)
+    names, at = np.unique(before, return_inverse=True)
+    after = Counts.of(names, *_summed(at, len(names), [n0, n1, n0 + n1, n0 > 0, n1 > 0, np.ones(len(at))]))
+    del before, word, n0, n1, at
+    seen = [F.sum((F.col(n) > 0).cast("long")).alias(c) for n, c in (("n0", "c0"), ("n1", "c1"))]
+    word, *levels, c0, c1, both = _table(pairs.groupBy("word", "long", "short").agg(*seen, F.count("*").alias("c")), "word", "long", "short", "c0", "c1", "c")
+    columns = [c0, c1, both]
+    words = Counts.of(word.view(np.uint64), *columns)
+    found = []
+    for i, level in enumerate(levels):  # each name has one name on the level above it
+        names, first, at = np.unique(level, return_index=True, return_inverse=True)
+        columns = _summed(at, len(names), columns + [x > 0 for x in columns])
+        found.append(Counts.of(names.view(np.uint64), *columns))
+        columns = columns[:3]
+        levels[i + 1 :] = [x[first] for x in levels[i + 1 :]]
+    root = np.array([x.sum() for x in columns] + [(x > 0).sum() for x in columns], float)
+    return Toxicity(counted, after, words, *found, root, np.zeros(FEATURES))
 
 
 def logistic(x: np.ndarray, y: np.ndarray, w: np.ndarray, l2: float = 1.0) -> np.ndarray:
@@ -191,27 +272,30 @@ def logistic(x: np.ndarray, y: np.ndarray, w: np.ndarray, l2: float = 1.0) -> np
 
 def fit_toxicity(docs: DataFrame, labels: DataFrame, mod: int = 3, held: int = 1) -> tuple[Broadcast, np.ndarray]:
     """The model, its counts broadcast, and the weights of the evidence."""
-    prepare_workers(docs.sparkSession)
+    spark = docs.sparkSession
+    prepare_workers(spark)
     sample = materialize(sample_texts(docs, labels, "toxic", mod, held, SAMPLE), "sample")
     classes = {r["label"] for r in sample.select("label").distinct().collect()}
     if len(classes) < 2:
         discard(sample)
-        nothing = [Counts(np.zeros(0, np.uint64), np.zeros((0, 2)))] * len(STEPS)
-        return docs.sparkSession.sparkContext.broadcast(Toxicity(nothing, nothing, np.zeros(FEATURES))), np.array([-30.0] + [0.0] * (FEATURES - 1))
-    rows = sample.mapInArrow(_keys, "step int, given long, event long, label int").groupBy("step", "given", "event")
-    rows = materialize(rows.agg(F.sum(F.when(F.col("label") == 0, 1).otherwise(0)).alias("n0"), F.sum(F.when(F.col("label") == 1, 1).otherwise(0)).alias("n1")), "counts")
-    steps = range(len(STEPS))
-    counts = docs.sparkSession.sparkContext.broadcast(Toxicity([_counts(rows, "given", s, True) for s in steps], [_counts(rows, "event", s, False) for s in steps], np.zeros(FEATURES)))
+        weights = np.array([-30.0] + [0.0] * (FEATURES - 1))
+        return spark.sparkContext.broadcast(nothing(weights)), weights
+    rows = sample.mapInArrow(_pairs, "before long, word long, long long, short long, label int").groupBy("before", "word", "long", "short")
+    rows = materialize(rows.agg(F.sum(1 - F.col("label")).alias("n0"), F.sum("label").alias("n1")), "counts")
+    model = _model(rows)
+    discard(rows)
+    counts = spark.sparkContext.broadcast(model)
+    del model
 
     def training(batches):
         for batch in batches:
             labels_, weights = np.asarray(batch.column("label")), np.asarray(batch.column("weight"))
             for i, j, borders, hashes in hashed_spans(batch.column("text"), LETTERS):
-                x = counts.value.features(borders, levels(borders, hashes), labels_[i:j].astype(int))
+                x = counts.value.features(borders, words_of(borders, hashes), labels_[i:j].astype(int))
                 yield pa.RecordBatch.from_arrays([pa.array(labels_[i:j].astype(np.int32)), pa.array(weights[i:j]), pa.array(list(x), pa.list_(pa.float64()))], ["label", "weight", "x"])
 
     got = sample.mapInArrow(training, "label int, weight double, x array<double>").toPandas()
-    discard(sample, rows)
+    discard(sample)
     x = np.array(got["x"].tolist(), float)
     order = np.lexsort(np.column_stack([x, got["label"]]).T)
     return counts, logistic(x[order], got["label"].to_numpy(float)[order], got["weight"].to_numpy(float)[order])
@@ -233,6 +317,6 @@ def score_toxicity(docs: DataFrame, labels: DataFrame, threshold: float = 0.7) -
 
 
 def keep_civil(docs: DataFrame, labels: DataFrame, threshold: float = 0.7) -> DataFrame:
-    """The rows of docs that the models don't call toxic."""
+    """The rows of docs that the models don't call toxic, with all their columns, whatever their names."""
     score = toxicity_score(*fit_toxicity(docs, labels))
-    return docs.withColumn("_score", score(F.col("text").cast("string"))).where(F.col("_score") < threshold).drop("_score")
+    return docs.where(score(F.col("text").cast("string")) < threshold)

@@ -64,24 +64,113 @@ def test_toxicity_on_held_out_rows(tables):
     assert kept.columns == docs.columns and kept.count() == sum(not r.predicted for r in got)
 
 
-def test_toxicity_keeps_every_count_of_the_sample(tables):
+class ScalarKneserNey:
+    """The same model from dictionaries: rows of (class, different (word before, word) pairs of a document)."""
+
+    def __init__(self, rows):
+        self.pair = [Counter(), Counter(), Counter()]
+        for label, pairs in rows:
+            for x in pairs:
+                self.pair[label][x] += 1
+                self.pair[2][x] += 1
+        self.short, self.long, self.word = ([{} for _ in range(3)] for _ in range(3))
+        self.after = [{} for _ in range(3)]
+        for c in range(3):
+            for (before, w), n in self.pair[c].items():
+                self.after[c].setdefault(before, []).append(n)
+                for level, given, event in ((self.short, "", w[:3]), (self.long, w[:3], w[:6]), (self.word, w[:6], w)):
+                    own = level[c].setdefault(given, Counter())
+                    own[event] += 1
+
+    def step(self, level, c, given, event, lower):
+        counts = level[c].get(given)
+        if not counts:
+            return lower
+        return (max(counts[event] - 0.75, 0) + 0.75 * len(counts) * lower) / sum(counts.values())
+
+    def shared(self, level, given, event):
+        counts = level[2].get(given)
+        return self.step(level, 2, given, event, 1 / (len(counts) + 1)) if counts else 1.0
+
+    def single(self, c, short, long, word):
+        out = 1.0
+        for level, given, event in ((self.short, "", short), (self.long, short, long), (self.word, long, word)):
+            out *= self.step(level, c, given, event, self.shared(level, given, event))
+        return out
+
+    def paired(self, c, before, short, long, word):
+        lower = self.single(c, short, long, word)
+        for k in (2, c):
+            after = self.after[k].get(before)
+            if after:
+                lower = (max(self.pair[k][before, word] - 0.75, 0) + 0.75 * len(after) * lower) / sum(after)
+        return lower
+
+    def events(self):
+        """Every known word, and one unknown event beneath each known beginning."""
+        for short in [*self.short[2][""], None]:
+            for long in [*(self.long[2].get(short) or ()), ("long", short)]:
+                for word in [*(self.word[2].get(long) or ()), ("word", long)]:
+                    yield short, long, word
+
+
+def pairs_of(text):
+    w = [x for x in re.findall(rb"[^\x20\x09-\x0D]+", re.sub(rb"[A-Z]", lambda m: m[0].lower(), (text or "").encode()))]
+    return list(zip([None, *w], w))
+
+
+def test_toxicity_is_interpolated_kneser_ney(tables):
     docs, labels, rows, truth = tables
     model = toxicity.fit_toxicity(docs, labels)[0].value
-    known = {i: t for i, t, *_ in rows if i is not None and i in truth and zlib.crc32(str(i).encode()) % 3 != 1}
-    twice = Counter(i for i, *_ in rows if i in known)
-    seen = [Counter(), Counter()]
-    for i, t in known.items():
-        w = [x.lower() for x in (t or "").split()]
-        for x in set(zip([None, *w], w)):
-            seen[truth[i][1]][x] += twice[i]
-    pairs = seen[0].keys() | seen[1].keys()
-    found = model.event[3]
-    assert len(found.keys) == len(pairs) and min(found.docs.sum(1)) == 1
-    assert Counter(map(tuple, found.docs.tolist())) == Counter((seen[0][x], seen[1][x]) for x in pairs)
-    # a document taken out of the counts is scored as by a model that never held it
-    owner, given, event = np.array([0, 0, 0, 1]), np.array([7, 7, 7, 7]), np.array([1, 2, 1, 2])
-    events, lost = toxicity.own_counts(owner, given, event, np.array([True, False, True, False]))
-    assert events.tolist() == [2, 2, 2, 1] and lost.tolist() == [1, 1, 1, 0]
+    known = [(truth[i][1], set(pairs_of(t))) for i, t, *_ in rows if i is not None and i in truth and zlib.crc32(str(i).encode()) % 3 != 1]
+    plain = ScalarKneserNey(known)
+    assert len(model.pairs.rest) == len(plain.pair[2]) and model.root[2] == len(plain.pair[2])
+    for c in (0, 1):
+        assert math.isclose(sum(plain.single(c, *e) for e in plain.events()), 1, rel_tol=1e-9)
+        for before in (None, next(iter(plain.pair[c]))[1], b"never seen"):
+            assert math.isclose(sum(plain.paired(c, before, *e) for e in plain.events()), 1, rel_tol=1e-9)
+    texts = [rows[1][1], rows[2][1], "unseen zgruxxx Zgrukkas words", "", None, " \n"]
+    for i, j, borders, hashes in toxicity.hashed_spans(pa.array(texts), toxicity.LETTERS):
+        got = model.probabilities(toxicity.words_of(borders, hashes))
+        want = []
+        for t in texts[i:j]:
+            for before, w in pairs_of(t):
+                want.append([[plain.single(c, w[:3], w[:6], w) for c in (0, 1)], [plain.paired(c, before, w[:3], w[:6], w) for c in (0, 1)]])
+        assert np.allclose(got, want, rtol=1e-9)
+
+
+def test_a_document_is_scored_without_its_own_counts(tables):
+    docs, labels, rows, truth = tables
+    model = toxicity.fit_toxicity(docs, labels)[0].value
+    known = [(i, truth[i][1], t) for i, t, *_ in rows if i is not None and i in truth and zlib.crc32(str(i).encode()) % 3 != 1]
+    chosen = [x for x in known if x[0] not in (3, 5)][4:6]
+    for i, label, text in chosen:
+        plain = ScalarKneserNey([(c, set(pairs_of(t))) for n, c, t in known if n != i])
+        for _, _, borders, hashes in toxicity.hashed_spans(pa.array([text]), toxicity.LETTERS):
+            n = int(borders[-1])
+            got = model.probabilities(toxicity.words_of(borders, hashes), np.zeros(n, int), np.full(n, label))
+        want = [[[plain.single(c, w[:3], w[:6], w) for c in (0, 1)], [plain.paired(c, p, w[:3], w[:6], w) for c in (0, 1)]] for p, w in pairs_of(text)]
+        assert np.abs(np.log(got) - np.log(want)).max() < 0.05  # the root keeps a beginning that only this document had
+
+
+def test_counts_are_found_by_hash():
+    rng = np.random.default_rng(3)
+    for n in (0, 1, 3, 5000):
+        keys = np.unique(rng.integers(0, 1 << 63, n).astype(np.uint64) * np.uint64(2))
+        table = rng.integers(0, 400, (len(keys), 2))
+        counts = toxicity.Counts.of(keys, table[:, 0], table[:, 1])
+        order = rng.permutation(len(keys))
+        assert (counts.find(keys[order]) == table[order]).all()
+        assert not counts.find(rng.integers(0, 1 << 63, n).astype(np.uint64) * np.uint64(2) + np.uint64(1)).any()
+
+
+def test_columns_of_any_name_stay(tables):
+    docs, labels, *_ = tables
+    from pyspark.sql import functions as F
+
+    more = docs.withColumn("_score", F.lit("mine")).withColumn("weight", F.lit(1)).withColumn("x", F.lit(2))
+    for kept in (quality.keep_good(more, labels), toxicity.keep_civil(more, labels)):
+        assert kept.columns == more.columns and {r._score for r in kept.collect()} == {"mine"}
 
 
 def test_without_labels_or_rows(tables):

@@ -52,6 +52,13 @@ def make_texts(seed=3):
                 own[rng.randrange(len(own))] = word()
             out.append(" ".join(own))
     shared = " ".join(word() for _ in range(60))
+    wide = [word() + word() for _ in range(900)]
+    for n in (0, 15, 40, 150):
+        own = list(wide)
+        for _ in range(n):
+            own[rng.randrange(len(own))] = word()
+        out.append(" ".join(own))
+    out.append(" ".join(wide[:500] + [word() + word() for _ in range(520)]))
     out += [f"{word()} {shared} {word()} {' '.join(word() for _ in range(n))}" for n in (1, 2, 3, 5, 20, 60)]
     out += ["", None, " \n\t ", "One", "ONE", "one two", "x " * 400, "x " * 400 + "y"]
     return [(i * 7 % 1009, t) for i, t in enumerate(out)]
@@ -89,6 +96,26 @@ def test_sketch_distance_bounds_the_difference():
         assert apart <= len(np.setxor1d(a, b))
 
 
+def test_wide_sketches_bound_the_difference(spark):
+    from pyspark.sql import functions as F
+
+    rng = np.random.default_rng(4)
+    rows, want = [], []
+    for i, (n, m) in enumerate([(600, 600), (1000, 1100), (513, 1025), (5000, 4200), (2048, 2049)]):
+        base = np.unique(rng.integers(0, 1 << 63, n + m // 4).astype(np.uint64))
+        a, b = base[:n], np.concatenate([base[m // 4 :][: m - m // 8], np.unique(rng.integers(0, 1 << 63, m // 8).astype(np.uint64))])
+        wa, wb = (ngram_join.sketch(x, ngram_join.wide_words(len(x))) for x in (a, b))
+        small = min(len(wa), len(wb))
+        halves = [x if len(x) == small else x[:small] ^ x[small:] for x in (wa, wb)]
+        assert all((x == ngram_join.sketch(y, small)).all() for x, y in zip(halves, (a, b), strict=True))
+        want.append(int(np.bitwise_count((halves[0] ^ halves[1]).view(np.uint64)).sum()))
+        assert want[-1] <= len(np.setxor1d(a, b)) and 64 * small >= min(len(a), len(b))
+        rows.append((i, wa.tolist(), wb.tolist()))
+    df = spark.createDataFrame(rows, "i int, a array<long>, b array<long>")
+    got = df.select("i", ngram_join.wide_distance(F.col("a"), F.col("b")).alias("d")).orderBy("i").collect()
+    assert [r.d for r in got] == want and ngram_join.wide_words(512) == 0
+
+
 def test_linked_sets_share_a_key():
     rng = np.random.default_rng(2)
     for bands in (ngram_join.Bands(9, 10), ngram_join.Bands(4, 5)):

@@ -24,7 +24,7 @@ from dataclasses import dataclass, replace
 import numpy as np
 import pyarrow as pa
 from pyspark import Broadcast
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .labelled import remainder, sample_texts
@@ -82,7 +82,7 @@ class Counts:
     @staticmethod
     def of(keys: np.ndarray, *columns: np.ndarray) -> Counts:
         order = np.argsort(keys)
-        keys, table = keys[order], np.stack(columns, 1)[order].astype(np.int64)
+        keys, table = keys[order], np.stack(columns, 1)[order]
         bits = max(1, len(keys).bit_length() - 2)
         borders = np.searchsorted(keys >> np.uint64(64 - bits), np.arange((1 << bits) + 1, dtype=np.uint64)).astype(np.uint32)
         rest = (keys >> np.uint64(32 - bits)).astype(np.uint32)
@@ -222,40 +222,38 @@ def _pairs(batches):
             first = np.ones(len(order), bool)
             first[1:] = (x.pair[order][1:] != x.pair[order][:-1]) | (owner[order][1:] != owner[order][:-1])
             at = order[first]
-            columns = [pa.array(v[at].view(np.int64)) for v in (x.before, x.word, x.long, x.short)]
-            yield pa.RecordBatch.from_arrays([*columns, pa.array(labels[i + owner[at]].astype(np.int32))], ["before", "word", "long", "short", "label"])
+            columns = [pa.array(v[at].view(np.int64)) for v in (x.pair, x.before, x.word, x.long, x.short)]
+            yield pa.RecordBatch.from_arrays([*columns, pa.array(labels[i + owner[at]].astype(np.int32))], ["pair", "before", "word", "long", "short", "label"])
 
 
 def _table(rows: DataFrame, *names: str) -> list[np.ndarray]:
-    got = rows.select(*(F.col(n).cast("long").alias(n) for n in names)).toArrow()
-    return [np.asarray(got[n], dtype=np.int64) for n in names]
+    """The keys in the first column and counts in the others, all of them: a sample of bounded size is behind them."""
+    got = rows.select(F.col(names[0]), *(F.col(n).cast("int").alias(n) for n in names[1:])).toArrow()
+    return [np.asarray(got[names[0]], dtype=np.int64).view(np.uint64), *(np.asarray(got[n], dtype=np.int32) for n in names[1:])]
 
 
-def _summed(at: np.ndarray, n: int, columns: list[np.ndarray]) -> list[np.ndarray]:
-    return [np.bincount(at, x, n).astype(np.int64) for x in columns]
+def _model(pairs: DataFrame) -> Toxicity:
+    """All orders of both classes from the counted pairs (pair, before, word, long, short, n0, n1)."""
 
+    def sums(*columns: str) -> list[Column]:
+        return [F.sum(c).alias(c) for c in columns]
 
-def _model(pairs: DataFrame) -> Toxicity:
-    """All orders of both classes from the counted pairs (before, word, long, short, n0, n1): as many counts as the sample has."""
-    before, word, n0, n1 = _table(pairs, "before", "word", "n0", "n1")
-    before, word = before.view(np.uint64), word.view(np.uint64)
-    counted = Counts.of(pair_hash(before, word), n0, n1)
-    names, at = np.unique(before, return_inverse=True)
-    after = Counts.of(names, *_summed(at, len(names), [n0, n1, n0 + n1, n0 > 0, n1 > 0, np.ones(len(at))]))
-    del before, word, n0, n1, at
-    seen = [F.sum((F.col(n) > 0).cast("long")).alias(c) for n, c in (("n0", "c0"), ("n1", "c1"))]
-    word, *levels, c0, c1, both = _table(pairs.groupBy("word", "long", "short").agg(*seen, F.count("*").alias("c")), "word", "long", "short", "c0", "c1", "c")
-    columns = [c0, c1, both]
-    words = Counts.of(word.view(np.uint64), *columns)
+    def kinds(*columns: str) -> list[Column]:
+        return [F.sum((F.col(c) > 0).cast("int")).alias(f"k{c}") for c in columns]
+
+    counted = Counts.of(*_table(pairs, "pair", "n0", "n1"))
+    both = pairs.withColumn("n", F.col("n0") + F.col("n1"))
+    after = Counts.of(*_table(both.groupBy("before").agg(*sums("n0", "n1", "n"), *kinds("n0", "n1", "n")), "before", "n0", "n1", "n", "kn0", "kn1", "kn"))
+    seen = pairs.groupBy("word", "long", "short").agg(*kinds("n0", "n1"), F.count("*").alias("n"))
+    level = seen.withColumnsRenamed({"kn0": "n0", "kn1": "n1"})
+    words = Counts.of(*_table(level, "word", "n0", "n1", "n"))
     found = []
-    for i, level in enumerate(levels):  # each name has one name on the level above it
-        names, first, at = np.unique(level, return_index=True, return_inverse=True)
-        columns = _summed(at, len(names), columns + [x > 0 for x in columns])
-        found.append(Counts.of(names.view(np.uint64), *columns))
-        columns = columns[:3]
-        levels[i + 1 :] = [x[first] for x in levels[i + 1 :]]
-    root = np.array([x.sum() for x in columns] + [(x > 0).sum() for x in columns], float)
-    return Toxicity(counted, after, words, *found, root, np.zeros(FEATURES))
+    for name, above in (("long", ["short"]), ("short", [])):  # each name has one name above it
+        level = level.groupBy(name, *above).agg(*sums("n0", "n1", "n"), *kinds("n0", "n1", "n"))
+        found.append(Counts.of(*_table(level, name, "n0", "n1", "n", "kn0", "kn1", "kn")))
+        level = level.select(name, *above, "n0", "n1", "n")
+    root = level.agg(*sums("n0", "n1", "n"), *kinds("n0", "n1", "n")).first()
+    return Toxicity(counted, after, words, *found, np.array([root[c] for c in ("n0", "n1", "n", "kn0", "kn1", "kn")], float), np.zeros(FEATURES))
 
 
 def logistic(x: np.ndarray, y: np.ndarray, w: np.ndarray, l2: float = 1.0) -> np.ndarray:
@@ -280,7 +278,7 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, mod: int = 3, held: int = 1
         discard(sample)
         weights = np.array([-30.0] + [0.0] * (FEATURES - 1))
         return spark.sparkContext.broadcast(nothing(weights)), weights
-    rows = sample.mapInArrow(_pairs, "before long, word long, long long, short long, label int").groupBy("before", "word", "long", "short")
+    rows = sample.mapInArrow(_pairs, "pair long, before long, word long, long long, short long, label int").groupBy("pair", "before", "word", "long", "short")
     rows = materialize(rows.agg(F.sum(1 - F.col("label")).alias("n0"), F.sum("label").alias("n1")), "counts")
     model = _model(rows)
     discard(rows)

@@ -20,6 +20,7 @@ from __future__ import annotations
 import hashlib
 import struct
 import zlib
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -179,12 +180,16 @@ def parse(data: bytes) -> Image:
             break
         size = struct.unpack(">H", data[at + 2 : at + 4])[0]
         body, at = data[at + 4 : at + 2 + size], at + 2 + size
-        if marker in (0xC0, 0xC1, 0xC2):
+        if marker in (0xC0, 0xC1, 0xC3, *range(0xC5, 0xC8), *range(0xC9, 0xCC), *range(0xCD, 0xD0)):
+            raise ValueError("only progressive images with Huffman codes are read")
+        if marker == 0xC2:
             precision, image.height, image.width, n = struct.unpack(">BHHB", body[:6])
             if precision != 8:
                 raise ValueError("only 8-bit images are read")
             image.components = [Component(c, hv >> 4, hv & 15, t) for c, hv, t in (body[6 + 3 * i : 9 + 3 * i] for i in range(n))]
             hm, vm = max(c.h for c in image.components), max(c.v for c in image.components)
+            if any(hm % c.h or vm % c.v for c in image.components):
+                raise ValueError("only whole sampling ratios are read")
             mx, my = -(-image.width // (8 * hm)), -(-image.height // (8 * vm))
             for c in image.components:
                 c.wide, c.high = -(-(-(-image.width * c.h // hm)) // 8), -(-(-(-image.height * c.v // vm)) // 8)
@@ -571,18 +576,72 @@ def store_texts(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(_store, SCHEMA)
 
 
+TENSORS = 64 << 20  # bytes of decoded pixels after which rows are handed on
+
+
+def tensors(files: list[bytes | None]) -> Iterator[tuple[int, np.ndarray | None]]:
+    """(row, RGB tensor) in order; None for no file and for one that can't be read. Files decode together up to TENSORS bytes."""
+    basis = _basis()
+    held: list[tuple[int, bytes | None]] = []
+    size = 0
+
+    def decoded(group: list[bytes]) -> list[np.ndarray | None]:
+        try:
+            return [to_rgb(image, basis) for image in decode_batch(group)]
+        except (ValueError, IndexError, KeyError, struct.error):
+            return [None] if len(group) == 1 else [x for f in group for x in decoded([f])]
+
+    def pixels(file: bytes | None) -> int:
+        if not file:
+            return 0
+        try:
+            image = parse(file)
+        except (ValueError, IndexError, KeyError, struct.error):
+            return -1
+        return 3 * image.height * image.width if image.components else -1
+
+    def close():
+        found = iter(decoded([f for _, f in held if f is not None]))
+        yield from ((row, None if f is None else next(found)) for row, f in held)
+
+    for row, file in enumerate(files):
+        n = pixels(file)
+        if size + n > TENSORS and held:
+            yield from close()
+            held, size = [], 0
+        held.append((row, file if n > 0 else None))
+        size += max(n, 0)
+    if held:
+        yield from close()
+
+
 def decode_column(media: DataFrame, column: str = "media") -> DataFrame:
-    """media plus height, width and rgb (the tensor's bytes in row order) of a column of JPEG files; null for a null file."""
+    """media plus height, width and rgb (the tensor's bytes in row order) of a column of progressive JPEG files.
+
+    They are null for a null or empty file and for one that isn't a readable progressive image; columns of media with these
+    names are replaced. An empty table gives an empty result.
+    """
     prepare_workers(media.sparkSession)
-    schema = StructType([*media.schema, StructField("height", IntegerType()), StructField("width", IntegerType()), StructField("rgb", BinaryType())])
+    own = [f for f in media.schema if f.name not in ("height", "width", "rgb")]
+    schema = StructType([*own, StructField("height", IntegerType()), StructField("width", IntegerType()), StructField("rgb", BinaryType())])
+    names = [f.name for f in own]
+
+    def handed_on(batch, rows):
+        at, found = zip(*rows, strict=True)
+        kept = batch.select(names).slice(at[0], len(at))
+        extra = [pa.array([None if t is None else t.shape[i] for t in found], pa.int32()) for i in (0, 1)]
+        return pa.RecordBatch.from_arrays([*kept.columns, *extra, pa.array([None if t is None else t.tobytes() for t in found], pa.binary())], [*names, "height", "width", "rgb"])
 
     def run(batches):
-        basis = _basis()
         for batch in batches:
-            files = batch.column(column).to_pylist()
-            images = iter(decode_batch([f for f in files if f]))
-            tensors = [to_rgb(next(images), basis) if f else None for f in files]
-            extra = [pa.array([None if t is None else t.shape[0] for t in tensors], pa.int32()), pa.array([None if t is None else t.shape[1] for t in tensors], pa.int32()), pa.array([None if t is None else t.tobytes() for t in tensors], pa.binary())]
-            yield pa.RecordBatch.from_arrays([*batch.columns, *extra], [*batch.schema.names, "height", "width", "rgb"])
+            rows, size = [], 0
+            for row, t in tensors(batch.column(column).to_pylist()):
+                rows.append((row, t))
+                size += 0 if t is None else t.nbytes
+                if size > TENSORS:
+                    yield handed_on(batch, rows)
+                    rows, size = [], 0
+            if rows:
+                yield handed_on(batch, rows)
 
     return media.mapInArrow(run, schema)

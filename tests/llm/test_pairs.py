@@ -204,3 +204,24 @@ def test_table_distances_bound_true_distances():
     seen = np.sqrt(q.distances(x[:50], 0, codes[own]))
     true = np.sqrt(((x[:50, None] - x[own]) ** 2).sum(2))
     assert (np.abs(seen - true) <= missed[own] + 1e-9).all()
+
+
+def test_vector_recall_with_many_lists():
+    """More lists than probes: links found among vectors that share a list by the two-sided probing rule, against brute force."""
+    rng = np.random.default_rng(11)
+    centres = vector_dedup.unit(rng.normal(size=(700, 48)))
+    near = vector_dedup.unit(np.repeat(centres, 9, 0) + rng.normal(size=(6300, 48)) * 0.035)
+    x = near[rng.permutation(len(near))]
+    lists = -(-len(x) // vector_dedup.LIST_ROWS)
+    assert lists > vector_dedup.PROBES
+    q = vector_dedup.Quantiser.fit(x, lists)
+    probes = vector_dedup.nearest(x, q.centres, vector_dedup.PROBES)
+    own = probes[:, 0]
+    found = total = 0
+    for a in range(0, len(x), 700):
+        i, j = np.nonzero(x[a : a + 700] @ x.T >= 0.93)
+        i += a
+        i, j = i[i < j], j[i < j]
+        total += len(i)
+        found += int(((probes[i] == own[j][:, None]).any(1) | (probes[j] == own[i][:, None]).any(1)).sum())
+    assert total > 5000 and found >= 0.9 * total

@@ -229,8 +229,19 @@ def test_decoder_reads_runs_bands_and_refinements():
     assert np.abs(rgb[:8, :8, 0].astype(int) - want).max() <= 1
 
 
-def test_media_column(spark):
-    files = progressive_jpeg.encode_payloads([progressive_jpeg.padded(b"some bytes" * 100)])
-    media = spark.createDataFrame([(1, bytearray(files[0])), (2, None)], "id long, media binary")
+def test_media_column(spark, monkeypatch):
+    files = progressive_jpeg.encode_payloads([progressive_jpeg.padded(b"some bytes" * 100), progressive_jpeg.padded(b"more")])
+    baseline = bytearray(files[0])
+    baseline[files[0].index(b"\xff\xc2") + 1] = 0xC0
+    bad = [b"no image", b"\xff\xd8", files[0][: len(files[0]) // 2], files[0][:40], bytes(baseline), b""]
+    rows = [(1, files[0], 7), (2, None, 7), (3, files[1], None), *((10 + i, f, 7) for i, f in enumerate(bad))]
+    media = spark.createDataFrame([(i, None if f is None else bytearray(f), h) for i, f, h in rows], "id long, media binary, height int")
     got = {r.id: r for r in progressive_jpeg.decode_column(media).collect()}
-    assert got[2].rgb is None and len(got[1].rgb) == got[1].height * got[1].width * 3
+    assert len(got) == len(rows) and progressive_jpeg.decode_column(media).columns == ["id", "media", "height", "width", "rgb"]
+    assert all(len(got[i].rgb) == got[i].height * got[i].width * 3 for i in (1, 3))
+    assert got[2].rgb is None and all(got[10 + i].rgb is None and got[10 + i].height is None for i in (0, 1, 3, 4, 5))
+    assert progressive_jpeg.decode_column(media.where("false")).count() == 0
+    monkeypatch.setattr(progressive_jpeg, "TENSORS", 10)
+    one = [t for _, t in progressive_jpeg.tensors([files[0], None, files[1], b"x"])]
+    assert one[1] is None and one[3] is None and one[0].tobytes() == bytes(got[1].rgb) and one[2].tobytes() == bytes(got[3].rgb)
+    assert progressive_jpeg.store_texts(spark.createDataFrame([], DOCS)).count() == 0

@@ -43,8 +43,8 @@ def rel_project_filter(s: SparkSession, d: str) -> DataFrame:
 
 
 for _how in ("inner", "left", "right", "full"):
-    query(f"rel_join_{_how}", f"select c_custkey, o_orderkey from (select * from customer where c_custkey % 3 <> 0) c {_how} join (select * from orders where o_orderkey % 2 = 0) o on c_custkey = o_custkey")(
-        lambda s, d, h=_how: C(s, d).where("c_custkey % 3 <> 0").join(O(s, d).where("o_orderkey % 2 = 0"), F.col("c_custkey") == F.col("o_custkey"), h).select("c_custkey", "o_orderkey")
+    query(f"rel_join_{_how}", f"select c_custkey, o_orderkey from (select * from customer where c_mktsegment = 'BUILDING') c {_how} join (select * from orders where o_orderstatus = 'F') o on c_custkey = o_custkey")(
+        lambda s, d, h=_how: C(s, d).where("c_mktsegment = 'BUILDING'").join(O(s, d).where("o_orderstatus = 'F'"), F.col("c_custkey") == F.col("o_custkey"), h).select("c_custkey", "o_orderkey")
     )
 for _key, _hint in (("broadcast", "broadcast"), ("shuffle_hash", "shuffle_hash"), ("merge", "merge")):
     query(f"rel_join_{_key}", "select o_orderpriority, count(*) as n, cast(sum(l_quantity) as bigint) as quantity from orders join lineitem on o_orderkey = l_orderkey group by 1")(

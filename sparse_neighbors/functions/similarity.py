@@ -39,7 +39,7 @@ def _merge_arrays(a: pa.Array, b: pa.Array) -> pa.Array:
         dx, dy = (np.asarray(v.values.field("d")) for v in (x, y))
         wx, wy = (np.asarray(v.values.field("w")) for v in (x, y))
         _, i, j = np.intersect1d(dx, dy, assume_unique=True, return_indices=True)
-        out.append(int((wx[i].astype(np.int64) * wy[j].astype(np.int64)).sum()))
+        out.append(int(np.dot(wx[i].astype(np.int64), wy[j].astype(np.int64))))
     return pa.array(out, pa.int64())
 
 

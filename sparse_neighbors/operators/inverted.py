@@ -17,12 +17,12 @@ def posting_lists(s: DataFrame, packed: bool = False) -> DataFrame:
     return rows.repartition("d").sortWithinPartitions("d")
 
 
-def accumulate(r: DataFrame, lists: DataFrame, keys: tuple[str, ...] = ()) -> DataFrame:
-    """r (keys, r_id, d, w) against lists (keys, d, s_id, w): sums of products per pair."""
+def accumulate(r: DataFrame, lists: DataFrame, keys: tuple[str, ...] = (), by: tuple[str, ...] = ()) -> DataFrame:
+    """r (keys, by, r_id, d, w) against lists (keys, d, s_id, w): sums of products per pair; `by` are more columns of r to keep."""
     left = r.withColumnRenamed("w", "rw")
     right = lists.withColumnRenamed("w", "sw")
     joined = left.join(right, [*keys, "d"])
-    return joined.groupBy(*(keys or ()), "r_id", "s_id").agg(F.sum(F.col("rw") * F.col("sw")).alias("score"))
+    return joined.groupBy(*keys, *by, "r_id", "s_id").agg(F.sum(F.col("rw") * F.col("sw")).alias("score"))
 
 
 def inverted_join(r: DataFrame, s: DataFrame, k: int = 5, ties: str = "id", exclude_self: bool = False) -> DataFrame:
@@ -33,14 +33,17 @@ def inverted_join(r: DataFrame, s: DataFrame, k: int = 5, ties: str = "id", excl
     return top_k(scores, k, ties)
 
 
-def inverted_packed(r: DataFrame, s: DataFrame, k: int = 5, heavy: int = 10_000) -> DataFrame:
+def inverted_packed(r: DataFrame, s: DataFrame, k: int = 5, heavy: int = 10_000, ties: str = "id", exclude_self: bool = False) -> DataFrame:
     """Lists of up to `heavy` postings travel as one row; longer ones stay rows, so no list is one large value."""
     freq = s.groupBy("d").agg(F.count("*").alias("freq"))
     left = r.select(F.col("id").alias("r_id"), "d", F.col("w").alias("rw"))
     light = posting_lists(s.join(freq.where(F.col("freq") <= heavy), "d", "left_semi"), packed=True)
     short = left.join(light, "d").select("r_id", "rw", F.inline("postings")).select("r_id", "s_id", (F.col("rw") * F.col("w")).alias("product"))
     long = left.join(s.join(freq.where(F.col("freq") > heavy), "d", "left_semi").select("d", F.col("id").alias("s_id"), "w"), "d").select("r_id", "s_id", (F.col("rw") * F.col("w")).alias("product"))
-    return top_k(short.unionByName(long).groupBy("r_id", "s_id").agg(F.sum("product").alias("score")), k)
+    products = short.unionByName(long)
+    if exclude_self:
+        products = products.where("r_id <> s_id")
+    return top_k(products.groupBy("r_id", "s_id").agg(F.sum("product").alias("score")), k, ties)
 
 
 def write_index(s: DataFrame, path: str, buckets: int = 16) -> None:

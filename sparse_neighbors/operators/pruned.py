@@ -13,7 +13,8 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .inverted import accumulate
+from ..functions.similarity import merge_dot
+from ..sources.scratch import materialize
 
 SLACK = 1e-9  # on bounds of fractional weights
 
@@ -29,7 +30,7 @@ class PruneOptions:
     rule: str = "tie_safe"
     dim_order: str = "frequent_first"
     drop_dead: bool = True
-    precheck: bool = False
+    precheck: bool = True
 
 
 def block_dimstats(r: DataFrame, dim_order: str = "frequent_first") -> DataFrame:
@@ -58,7 +59,7 @@ def split_features(s_block: DataFrame, dimstats: DataFrame, floors: DataFrame, o
         rows = s_block.join(dimstats, "d", how)
     else:  # dimensions absent from an R-block come last in its order and add nothing to the bound
         blocks = dimstats.select("rb").distinct()
-        rows = s_block.crossJoin(F.broadcast(blocks)).join(dimstats, ["rb", "d"], "left")
+        rows = s_block.crossJoin(blocks).join(dimstats, ["rb", "d"], "left")
         rows = rows.withColumn("peak_weight", F.coalesce("peak_weight", F.lit(0))).withColumn("dim_rank", F.coalesce("dim_rank", F.lit(2**31 - 1)))
     walk = Window.partitionBy("rb", "s_id").orderBy("dim_rank", "d").rowsBetween(Window.unboundedPreceding, 0)
     rows = rows.withColumn("bound", F.sum(F.col("peak_weight") * F.col("w")).over(walk)).join(floors, "rb")
@@ -68,21 +69,45 @@ def split_features(s_block: DataFrame, dimstats: DataFrame, floors: DataFrame, o
     return rows.select("rb", "s_id", "d", "w", "bound", passed.alias("is_tail"))
 
 
-def complete(partial: DataFrame, r: DataFrame, heads: DataFrame) -> DataFrame:
-    """Adds to partial (rb, r_id, s_id, score) the products over the heads (rb, s_id, d, w)."""
-    open_ = partial.select("rb", "r_id", "s_id").join(heads.withColumnRenamed("w", "hw"), ["rb", "s_id"])
-    more = open_.join(r.withColumnRenamed("w", "rw"), ["rb", "r_id", "d"]).groupBy("rb", "r_id", "s_id").agg(F.sum(F.col("rw") * F.col("hw")).alias("more"))
-    return partial.join(more, ["rb", "r_id", "s_id"], "left").select("rb", "r_id", "s_id", (F.col("score") + F.coalesce("more", F.lit(0))).alias("score"))
+def pack_split(split: DataFrame) -> DataFrame:
+    """One row per (rb, s_id): tail and head as arrays (head sorted by d), and the bound that the head reaches.
+
+    The grouping is the one of the walk before it, so nothing is shuffled again.
+    """
+    one, tail = F.struct("d", "w"), F.col("is_tail")
+    head = F.array_sort(F.collect_list(F.when(~tail, one)))
+    return split.groupBy("rb", "s_id").agg(F.collect_list(F.when(tail, one)).alias("tail"), head.alias("head"), F.coalesce(F.max(F.when(~tail, F.col("bound"))), F.lit(0)).alias("head_bound")).where(F.size("tail") > 0)
+
+
+def partial_scores(r: DataFrame, packed: DataFrame) -> DataFrame:
+    """Sums over the tails: rb, r_id, s_id, score, head_bound."""
+    tails = packed.select("rb", "s_id", "head_bound", F.inline("tail")).withColumnRenamed("w", "sw")
+    joined = r.withColumnRenamed("w", "rw").join(tails, ["rb", "d"])
+    return joined.groupBy("rb", "r_id", "s_id").agg(F.sum(F.col("rw") * F.col("sw")).alias("score"), F.max("head_bound").alias("head_bound"))
 
 
-def pruned_block(r: DataFrame, s_block: DataFrame, kth: DataFrame, dimstats: DataFrame, options: PruneOptions = PruneOptions()) -> DataFrame:
-    """Scores of an S-block with all R-blocks, for pairs that can still enter a result."""
+def complete(partial: DataFrame, r_packed: DataFrame, packed: DataFrame, kind: str = "bigint") -> DataFrame:
+    """Adds to partial (rb, r_id, s_id, score) the product of each r (rb, r_id, features) with the head of its s; pairs without a head pass."""
+    heads = packed.where(F.size("head") > 0).select("rb", "s_id", "head")
+    met = partial.join(heads, ["rb", "s_id"], "left").join(r_packed, ["rb", "r_id"], "left")
+    more = F.when(F.col("head").isNotNull(), merge_dot(F.col("features"), F.col("head"), kind)).otherwise(F.lit(0).cast(kind))
+    return met.select("rb", "r_id", "s_id", (F.col("score") + more).alias("score"))
+
+
+def pruned_block(r: DataFrame, s_block: DataFrame, kth: DataFrame, dimstats: DataFrame, options: PruneOptions = PruneOptions(), r_packed: DataFrame | None = None) -> DataFrame:
+    """Scores of an S-block with all R-blocks, for pairs that can still enter a result.
+
+    The split is written once and read for the tails and for the heads. With the precheck, a pair is completed only if its tail
+    and the bound of its head together reach its r's k-th score.
+    """
+    kind = r.schema["w"].dataType.simpleString()
+    if r_packed is None:
+        r_packed = r.groupBy("rb", "r_id").agg(F.array_sort(F.collect_list(F.struct("d", "w"))).alias("features"))
     floors = block_floors(kth, live_vectors(r, s_block))
-    split = split_features(s_block, dimstats, floors, options)
-    tails, heads = split.where("is_tail").select("rb", "s_id", "d", "w"), split.where("not is_tail")
-    partial = accumulate(r, tails, ("rb",))
+    packed = materialize(pack_split(split_features(s_block, dimstats, floors, options)), "split")
+    partial = partial_scores(r, packed)
     if options.precheck:
-        most = heads.groupBy("rb", "s_id").agg(F.max("bound").alias("head_bound"))
-        checked = partial.join(most, ["rb", "s_id"], "left").join(kth, ["rb", "r_id"])
-        partial = checked.where((F.col("score") + F.coalesce("head_bound", F.lit(0))) * (1 + SLACK) >= F.col("kth_score")).select("rb", "r_id", "s_id", "score")
-    return complete(partial, r, heads.select("rb", "s_id", "d", "w"))
+        partial = partial.join(kth, ["rb", "r_id"]).where((F.col("score") + F.col("head_bound")) * (1 + SLACK) >= F.col("kth_score"))
+    done = complete(partial.select("rb", "r_id", "s_id", "score"), r_packed, packed, kind)
+    done._written = packed
+    return done

@@ -40,15 +40,17 @@ def to_nested(result: DataFrame) -> DataFrame:
     return result.groupBy("r_id").agg(F.array_sort(F.collect_list(one)).alias("neighbours"))
 
 
-def fill_zero(result: DataFrame, r: DataFrame, s: DataFrame, k: int) -> DataFrame:
-    """Pads r with fewer than k neighbours by the s of lowest id that it has no score with.
+def fill_zero(result: DataFrame, r: DataFrame, s: DataFrame, k: int, exclude_self: bool = False) -> DataFrame:
+    """Pads r with fewer than k neighbours by the s of lowest id that it has no score with; never by itself with exclude_self.
 
-    At most 2k - 1 lowest ids can be needed, so the padding side is that small.
+    At most 2k lowest ids can be needed, so the padding side is that small.
     """
     lowest = s.select(F.col("id").alias("s_id")).distinct().orderBy("s_id").limit(2 * k)
     have = result.groupBy("r_id").agg(F.count("*").alias("n"))
     ids = r.select(F.col("id").alias("r_id")).distinct().join(have, "r_id", "left").withColumn("n", F.coalesce("n", F.lit(0))).where(F.col("n") < k)
     pads = ids.join(F.broadcast(lowest)).join(result.select("r_id", "s_id"), ["r_id", "s_id"], "left_anti")
+    if exclude_self:
+        pads = pads.where("r_id <> s_id")
     place = Window.partitionBy("r_id").orderBy("s_id")
     pads = pads.withColumn("rank", (F.col("n") + F.row_number().over(place)).cast("int")).where(F.col("rank") <= k)
     return result.unionByName(pads.select("r_id", "s_id", F.lit(0).cast(result.schema["score"].dataType).alias("score"), "rank"))

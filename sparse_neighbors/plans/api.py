@@ -52,14 +52,14 @@ def knn_join(
     elif method == "inverted":
         out = inverted_join(r, s, k, ties, exclude_self)
     elif method == "packed":
-        out = inverted_packed(r, s, k)
+        out = inverted_packed(r, s, k, ties=ties, exclude_self=exclude_self)
     elif method == "exhaustive":
-        out = exhaustive_join(r, s, k, ties)
+        out = exhaustive_join(r, s, k, ties, exclude_self)
     elif method == "grid":
-        out = exhaustive_grid(r, s, k)
+        out = exhaustive_grid(r, s, k, ties=ties, exclude_self=exclude_self)
     else:
         raise ValueError(method)
-    return pad(out, r, s, k) if fill_zero else out
+    return pad(out, r, s, k, exclude_self) if fill_zero else out
 
 
 def explain_join(r: DataFrame, s: DataFrame) -> DataFrame:

@@ -8,6 +8,8 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..sources.scratch import discard, materialize
+
 FEATURE_BYTES = 12
 
 
@@ -47,13 +49,19 @@ def assign_blocks(v: DataFrame, n: int, how: str = "range", column: str = "block
     """v plus its block number.
 
     range: ascending runs of ids with about equal numbers of features (two-level sums, no single-task sort); mod, hash: by
-    id; geometric: runs whose sizes double, the first being small.
+    id; geometric: runs whose sizes double, the first being small. A run is known by its first id, so v itself isn't shuffled.
     """
     if how == "mod":
         return v.withColumn(column, F.pmod(F.col("id"), F.lit(n)).cast("int"))
     if how == "hash":
         return v.withColumn(column, F.pmod(F.xxhash64("id"), F.lit(n)).cast("int"))
-    sizes = v.groupBy("id").agg(F.count("*").alias("size")).repartitionByRange("id").withColumn("part", F.spark_partition_id())
+    if how not in ("range", "geometric"):
+        raise ValueError(how)
+    # written before partition numbers are read from it twice, so that both readings see the same partitions
+    sizes = materialize(v.groupBy("id").agg(F.count("*").alias("size")), "sizes")
+    numbered = materialize(sizes.repartitionByRange("id").withColumn("part", F.spark_partition_id()), "sizes")
+    discard(sizes)
+    sizes = numbered
     parts = sizes.groupBy("part").agg(F.sum("size").alias("all"))
     parts = parts.withColumn("base", F.coalesce(F.sum("all").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).withColumn("total", F.sum("all").over(Window.partitionBy()))
     own = Window.partitionBy("part").orderBy("id").rowsBetween(Window.unboundedPreceding, -1)
@@ -61,9 +69,12 @@ def assign_blocks(v: DataFrame, n: int, how: str = "range", column: str = "block
     share = (F.col("base") + F.col("before")) / F.col("total")
     if how == "range":
         block = F.floor(share * n)
-    elif how == "geometric":  # block i begins at (2^i - 1) / (2^n - 1)
+    else:  # block i begins at (2^i - 1) / (2^n - 1)
         block = F.floor(F.log2(share * (2**n - 1) + 1))
-    else:
-        raise ValueError(how)
     blocks = placed.select("id", F.least(block, F.lit(n - 1)).cast("int").alias(column))
-    return v.join(blocks, "id")
+    starts = blocks.groupBy(column).agg(F.min("id").alias("first")).orderBy("first").collect()  # a row a block
+    discard(numbered)
+    if not starts:
+        return v.withColumn(column, F.lit(0))
+    first, number = (F.array(*(F.lit(x[c]) for x in starts)) for c in ("first", column))
+    return v.withColumn(column, F.get(number, F.greatest(F.size(F.filter(first, lambda x: x <= F.col("id"))) - 1, F.lit(0))))

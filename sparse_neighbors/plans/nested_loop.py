@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.vectors import pack
-from ..operators.exhaustive import exhaustive_block
+from ..operators.exhaustive import exhaustive_block, guard
 from ..operators.inverted import accumulate
 from ..operators.pruned import PruneOptions, block_dimstats, pruned_block
 from ..operators.topk import kth_scores, top_k
@@ -35,38 +35,45 @@ def block_join(
 
     Strict acceptance depends on S-blocks that ascend by id, so it forces range blocks in ascending order.
     """
+    if kernel not in KERNELS:
+        raise ValueError(f"kernel must be one of {KERNELS}")
     plan = plan or plan_blocks(r, s)
     strict = options.rule == "strict" and kernel == "pruned"
     if strict and (s_how not in ("range", "geometric") or ties != "id" or (order is not None and order != sorted(order))):
         raise ValueError("the strict rule needs ascending id blocks and ties by id")
     outer = materialize(assign_blocks(r, plan.r_blocks, r_how, "rb").select("rb", F.col("id").alias("r_id"), "d", "w"), "outer")
-    inner = materialize(assign_blocks(s, plan.s_blocks, s_how, "sb").select("sb", F.col("id").alias("s_id"), "d", "w"), "inner")
-    ids = outer.select("rb", "r_id").distinct()
+    inner = materialize(assign_blocks(s, plan.s_blocks, s_how, "sb").select("sb", F.col("id").alias("s_id"), "d", "w"), "inner", by="sb")
+    ids = materialize(outer.select("rb", "r_id").distinct(), "ids")
     kind = r.schema["w"].dataType.simpleString()
     state = outer.sparkSession.createDataFrame([], f"rb int, r_id long, s_id long, score {kind}")
     held: DataFrame | None = None
+    spent = [outer, inner, ids]
     if kernel == "pruned":
         dimstats = materialize(block_dimstats(outer, options.dim_order), "dimstats")
+        packed_r = materialize(outer.groupBy("rb", "r_id").agg(F.array_sort(F.collect_list(F.struct("d", "w"))).alias("features")), "packed")
+        spent += [dimstats, packed_r]
     elif kernel == "exhaustive":
+        guard(r, s)
         packed_r = pack(outer.select(F.struct("rb", "r_id").alias("id"), "d", "w")).select("id.rb", "id.r_id", "features")
     for number in (range(plan.s_blocks) if order is None else order)[:stop_after]:
         block = inner.where(F.col("sb") == number).drop("sb")
         kth = kth_scores(state, ids, k)
         if kernel == "exhaustive":
             new = exhaustive_block(packed_r, pack(block.withColumnRenamed("s_id", "id")).withColumnRenamed("id", "s_id"), kind)
-        elif kernel == "inverted":
-            new = accumulate(outer.select("rb", "r_id", "d", "w"), block)
-            new = new.join(ids, "r_id").select("rb", "r_id", "s_id", "score")
-        elif kernel == "pruned":
-            new = pruned_block(outer, block, kth, dimstats, options)
-        else:
-            raise ValueError(f"kernel must be one of {KERNELS}")
+        elif kernel == "pruned" and held is not None:
+            new = pruned_block(outer, block, kth, dimstats, options, packed_r)
+        else:  # the first block has no floor to prune with
+            new = accumulate(outer, block, by=("rb",))
+        written = getattr(new, "_written", None)
         if exclude_self:
             new = new.where("r_id <> s_id")
         after = materialize(merge_candidates(state, new, kth, k, strict, ties), "candidates")
+        if written is not None:
+            discard(written)
         if report is not None:
             report.append(after)
         elif held is not None:
             discard(held)
         state = held = after
+    discard(*spent)
     return top_k(state.drop("rb"), k, ties)

@@ -188,3 +188,28 @@ def test_completion_counts_merges_with_heads(spark):
     split = spark.createDataFrame([(0, 8, 5, False), (0, 8, 6, True), (0, 9, 6, True), (1, 8, 6, False)], "rb int, s_id long, d long, is_tail boolean")
     # block 0: r 1 and 2 each meet s 8 (a head of 1) and s 9 (none); block 1 has no indexed feature
     assert [tuple(x) for x in cost_completion(r, split).collect()] == [(0, 4, (2 + 1) + (1 + 1))]
+
+
+@pytest.mark.parametrize("ties", ["id", "all", "strict"])
+def test_every_method_takes_every_option(spark, ties):
+    """A set joined with itself, with fractional weights: cosine, ties and exclude_self mean the same to all methods."""
+    from sparse_neighbors.plans.api import knn_join
+
+    v = frame(spark, random_vectors(random.Random(12), 25, 12, 4))
+    digest = lambda df: sorted((x["r_id"], x["s_id"], round(float(x["score"]), 6)) for x in df.collect())
+    want = digest(knn_join(v, v, 3, "inverted", ties=ties, exclude_self=True))
+    assert want and all(r != s for r, s, _ in want)
+    for method in ("packed", "exhaustive", "grid"):
+        assert digest(knn_join(v, v, 3, method, ties=ties, exclude_self=True)) == want
+    assert digest(knn_join(v, v, 3, "pruned", ties=ties, exclude_self=True, plan=BlockPlan(0, 0, 2, 2))) == want
+
+
+def test_grid_scores_keep_fractions_and_padding_leaves_self_out(spark):
+    from sparse_neighbors.plans.api import knn_join
+
+    v = frame(spark, random_vectors(random.Random(13), 20, 30, 3))
+    digest = lambda df: sorted((x["r_id"], x["rank"], round(x["score"], 9)) for x in df.collect())
+    grid = digest(knn_join(v, v, 2, "grid", metric="cosine"))
+    assert grid == digest(knn_join(v, v, 2, "inverted", metric="cosine")) and any(0 < s < 0.999 for *_, s in grid)
+    filled = knn_join(v, v, 4, "inverted", exclude_self=True, fill_zero=True).collect()
+    assert len(filled) == 4 * v.select("id").distinct().count() and all(x["r_id"] != x["s_id"] for x in filled)

@@ -109,5 +109,37 @@ def pruned_block(r: DataFrame, s_block: DataFrame, kth: DataFrame, dimstats: Dat
     if options.precheck:
         partial = partial.join(kth, ["rb", "r_id"]).where((F.col("score") + F.col("head_bound")) * (1 + SLACK) >= F.col("kth_score"))
     done = complete(partial.select("rb", "r_id", "s_id", "score"), r_packed, packed, kind)
-    done._written = packed
+    done._written, done._floors = packed, floors
     return done
+
+
+def first_block_work(r: DataFrame, s_block: DataFrame) -> DataFrame:
+    """The columns of `pruned_work` for an S-block without floors: everything is indexed and nothing is left to complete."""
+    fr = r.groupBy("rb", "d").agg(F.count("*").alias("fr"))
+    fs = s_block.groupBy("d").agg(F.count("*").alias("fs"))
+    visits = fr.join(fs, "d").groupBy("rb").agg(F.sum(F.col("fr") * F.col("fs")).alias("scanned"))
+    pairs = r.select("rb", "r_id", "d").join(s_block.select("s_id", "d"), "d").select("rb", "r_id", "s_id").distinct().groupBy("rb").agg(F.count("*").alias("candidates"))
+    cells = r.select("rb").distinct().crossJoin(s_block.agg(F.count("*").alias("indexed")))
+    zero = F.lit(0).cast("bigint")
+    found = cells.join(visits, "rb", "left").join(pairs, "rb", "left").fillna(0, ["scanned", "candidates"])
+    return found.select("rb", F.lit(0).cast(r.schema["w"].dataType).alias("block_floor"), "indexed", "scanned", "candidates", zero.alias("completed"), zero.alias("completion_steps"))
+
+
+def pruned_work(r: DataFrame, packed: DataFrame, kth: DataFrame, floors: DataFrame, options: PruneOptions = PruneOptions()) -> DataFrame:
+    """What `pruned_block` did with a split that it wrote, per R-block that meets the S-block.
+
+    rb, block_floor, indexed (features of tails), scanned (postings visited), candidates (pairs that share an indexed feature),
+    completed (those merged with a head) and completion_steps (features of both sides of these merges).
+    """
+    fr = r.groupBy("rb", "d").agg(F.count("*").alias("fr"))
+    tails = packed.select("rb", "s_id", F.explode("tail.d").alias("d"))
+    visits = tails.join(fr, ["rb", "d"], "left").groupBy("rb").agg(F.count("*").alias("indexed"), F.coalesce(F.sum("fr"), F.lit(0)).alias("scanned"))
+    sizes = r.groupBy("rb", "r_id").agg(F.count("*").alias("nr"))
+    heads = packed.select("rb", "s_id", F.size("head").alias("nh"))
+    pairs = partial_scores(r, packed).join(kth, ["rb", "r_id"]).join(sizes, ["rb", "r_id"]).join(heads, ["rb", "s_id"])
+    merged = F.col("nh") > 0
+    if options.precheck:
+        merged = merged & ((F.col("score") + F.col("head_bound")) * (1 + SLACK) >= F.col("kth_score"))
+    done = pairs.groupBy("rb").agg(F.count("*").alias("candidates"), F.count(F.when(merged, 1)).alias("completed"), F.coalesce(F.sum(F.when(merged, F.col("nr") + F.col("nh"))), F.lit(0)).alias("completion_steps"))
+    counted = ["indexed", "scanned", "candidates", "completed", "completion_steps"]
+    return floors.join(visits, "rb", "left").join(done, "rb", "left").fillna(0, counted).select("rb", "block_floor", *counted)

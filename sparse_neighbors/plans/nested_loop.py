@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from ..functions.vectors import pack
 from ..operators.exhaustive import exhaustive_block, guard
 from ..operators.inverted import accumulate
-from ..operators.pruned import PruneOptions, block_dimstats, pruned_block
+from ..operators.pruned import PruneOptions, block_dimstats, first_block_work, pruned_block, pruned_work
 from ..operators.topk import kth_scores, top_k
 from ..sources.scratch import discard, materialize
 from .blocks import BlockPlan, assign_blocks, plan_blocks
@@ -30,9 +30,12 @@ def merge_candidates(old: DataFrame, new: DataFrame, kth: DataFrame, k: int, str
 def block_join(
     r: DataFrame, s: DataFrame, k: int = 5, kernel: str = "pruned", plan: BlockPlan | None = None, options: PruneOptions = PruneOptions(),
     r_how: str = "range", s_how: str = "range", order: list[int] | None = None, ties: str = "id", exclude_self: bool = False, report: list | None = None, stop_after: int | None = None,
+    work: list | None = None,
 ) -> DataFrame:
     """r, s (id, d, w) -> r_id, s_id, score, rank; `report` receives the candidate state after each S-block.
 
+    `work` receives, for each S-block of the pruned kernel, what each R-block did with it (see `pruned_work`) and sb.
+
     Strict acceptance depends on S-blocks that ascend by id, so it forces range blocks in ascending order.
     """
     if kernel not in KERNELS:
@@ -65,6 +68,9 @@ def block_join(
         else:  # the first block has no floor to prune with
             new = accumulate(outer, block, by=("rb",))
         written = getattr(new, "_written", None)
+        if work is not None and kernel == "pruned":
+            counted = first_block_work(outer, block) if written is None else pruned_work(outer, written, kth, new._floors, options)
+            work.append(materialize(counted.withColumn("sb", F.lit(number)), "work"))
         if exclude_self:
             new = new.where("r_id <> s_id")
         after = materialize(merge_candidates(state, new, kth, k, strict, ties), "candidates")
@@ -77,3 +83,13 @@ def block_join(
         state = held = after
     discard(*spent)
     return top_k(state.drop("rb"), k, ties)
+
+
+def join_report(r: DataFrame, s: DataFrame, k: int = 5, plan: BlockPlan | None = None, options: PruneOptions = PruneOptions()) -> DataFrame:
+    """What the pruned join does, a row per S-block and R-block that meets it: sb, rb, block_floor, indexed, scanned, candidates, completed, completion_steps."""
+    work: list[DataFrame] = []
+    block_join(r, s, k, "pruned", plan, options, work=work)
+    out = work[0]
+    for x in work[1:]:
+        out = out.unionByName(x)
+    return out

@@ -14,8 +14,9 @@ from ..operators.pruned import PruneOptions, block_dimstats, block_floors, live_
 from ..operators.topk import kth_scores, to_nested, top_k
 from ..plans.api import explain_join, knn_join
 from ..plans.blocks import BlockPlan, assign_blocks, plan_blocks, plan_sizes
-from ..plans.nested_loop import block_join
+from ..plans.nested_loop import block_join, join_report
 from ..sources.datasets import SQL, knn_sql, pair, pair_sql, scores_sql, table, vectors
+from ..sources.scratch import discard, materialize
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
@@ -225,8 +226,9 @@ def methods_agree(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _first_ids(v: DataFrame, n: int) -> DataFrame:
-    """Vectors of the n lowest ids: the data size is the parameter of these experiments."""
-    return v.join(F.broadcast(v.select("id").distinct().orderBy("id").limit(n)), "id", "left_semi")
+    """Vectors of the n lowest ids: the data size is the parameter of these experiments. Only the n-th id reaches the driver."""
+    last = v.select("id").distinct().orderBy("id").limit(n).agg(F.max("id")).first()[0]
+    return v.where(F.lit(False) if last is None else F.col("id") <= last)
 
 
 def _steps(spark, sf_dir):
@@ -291,6 +293,105 @@ def _buffer_sweep(spark, sf_dir):
 
 query("w4_result_at_small_buffer", knn_sql("spectrum"))(lambda s, d: block_join(*pair(s, d, "spectrum"), plan=blocks(3, 5)))
 
+# ---------------------------------------------------------------- the three methods side by side, with the work of each
+
+
+def _blocks_sql(v: str, n: str, column: str) -> str:
+    """v plus its range block; n is a number or a scalar subquery."""
+    sizes = f"select id, count(*) as size from {v} group by id"
+    share = "coalesce(sum(size) over (order by id rows between unbounded preceding and 1 preceding), 0) / (sum(size) over ())::double"
+    return f"select {v}.*, {column} from {v} join (select id, cast(least(floor({share} * {n}), {n} - 1) as int) as {column} from ({sizes})) using (id)"
+
+
+def _work_sql(nr: int, ns: int, k: int) -> str:
+    """CTEs from `rv` and `sv` to `report`: the state before S-block n is the exact result over the blocks before it."""
+    return f"""rblock as materialized ({_blocks_sql("rv", str(nr), "rb")}), sblock as materialized ({_blocks_sql("sv", str(ns), "sb")}),
+      pairs as materialized (select rb, rblock.id as r_id, sb, sblock.id as s_id, cast(sum(rblock.w * sblock.w) as bigint) as score from rblock join sblock on rblock.d = sblock.d group by 1, 2, 3, 4),
+      turns as (select unnest(range(1, {ns})) as n), placed as (select n, r_id, score, row_number() over (partition by n, r_id order by score desc, s_id) as rank from pairs, turns where sb < n),
+      kths as materialized (select i.rb, i.r_id, n, coalesce(score, 0) as kth_score from (select distinct rb, id as r_id from rblock) i cross join turns left join (select n, r_id, score from placed where rank = {k}) using (n, r_id)),
+      floor as (select n as sb, kths.rb, min(kth_score) as block_floor from kths join (select distinct sb as n, r_id from pairs) using (n, r_id) group by 1, 2),
+      stats as (select rb, d, count(*) as freq, max(w) as peak_weight, row_number() over (partition by rb order by count(*) desc, d) as dim_rank from rblock group by rb, d),
+      walk as (select sb, rb, sblock.id as s_id, d, w, freq, cast(sum(peak_weight * w) over (partition by rb, sblock.id order by dim_rank, d rows unbounded preceding) as bigint) as bound from sblock join stats using (d) where sb > 0),
+      cut as materialized (select *, bound >= block_floor and bound > 0 as is_tail from walk join floor using (sb, rb)),
+      visit as (select sb, rb, count(*) as indexed, cast(sum(freq) as bigint) as scanned from cut where is_tail group by 1, 2),
+      rsize as (select id as r_id, count(*) as nr from rblock group by id), head as (select rb, s_id, count(*) as nh, max(bound) as head_bound from cut where not is_tail group by 1, 2),
+      met as (select sb, cut.rb, rblock.id as r_id, s_id, cast(sum(rblock.w * cut.w) as bigint) as score from cut join rblock on cut.rb = rblock.rb and cut.d = rblock.d where is_tail group by 1, 2, 3, 4),
+      tried as (select met.sb, met.rb, nr + nh as steps, (score + head_bound) * (1 + 1e-9::double) >= kth_score as reach from met join rsize using (r_id) join kths on kths.n = met.sb and kths.r_id = met.r_id left join head on head.rb = met.rb and head.s_id = met.s_id),
+      done as (select sb, rb, count(*) as candidates, count(*) filter (reach) as completed, cast(coalesce(sum(steps) filter (reach), 0) as bigint) as completion_steps from tried group by 1, 2),
+      report as (select sb, rb, cast(block_floor as bigint) as block_floor, coalesce(indexed, 0) as indexed, coalesce(scanned, 0) as scanned, coalesce(candidates, 0) as candidates, coalesce(completed, 0) as completed, coalesce(completion_steps, 0) as completion_steps from floor left join visit using (sb, rb) left join done using (sb, rb)
+        union all select 0, rb, 0, (select count(*) from sblock where sb = 0), coalesce((select cast(sum(a.fr * b.fs) as bigint) from (select d, count(*) as fr from rblock x where x.rb = q.rb group by d) a join (select d, count(*) as fs from sblock where sb = 0 group by d) b on a.d = b.d), 0), (select count(*) from pairs p where p.sb = 0 and p.rb = q.rb), 0, 0 from (select distinct rb from rblock) q)"""
+
+
+query("join_report", f"with {pair_sql('spectrum')}, {_work_sql(2, 3, 5)} select cast(sb as int) as sb, rb, block_floor, indexed, scanned, candidates, completed, completion_steps from report")(lambda s, d: join_report(*pair(s, d, "spectrum"), plan=blocks(2, 3)))
+
+METHODS = ("exhaustive", "inverted", "pruned")
+
+
+def _three(r: DataFrame, s: DataFrame, best: int, plan: BlockPlan, **point) -> DataFrame:
+    """Digest and work of each method at one point: pairs merged (exhaustive), postings built and visited (inverted), both and completion steps (pruned).
+
+    Lists are built anew for every R-block, by both indexed methods.
+    """
+    r, s = materialize(r, "side"), materialize(s, "side")
+    work: list[DataFrame] = []
+    found = [exhaustive_join(r, s, best), inverted_join(r, s, best), block_join(r, s, best, "pruned", plan, work=work)]
+    counted = costs.summary(r, s)
+    steps = [counted.select(F.expr(costs.C2).alias("work")), counted.select(F.expr(f"{plan.r_blocks} * s_features + products").alias("work"))]
+    steps.append(_union(work).agg(F.sum(F.expr("indexed + scanned + completion_steps")).alias("work")))
+    out = materialize(_union([_digest(f, **point, method=m).crossJoin(w) for f, w, m in zip(found, steps, METHODS, strict=True)]), "point")
+    discard(r, s, *work)
+    return out
+
+
+def _three_sql(sides: str, nr: int, ns: int, near: int, **point) -> str:
+    """One point: `sides` gives the CTEs rv and sv."""
+    values = "".join(f"cast({v} as {'double' if isinstance(v, float) else 'int'}) as {c}, " for c, v in point.items())
+    n = "(select count(distinct id) from {0}v) * (select count(*) from {1}v)".format
+    both = f"{n('s', 'r')} + {n('r', 's')}"
+    visited = f"{nr} * (select count(*) from sv) + (select cast(sum(fr * fs) as bigint) from (select d, count(*) as fr from rv group by d) a join (select d, count(*) as fs from sv group by d) b using (d))"
+    best = f"best as (select count(*) as n, cast(sum(score) as bigint) as total, cast(max(score) as bigint) as best from (select *, row_number() over (partition by r_id order by score desc, s_id) as rank from pairs) where rank <= {near})"
+    steps = "select cast(sum(indexed + scanned + completion_steps) as bigint) from report"
+    works = f"works as (select 'exhaustive' as method, {both} as work union all select 'inverted', {visited} union all select 'pruned', ({steps}))"
+    return f"select * from (with {sides}, {_work_sql(nr, ns, near)}, {best}, {works} select {values}n, total, best, method, cast(work as bigint) as work from best, works)"
+
+
+def _first_sql(name: str, n: str) -> str:
+    """rv and sv of a pair, cut to the n lowest ids; n over `u`, a fifth of the smaller side."""
+    unit = "unit as (select greatest(1, least((select count(distinct id) from ra), (select count(distinct id) from sa)) // 5) as u)"
+    low = "select id, d, w from (select *, dense_rank() over (order by id) as place from {0}a), unit where place <= {1}".format
+    return f"{pair_sql(name).replace('rv as', 'ra as').replace('sv as', 'sa as')}, {unit}, rv as materialized ({low('r', n)}), sv as materialized ({low('s', n)})"
+
+
+@query("w1_methods", " union all ".join(_three_sql(_first_sql("supplier_customer", f"{i} * u"), 2, 2, 5, step=i) for i in (1, 3, 5)))
+def w1_methods(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Data size in three steps, equal sizes, all methods."""
+    r, s = pair(spark, sf_dir, "supplier_customer")
+    unit = max(1, min(v.select("id").distinct().count() for v in (r, s)) // 5)
+    return _union([_three(_first_ids(r, unit * i), _first_ids(s, unit * i), 5, blocks(2, 2), step=i) for i in (1, 3, 5)])
+
+
+def _ratio_sql(x: int) -> str:
+    cut = "select id, d, w from o, unit where {0}".format
+    base = f"v as materialized ({SQL['supplier_part']}), o as (select *, dense_rank() over (order by id) as place from v), unit as (select greatest(1, count(distinct id) // 40) as u from v)"
+    return f"{base}, rv as materialized ({cut('place <= 4 * u')}), sv as materialized ({cut(f'place > 4 * u and place <= (4 + {x}) * u')})"
+
+
+@query("w2_methods", " union all ".join(_three_sql(_ratio_sql(x), 2, 2, 5, ratio=x) for x in (1, 4, 36)))
+def w2_methods(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """R fixed at four units, S of one, four and 36 units, all methods."""
+    v = vectors(spark, sf_dir, "supplier_part")
+    unit = max(1, v.select("id").distinct().count() // 40)
+    r = _first_ids(v, 4 * unit)
+    top = r.agg(F.max("id")).first()[0] or 0
+    return _union([_three(r, _first_ids(v, (4 + x) * unit).where(F.col("id") > top), 5, blocks(2, 2), ratio=x) for x in (1, 4, 36)])
+
+
+query("w3_methods", " union all ".join(_three_sql(pair_sql("spectrum"), 2, 3, k, k=k) for k in (5, 10, 20)))(lambda s, d: _union([_three(*pair(s, d, "spectrum"), k, blocks(2, 3), k=k) for k in (5, 10, 20)]))
+
+#: Smaller buffers mean more blocks on both sides; R-blocks run side by side here, so R gets the smaller share.
+BUFFER_BLOCKS = {0.5: (2, 2), 0.3: (4, 3), 0.1: (10, 6)}
+query("w4_methods", " union all ".join(_three_sql(pair_sql("spectrum"), *b, 5, fraction=f) for f, b in BUFFER_BLOCKS.items()))(lambda s, d: _union([_three(*pair(s, d, "spectrum"), 5, blocks(*b), fraction=f) for f, b in BUFFER_BLOCKS.items()]))
+
 # ---------------------------------------------------------------- applications
 
 query("w6_spectrum_search", knn_sql("spectrum").replace("select r_id, s_id, score, cast", "select r_id as query_id, s_id as library_id, score, cast"))(lambda s, d: apps.spectrum_search(*pair(s, d, "spectrum")))

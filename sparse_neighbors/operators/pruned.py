@@ -41,9 +41,9 @@ def block_dimstats(r: DataFrame, dim_order: str = "frequent_first") -> DataFrame
 
 
 def block_floors(kth: DataFrame, live: DataFrame | None = None) -> DataFrame:
-    """rb -> block_floor: the least k-th score among the vectors that can meet the coming S-block."""
+    """rb -> block_floor: the least k-th score among the vectors that can meet the coming S-block; a vector without one has 0."""
     if live is not None:
-        kth = kth.join(live, ["rb", "r_id"], "left_semi")
+        kth = live.join(kth, ["rb", "r_id"], "left").withColumn("kth_score", F.coalesce("kth_score", F.lit(0)))
     return kth.groupBy("rb").agg(F.min("kth_score").alias("block_floor"))
 
 
@@ -107,7 +107,7 @@ def pruned_block(r: DataFrame, s_block: DataFrame, kth: DataFrame, dimstats: Dat
     packed = materialize(pack_split(split_features(s_block, dimstats, floors, options)), "split")
     partial = partial_scores(r, packed)
     if options.precheck:
-        partial = partial.join(kth, ["rb", "r_id"]).where((F.col("score") + F.col("head_bound")) * (1 + SLACK) >= F.col("kth_score"))
+        partial = partial.join(kth, ["rb", "r_id"], "left").where((F.col("score") + F.col("head_bound")) * (1 + SLACK) >= F.coalesce("kth_score", F.lit(0)))
     done = complete(partial.select("rb", "r_id", "s_id", "score"), r_packed, packed, kind)
     done._written, done._floors = packed, floors
     return done
@@ -136,10 +136,10 @@ def pruned_work(r: DataFrame, packed: DataFrame, kth: DataFrame, floors: DataFra
     visits = tails.join(fr, ["rb", "d"], "left").groupBy("rb").agg(F.count("*").alias("indexed"), F.coalesce(F.sum("fr"), F.lit(0)).alias("scanned"))
     sizes = r.groupBy("rb", "r_id").agg(F.count("*").alias("nr"))
     heads = packed.select("rb", "s_id", F.size("head").alias("nh"))
-    pairs = partial_scores(r, packed).join(kth, ["rb", "r_id"]).join(sizes, ["rb", "r_id"]).join(heads, ["rb", "s_id"])
+    pairs = partial_scores(r, packed).join(kth, ["rb", "r_id"], "left").join(sizes, ["rb", "r_id"]).join(heads, ["rb", "s_id"])
     merged = F.col("nh") > 0
     if options.precheck:
-        merged = merged & ((F.col("score") + F.col("head_bound")) * (1 + SLACK) >= F.col("kth_score"))
+        merged = merged & ((F.col("score") + F.col("head_bound")) * (1 + SLACK) >= F.coalesce("kth_score", F.lit(0)))
     done = pairs.groupBy("rb").agg(F.count("*").alias("candidates"), F.count(F.when(merged, 1)).alias("completed"), F.coalesce(F.sum(F.when(merged, F.col("nr") + F.col("nh"))), F.lit(0)).alias("completion_steps"))
     counted = ["indexed", "scanned", "candidates", "completed", "completion_steps"]
     return floors.join(visits, "rb", "left").join(done, "rb", "left").fillna(0, counted).select("rb", "block_floor", *counted)

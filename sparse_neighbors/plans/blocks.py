@@ -72,7 +72,8 @@ def assign_blocks(v: DataFrame, n: int, how: str = "range", column: str = "block
     else:  # block i begins at (2^i - 1) / (2^n - 1)
         block = F.floor(F.log2(share * (2**n - 1) + 1))
     blocks = placed.select("id", F.least(block, F.lit(n - 1)).cast("int").alias(column))
-    starts = blocks.groupBy(column).agg(F.min("id").alias("first")).orderBy("first").collect()  # a row a block
+    starts = blocks.groupBy(column).agg(F.min("id").alias("first")).collect()  # a row a block
+    starts.sort(key=lambda x: x["first"])
     discard(numbered)
     if not starts:
         return v.withColumn(column, F.lit(0))

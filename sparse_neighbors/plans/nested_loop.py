@@ -6,25 +6,49 @@ one's pruning needs the scores found before; the state between two is at most k
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from concurrent.futures import ThreadPoolExecutor
+
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.vectors import pack
 from ..operators.exhaustive import exhaustive_block, guard
 from ..operators.inverted import accumulate
 from ..operators.pruned import PruneOptions, block_dimstats, first_block_work, pruned_block, pruned_work
-from ..operators.topk import kth_scores, top_k
+from ..operators.topk import top_k
 from ..sources.scratch import discard, materialize
 from .blocks import BlockPlan, assign_blocks, plan_blocks
 
 KERNELS = ("exhaustive", "inverted", "pruned")
 
 
+def keep_best(scores: DataFrame, k: int, ties: str = "id") -> DataFrame:
+    """The k best of each r with their rank and, in every row of an r, its k-th score: 0 while there are fewer than k.
+
+    Rows beyond k only tie with the k-th, so the least score is the k-th; it takes the partitioning of the ranks.
+    """
+    own = Window.partitionBy("rb", "r_id")
+    full = F.count("*").over(own) >= k
+    return top_k(scores, k, ties, ("rb", "r_id")).withColumn("kth_score", F.when(full, F.min("score").over(own)).otherwise(F.lit(0)))
+
+
+def thresholds(state: DataFrame, ties: str = "id") -> DataFrame:
+    """rb, r_id, kth_score of the vectors that have k candidates; for all others it is 0."""
+    kth = state.where("rank = 1 and kth_score > 0").select("rb", "r_id", "kth_score")
+    return kth if ties == "id" else kth.dropDuplicates(["rb", "r_id"])
+
+
 def merge_candidates(old: DataFrame, new: DataFrame, kth: DataFrame, k: int, strict: bool, ties: str = "id") -> DataFrame:
     """The best of old and new; a new pair must beat (strict) or reach its r's k-th score."""
-    met = new.join(kth, ["rb", "r_id"])
+    met = new.join(kth, ["rb", "r_id"], "left").withColumn("kth_score", F.coalesce("kth_score", F.lit(0)))
     better = met.where("score > kth_score" if strict else "score >= kth_score and score > 0").select("rb", "r_id", "s_id", "score")
-    return top_k(old.unionByName(better), k, ties, ("rb", "r_id")).drop("rank")
+    return keep_best(old.select("rb", "r_id", "s_id", "score").unionByName(better), k, ties)
+
+
+def together(*steps):
+    """Steps that don't depend on each other, as jobs side by side; each is a function without arguments."""
+    with ThreadPoolExecutor(len(steps)) as pool:
+        return [f.result() for f in [pool.submit(step) for step in steps]]
 
 
 def block_join(
@@ -44,36 +68,54 @@ def block_join(
     strict = options.rule == "strict" and kernel == "pruned"
     if strict and (s_how not in ("range", "geometric") or ties != "id" or (order is not None and order != sorted(order))):
         raise ValueError("the strict rule needs ascending id blocks and ties by id")
-    outer = materialize(assign_blocks(r, plan.r_blocks, r_how, "rb").select("rb", F.col("id").alias("r_id"), "d", "w"), "outer")
-    inner = materialize(assign_blocks(s, plan.s_blocks, s_how, "sb").select("sb", F.col("id").alias("s_id"), "d", "w"), "inner", by="sb")
-    ids = materialize(outer.select("rb", "r_id").distinct(), "ids")
+    outer, inner = together(
+        lambda: materialize(assign_blocks(r, plan.r_blocks, r_how, "rb").select("rb", F.col("id").alias("r_id"), "d", "w"), "outer"),
+        lambda: materialize(assign_blocks(s, plan.s_blocks, s_how, "sb").select("sb", F.col("id").alias("s_id"), "d", "w"), "inner", by="sb"),
+    )
     kind = r.schema["w"].dataType.simpleString()
-    state = outer.sparkSession.createDataFrame([], f"rb int, r_id long, s_id long, score {kind}")
-    held: DataFrame | None = None
-    spent = [outer, inner, ids]
+    state = held = None
+    spent = [outer, inner]
+    numbers = list(range(plan.s_blocks) if order is None else order)[:stop_after]
+    if not numbers:
+        discard(*spent)
+        return r.sparkSession.createDataFrame([], f"r_id long, s_id long, score {kind}, rank int")
+
+    def first(new: DataFrame) -> DataFrame:
+        new = new.where("score > 0 and r_id <> s_id" if exclude_self else "score > 0")
+        return materialize(keep_best(new, k, ties), "candidates")
+
     if kernel == "pruned":
-        dimstats = materialize(block_dimstats(outer, options.dim_order), "dimstats")
-        packed_r = materialize(outer.groupBy("rb", "r_id").agg(F.array_sort(F.collect_list(F.struct("d", "w"))).alias("features")), "packed")
+        # the first block has no floor to prune with, so it needs none of what the later ones do
+        block = inner.where(F.col("sb") == numbers[0]).drop("sb")
+        dimstats, packed_r, state = together(
+            lambda: materialize(block_dimstats(outer, options.dim_order), "dimstats"),
+            lambda: materialize(outer.groupBy("rb", "r_id").agg(F.array_sort(F.collect_list(F.struct("d", "w"))).alias("features")), "packed"),
+            lambda: first(accumulate(outer, block, by=("rb",))),
+        )
         spent += [dimstats, packed_r]
+        if work is not None:
+            work.append(materialize(first_block_work(outer, block).withColumn("sb", F.lit(numbers[0])), "work"))
+        if report is not None:
+            report.append(state)
+        held, numbers = state, numbers[1:]
     elif kernel == "exhaustive":
         guard(r, s)
         packed_r = pack(outer.select(F.struct("rb", "r_id").alias("id"), "d", "w")).select("id.rb", "id.r_id", "features")
-    for number in (range(plan.s_blocks) if order is None else order)[:stop_after]:
+    for number in numbers:
         block = inner.where(F.col("sb") == number).drop("sb")
-        kth = kth_scores(state, ids, k)
+        kth = thresholds(state, ties) if state is not None else None
         if kernel == "exhaustive":
             new = exhaustive_block(packed_r, pack(block.withColumnRenamed("s_id", "id")).withColumnRenamed("id", "s_id"), kind)
-        elif kernel == "pruned" and held is not None:
+        elif kernel == "pruned":
             new = pruned_block(outer, block, kth, dimstats, options, packed_r)
-        else:  # the first block has no floor to prune with
+        else:
             new = accumulate(outer, block, by=("rb",))
         written = getattr(new, "_written", None)
         if work is not None and kernel == "pruned":
-            counted = first_block_work(outer, block) if written is None else pruned_work(outer, written, kth, new._floors, options)
-            work.append(materialize(counted.withColumn("sb", F.lit(number)), "work"))
+            work.append(materialize(pruned_work(outer, written, kth, new._floors, options).withColumn("sb", F.lit(number)), "work"))
         if exclude_self:
             new = new.where("r_id <> s_id")
-        after = materialize(merge_candidates(state, new, kth, k, strict, ties), "candidates")
+        after = first(new) if state is None else materialize(merge_candidates(state, new, kth, k, strict, ties), "candidates")
         if written is not None:
             discard(written)
         if report is not None:
@@ -82,7 +124,7 @@ def block_join(
             discard(held)
         state = held = after
     discard(*spent)
-    return top_k(state.drop("rb"), k, ties)
+    return state.select("r_id", "s_id", "score", "rank")  # a vector of R is in one block only, so ranks hold
 
 
 def join_report(r: DataFrame, s: DataFrame, k: int = 5, plan: BlockPlan | None = None, options: PruneOptions = PruneOptions()) -> DataFrame:

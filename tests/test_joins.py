@@ -14,7 +14,8 @@ from sparse_neighbors.operators.costs import cost_completion
 from sparse_neighbors.operators.pruned import PruneOptions, block_dimstats, split_features
 from sparse_neighbors.plans.api import explain_join, knn_join
 from sparse_neighbors.plans.blocks import BlockPlan, assign_blocks, plan_sizes
-from sparse_neighbors.plans.nested_loop import block_join
+from sparse_neighbors.plans.nested_loop import block_join, join_report
+from sparse_neighbors.sources.datasets import pair
 
 R0 = {1: {1: 2, 3: 1}, 2: {2: 1, 3: 2, 5: 1}, 3: {6: 1}}
 S0 = {1: {1: 1, 3: 1}, 2: {2: 3, 3: 1}, 3: {3: 2, 5: 2}, 4: {1: 1, 4: 5}, 5: {4: 7}, 6: {3: 1, 5: 1}}
@@ -213,3 +214,27 @@ def test_grid_scores_keep_fractions_and_padding_leaves_self_out(spark):
     assert grid == digest(knn_join(v, v, 2, "inverted", metric="cosine")) and any(0 < s < 0.999 for *_, s in grid)
     filled = knn_join(v, v, 4, "inverted", exclude_self=True, fill_zero=True).collect()
     assert len(filled) == 4 * v.select("id").distinct().count() and all(x["r_id"] != x["s_id"] for x in filled)
+
+
+def test_measures_of_a_run(spark):
+    from sparse_neighbors.plans.metering import Cost, measure, measure_query, percent_better, speed_up
+
+    cost = measure_query(spark, lambda: spark.range(0, 100_000, 1, 4).groupBy((F.col("id") % 7).alias("g")).count())
+    assert cost.wall_seconds > 0 and cost.cpu_seconds > 0 and cost.shuffle_bytes > 0 and cost.stages >= 2
+    nothing = measure(spark, lambda: None)
+    assert nothing.stages == 0 and nothing.io_bytes == 0
+    slow, fast = (Cost(1.0, x, 0, 0, 0, 0, 1) for x in (10.0, 4.0))
+    assert speed_up(slow, fast) == 2.5 and percent_better(slow, fast) == 60.0 and percent_better(fast, slow) == -150.0
+
+
+def test_no_blocks_give_no_rows(spark, data):
+    r, s = pair(spark, data, "spectrum")
+    assert block_join(r, s, 3, "pruned", BlockPlan(0, 0, 2, 2), order=[]).count() == 0
+
+
+def test_report_rows_cover_the_work(spark, data):
+    r, s = pair(spark, data, "spectrum")
+    rows = join_report(r, s, 3, BlockPlan(0, 0, 1, 2)).collect()
+    assert {x["sb"] for x in rows} == {0, 1}
+    assert sum(x["scanned"] for x in rows) <= costs.summary(r, s).first()["products"]
+    assert all(x["completed"] <= x["candidates"] <= x["scanned"] for x in rows)

@@ -5,6 +5,8 @@ It needs every pair by definition, so it is guarded by a limit on their number a
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
@@ -16,12 +18,23 @@ from ..functions.vectors import pack
 from .topk import top_k
 
 MOST_PAIRS = 2_000_000_000
+PAIRS_A_TASK = 20_000
 
 
-def guard(r: DataFrame, s: DataFrame, most: int = MOST_PAIRS) -> None:
+def guard(r: DataFrame, s: DataFrame, most: int = MOST_PAIRS) -> int:
+    """The number of pairs, refused beyond a limit."""
     n = r.select("id").distinct().count() * s.select("id").distinct().count()
     if n > most:
         raise ValueError(f"{n} pairs; the exhaustive join is limited to {most}")
+    return n
+
+
+def spread(side: DataFrame, pairs: int) -> DataFrame:
+    """A side of the pairs in as many partitions that both sides together give tasks of a bounded number of pairs.
+
+    Packed vectors are few bytes for the work they cause, so without a number they would end in one task.
+    """
+    return side.repartition(max(1, math.ceil(math.sqrt(pairs / PAIRS_A_TASK))))
 
 
 def exhaustive_block(r_block: DataFrame, s_block: DataFrame, kind: str = "bigint") -> DataFrame:
@@ -32,11 +45,11 @@ def exhaustive_block(r_block: DataFrame, s_block: DataFrame, kind: str = "bigint
 
 def exhaustive_join(r: DataFrame, s: DataFrame, k: int = 5, ties: str = "id", exclude_self: bool = False) -> DataFrame:
     """The whole-set form in one job."""
-    guard(r, s)
+    pairs = guard(r, s)
     kind = r.schema["w"].dataType.simpleString()
     left = pack(r).select(F.lit(0).alias("rb"), F.col("id").alias("r_id"), "features")
     right = pack(s).select(F.col("id").alias("s_id"), "features")
-    scores = exhaustive_block(left, right, kind).drop("rb")
+    scores = exhaustive_block(spread(left, pairs), spread(right, pairs), kind).drop("rb")
     return top_k(scores.where("r_id <> s_id") if exclude_self else scores, k, ties)
 
 

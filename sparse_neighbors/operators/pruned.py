@@ -53,7 +53,10 @@ def live_vectors(r: DataFrame, s_block: DataFrame) -> DataFrame:
 
 
 def split_features(s_block: DataFrame, dimstats: DataFrame, floors: DataFrame, options: PruneOptions = PruneOptions()) -> DataFrame:
-    """s_block (s_id, d, w) -> rb, s_id, d, w, bound, is_tail for every R-block."""
+    """s_block (s_id, d, w) -> rb, s_id, d, w, bound, is_tail for every R-block.
+
+    The walk is per R-block and s, so an S-block that is partitioned by s_id isn't shuffled if dimstats is broadcast.
+    """
     how = "inner" if options.drop_dead else "left"
     if options.drop_dead:
         rows = s_block.join(dimstats, "d", how)
@@ -86,30 +89,49 @@ def partial_scores(r: DataFrame, packed: DataFrame) -> DataFrame:
     return joined.groupBy("rb", "r_id", "s_id").agg(F.sum(F.col("rw") * F.col("sw")).alias("score"), F.max("head_bound").alias("head_bound"))
 
 
-def complete(partial: DataFrame, r_packed: DataFrame, packed: DataFrame, kind: str = "bigint") -> DataFrame:
-    """Adds to partial (rb, r_id, s_id, score) the product of each r (rb, r_id, features) with the head of its s; pairs without a head pass."""
+def complete(partial: DataFrame, r_packed: DataFrame, packed: DataFrame, kind: str = "bigint", in_place: bool = False) -> DataFrame:
+    """Adds to partial (rb, r_id, s_id, score) the product of each r (rb, r_id, features) with the head of its s; pairs without a head pass.
+
+    in_place: both sides are partitioned by s_id already. Then rb is compared behind the join on s_id, since as a second key it
+    would make Spark shuffle both again; an s has at most a head per R-block.
+    """
     heads = packed.where(F.size("head") > 0).select("rb", "s_id", "head")
-    met = partial.join(heads, ["rb", "s_id"], "left").join(r_packed, ["rb", "r_id"], "left")
+    if in_place:
+        heads = heads.withColumnsRenamed({"rb": "head_rb", "s_id": "head_s"})
+        found = partial.join(heads, (F.col("s_id") == F.col("head_s")) & (F.col("rb") - F.col("head_rb") == 0), "left")
+    else:
+        found = partial.join(heads, ["rb", "s_id"], "left")
+    met = found.join(r_packed, ["rb", "r_id"], "left")
     more = F.when(F.col("head").isNotNull(), merge_dot(F.col("features"), F.col("head"), kind)).otherwise(F.lit(0).cast(kind))
     return met.select("rb", "r_id", "s_id", (F.col("score") + more).alias("score"))
 
 
-def pruned_block(r: DataFrame, s_block: DataFrame, kth: DataFrame, dimstats: DataFrame, options: PruneOptions = PruneOptions(), r_packed: DataFrame | None = None) -> DataFrame:
+def pruned_block(
+    r: DataFrame, s_block: DataFrame, kth: DataFrame, dimstats: DataFrame, options: PruneOptions = PruneOptions(), r_packed: DataFrame | None = None, live: DataFrame | None = None,
+    resident: bool = False, write: bool = True,
+) -> DataFrame:
     """Scores of an S-block with all R-blocks, for pairs that can still enter a result.
 
-    The split is written once and read for the tails and for the heads. With the precheck, a pair is completed only if its tail
-    and the bound of its head together reach its r's k-th score.
+    With the precheck, a pair is completed only if its tail and the bound of its head together reach its r's k-th score.
+    resident: r is known to be small enough to go to every task, with its statistics, thresholds and packed form. The S-block is
+    then partitioned by s_id once and split, met and completed in place. write: the split is written, and read for the tails
+    and for the heads; without it both are made from the same partitions of the S-block.
     """
     kind = r.schema["w"].dataType.simpleString()
     if r_packed is None:
         r_packed = r.groupBy("rb", "r_id").agg(F.array_sort(F.collect_list(F.struct("d", "w"))).alias("features"))
-    floors = block_floors(kth, live_vectors(r, s_block))
-    packed = materialize(pack_split(split_features(s_block, dimstats, floors, options)), "split")
+    floors = block_floors(kth, live_vectors(r, s_block) if live is None else live)
+    if resident:
+        s_block = s_block.repartition("s_id")
+        r, kth, dimstats, r_packed, floors = (F.broadcast(x) for x in (r, kth, dimstats, r_packed, floors))
+    packed = pack_split(split_features(s_block, dimstats, floors, options))
+    if write:
+        packed = materialize(packed, "split")
     partial = partial_scores(r, packed)
     if options.precheck:
         partial = partial.join(kth, ["rb", "r_id"], "left").where((F.col("score") + F.col("head_bound")) * (1 + SLACK) >= F.coalesce("kth_score", F.lit(0)))
-    done = complete(partial.select("rb", "r_id", "s_id", "score"), r_packed, packed, kind)
-    done._written, done._floors = packed, floors
+    done = complete(partial.select("rb", "r_id", "s_id", "score"), r_packed, packed, kind, in_place=resident and not write)
+    done._written, done._floors = packed if write else None, floors
     return done
 
 

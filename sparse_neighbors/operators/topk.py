@@ -40,6 +40,22 @@ def to_nested(result: DataFrame) -> DataFrame:
     return result.groupBy("r_id").agg(F.array_sort(F.collect_list(one)).alias("neighbours"))
 
 
+def to_best(result: DataFrame) -> DataFrame:
+    """One row per r with its candidates as an array that sorts by falling score, then s_id."""
+    return result.groupBy("r_id").agg(F.array_sort(F.collect_list(F.struct((-F.col("score")).alias("below"), "s_id"))).alias("best"))
+
+
+def merge_best(a, b, k: int):
+    """The k best of two such arrays as a column, for states that are kept as arrays; a null array is empty."""
+    empty = F.slice(F.coalesce(a, b), 1, 0)
+    return F.slice(F.array_sort(F.concat(F.coalesce(a, empty), F.coalesce(b, empty))), 1, k)
+
+
+def from_best(nested: DataFrame) -> DataFrame:
+    """r_id, best -> r_id, s_id, score, rank."""
+    return nested.select("r_id", F.posexplode("best").alias("place", "x")).select("r_id", F.col("x.s_id").alias("s_id"), (-F.col("x.below")).alias("score"), (F.col("place") + 1).cast("int").alias("rank"))
+
+
 def fill_zero(result: DataFrame, r: DataFrame, s: DataFrame, k: int, exclude_self: bool = False) -> DataFrame:
     """Pads r with fewer than k neighbours by the s of lowest id that it has no score with; never by itself with exclude_self.
 

@@ -2,6 +2,7 @@
 
 R-blocks are independent, so rb is a column and all of them run in one job. S-blocks follow each other because each
 one's pruning needs the scores found before; the state between two is at most k rows per r, written to the shared folder.
+If all of R is below RESIDENT_BYTES, it goes to every task, and an S-block is shuffled by s_id only.
 """
 
 from __future__ import annotations
@@ -15,6 +16,7 @@ from ..functions.vectors import pack
 from ..operators.exhaustive import exhaustive_block, guard
 from ..operators.inverted import accumulate
 from ..operators.pruned import PruneOptions, block_dimstats, first_block_work, pruned_block, pruned_work
+from ..operators.resident import RESIDENT_BYTES, feature_bytes
 from ..operators.topk import top_k
 from ..sources.scratch import discard, materialize
 from .blocks import BlockPlan, assign_blocks, plan_blocks
@@ -54,7 +56,7 @@ def together(*steps):
 def block_join(
     r: DataFrame, s: DataFrame, k: int = 5, kernel: str = "pruned", plan: BlockPlan | None = None, options: PruneOptions = PruneOptions(),
     r_how: str = "range", s_how: str = "range", order: list[int] | None = None, ties: str = "id", exclude_self: bool = False, report: list | None = None, stop_after: int | None = None,
-    work: list | None = None,
+    work: list | None = None, resident_bytes: int = RESIDENT_BYTES,
 ) -> DataFrame:
     """r, s (id, d, w) -> r_id, s_id, score, rank; `report` receives the candidate state after each S-block.
 
@@ -64,22 +66,40 @@ def block_join(
     """
     if kernel not in KERNELS:
         raise ValueError(f"kernel must be one of {KERNELS}")
-    plan = plan or plan_blocks(r, s)
+    sides = []
+    if plan is None:
+        r, s = sides = together(lambda: materialize(r, "side"), lambda: materialize(s, "side"))
+        plan = plan_blocks(r, s)
     strict = options.rule == "strict" and kernel == "pruned"
     if strict and (s_how not in ("range", "geometric") or ties != "id" or (order is not None and order != sorted(order))):
         raise ValueError("the strict rule needs ascending id blocks and ties by id")
-    outer, inner = together(
-        lambda: materialize(assign_blocks(r, plan.r_blocks, r_how, "rb").select("rb", F.col("id").alias("r_id"), "d", "w"), "outer"),
-        lambda: materialize(assign_blocks(s, plan.s_blocks, s_how, "sb").select("sb", F.col("id").alias("s_id"), "d", "w"), "inner", by="sb"),
-    )
+
+    def cut(v: DataFrame, blocks: int, how: str, column: str, own: str) -> DataFrame:
+        """v in blocks; it is written first, since the bounds of blocks come from its sizes and building vectors costs more than writing them."""
+        held = v if blocks == 1 or how in ("mod", "hash") or hasattr(v, "_materialized_at") else materialize(v.select("id", "d", "w"), "side")
+        placed = held.withColumn(column, F.lit(0)) if blocks == 1 else assign_blocks(held, blocks, how, column)
+        out = materialize(placed.select(column, F.col("id").alias(own), "d", "w"), "blocks", by="sb" if column == "sb" else None)
+        if held is not v:
+            discard(held)
+        return out
+
+    outer, inner = together(lambda: cut(r, plan.r_blocks, r_how, "rb", "r_id"), lambda: cut(s, plan.s_blocks, s_how, "sb", "s_id"))
     kind = r.schema["w"].dataType.simpleString()
     state = held = None
+    discard(*sides)
     spent = [outer, inner]
     numbers = list(range(plan.s_blocks) if order is None else order)[:stop_after]
     if not numbers:
         discard(*spent)
         return r.sparkSession.createDataFrame([], f"r_id long, s_id long, score {kind}, rank int")
 
+    resident = kernel != "exhaustive" and feature_bytes(outer) <= resident_bytes
+
+    def add_up(block: DataFrame) -> DataFrame:
+        if resident:
+            return accumulate(F.broadcast(outer), block.repartition("s_id"), by=("rb",))
+        return accumulate(outer, block, by=("rb",))
+
     def first(new: DataFrame) -> DataFrame:
         new = new.where("score > 0 and r_id <> s_id" if exclude_self else "score > 0")
         return materialize(keep_best(new, k, ties), "candidates")
@@ -87,19 +107,22 @@ def block_join(
     if kernel == "pruned":
         # the first block has no floor to prune with, so it needs none of what the later ones do
         block = inner.where(F.col("sb") == numbers[0]).drop("sb")
-        dimstats, packed_r, state = together(
+        rest = inner.where(F.col("sb").isin(numbers[1:])).select("sb", "d").distinct()
+        dimstats, packed_r, state, live = together(
             lambda: materialize(block_dimstats(outer, options.dim_order), "dimstats"),
             lambda: materialize(outer.groupBy("rb", "r_id").agg(F.array_sort(F.collect_list(F.struct("d", "w"))).alias("features")), "packed"),
-            lambda: first(accumulate(outer, block, by=("rb",))),
+            lambda: first(add_up(block)),
+            # the vectors that meet each later S-block, for its floors
+            lambda: materialize(rest.join(F.broadcast(outer.select("rb", "r_id", "d")) if resident else outer.select("rb", "r_id", "d"), "d").select("sb", "rb", "r_id").distinct(), "live"),
         )
-        spent += [dimstats, packed_r]
+        spent += [dimstats, packed_r, live]
         if work is not None:
             work.append(materialize(first_block_work(outer, block).withColumn("sb", F.lit(numbers[0])), "work"))
         if report is not None:
             report.append(state)
         held, numbers = state, numbers[1:]
     elif kernel == "exhaustive":
-        guard(r, s)
+        guard(outer.withColumnRenamed("r_id", "id"), inner.withColumnRenamed("s_id", "id"))
         packed_r = pack(outer.select(F.struct("rb", "r_id").alias("id"), "d", "w")).select("id.rb", "id.r_id", "features")
     for number in numbers:
         block = inner.where(F.col("sb") == number).drop("sb")
@@ -107,9 +130,9 @@ def block_join(
         if kernel == "exhaustive":
             new = exhaustive_block(packed_r, pack(block.withColumnRenamed("s_id", "id")).withColumnRenamed("id", "s_id"), kind)
         elif kernel == "pruned":
-            new = pruned_block(outer, block, kth, dimstats, options, packed_r)
+            new = pruned_block(outer, block, kth, dimstats, options, packed_r, live.where(F.col("sb") == number).drop("sb"), resident, write=not resident or work is not None)
         else:
-            new = accumulate(outer, block, by=("rb",))
+            new = add_up(block)
         written = getattr(new, "_written", None)
         if work is not None and kernel == "pruned":
             work.append(materialize(pruned_work(outer, written, kth, new._floors, options).withColumn("sb", F.lit(number)), "work"))

@@ -11,7 +11,8 @@ from ..operators import apps, costs
 from ..operators.exhaustive import exhaustive_grid, exhaustive_join
 from ..operators.inverted import inverted_join, inverted_packed, posting_lists
 from ..operators.pruned import PruneOptions, block_dimstats, block_floors, live_vectors, pruned_block, split_features
-from ..operators.topk import kth_scores, to_nested, top_k
+from ..operators.resident import resident_join
+from ..operators.topk import from_best, kth_scores, merge_best, to_best, to_nested, top_k
 from ..plans.api import explain_join, knn_join
 from ..plans.blocks import BlockPlan, assign_blocks, plan_blocks, plan_sizes
 from ..plans.nested_loop import block_join, join_report
@@ -127,6 +128,25 @@ query("knn_cosine", f"with {pair_sql('benchmark_doc')}, rn as (select id, sqrt(s
     lambda s, d: knn_join(*pair(s, d, "benchmark_doc"), k=1, method="inverted", metric="cosine").select("r_id", F.round("score", 6).alias("best"))
 )
 
+# ---------------------------------------------------------------- S in place, blocks of R broadcast
+
+for _pair in ("spectrum", "benchmark_doc"):
+    query(f"knn_resident_{_pair}", knn_sql(_pair))(lambda s, d, p=_pair: resident_join(*pair(s, d, p)))
+query("knn_resident_blocks", knn_sql("customer"))(lambda s, d: resident_join(*pair(s, d, "customer"), block_bytes=1 << 18))
+query("knn_resident_ties_all", knn_sql("spectrum", ties="all"))(lambda s, d: knn_join(*pair(s, d, "spectrum"), ties="all", strategy="resident"))
+query("knn_resident_exclude_self", knn_sql("supplier_self", extra="where rv.id <> sv.id"))(lambda s, d: knn_join(*pair(s, d, "supplier_self"), method="inverted", strategy="resident", exclude_self=True))
+
+
+@query("topk_array_merge", knn_sql("spectrum"))
+def topk_array_merge(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The results of the two halves of S as arrays, merged per r."""
+    r, s = pair(spark, sf_dir, "spectrum")
+    s = assign_blocks(s, 2, "range", "half")
+    a, b = (to_best(inverted_join(r, s.where(F.col("half") == n).drop("half"))) for n in (0, 1))
+    both = a.join(b.withColumnRenamed("best", "other"), "r_id", "full")
+    return from_best(both.select("r_id", merge_best(F.col("best"), F.col("other"), 5).alias("best")))
+
+
 # ---------------------------------------------------------------- intermediates of the pruned join, after the first of three S-blocks
 
 _FIRST_STATE = f"with {pair_sql('spectrum')}, {_R2}, scores as (select r2.rb, r2.id as r_id, s3.id as s_id, cast(sum(r2.w * s3.w) as bigint) as score from r2 join s3 on r2.d = s3.d where sb = 0 group by 1, 2, 3), ranked as (select *, row_number() over (partition by r_id order by score desc, s_id) as rank from scores), ids as (select distinct rb, id as r_id from r2), kth as (select ids.rb, ids.r_id, coalesce(score, 0) as kth_score from ids left join ranked on ids.r_id = ranked.r_id and rank = 2)"
@@ -186,12 +206,25 @@ def _plan_sql(name: str, fraction: float, layout: str = "split") -> str:
       select rp as r_pages, sp as s_pages, cast(ceil(rp / rb::double) as int) as r_blocks, cast(ceil(sp / sb::double) as int) as s_blocks from e"""
 
 
+def _classic_sql(name: str, fraction: float) -> str:
+    """A page for S and one for output; all else holds R."""
+    return f"""with {pair_sql(name)}, p as (select greatest(1, cast(ceil((select count(*) from rv) * 12 / 8192.0) as int)) as rp, greatest(1, cast(ceil((select count(*) from sv) * 12 / 8192.0) as int)) as sp),
+      b as (select *, greatest(1, greatest(2, cast(ceil((rp + sp) * {fraction}::double) as int)) - 2) as buffer from p)
+      select rp as r_pages, sp as s_pages, cast(ceil(rp / buffer::double) as int) as r_blocks, sp as s_blocks, cast(rp + ceil(rp / buffer::double) * sp as int) as io_pages from b"""
+
+
+def _classic_row(spark, sf_dir, fraction: float) -> DataFrame:
+    plan = plan_blocks(*pair(spark, sf_dir, _P), buffer_fraction=fraction, layout="classic")
+    return _plan_row(spark, plan, io_pages=plan.io_pages)
+
+
 def _plan_row(spark, plan: BlockPlan, **more) -> DataFrame:
     values = {"r_pages": plan.r_pages, "s_pages": plan.s_pages, "r_blocks": plan.r_blocks, "s_blocks": plan.s_blocks} | more
     return spark.range(1).select(*(F.lit(v).alias(k) for k, v in values.items()))
 
 
 query("block_plan", _plan_sql(_P, 0.5))(lambda s, d: _plan_row(s, plan_blocks(*pair(s, d, _P))))
+query("block_plan_classic", _classic_sql(_P, 0.3))(lambda s, d: _classic_row(s, d, 0.3))
 query("io_pages", f"select cast(r_pages + r_blocks * s_pages as int) as io_pages from ({_plan_sql(_P, 0.5)})")(lambda s, d: s.range(1).select(F.lit(plan_blocks(*pair(s, d, _P)).io_pages).alias("io_pages")))
 query("block_assignment", f"with {pair_sql(_P)}, sizes as (select id, count(*) as size from sv group by id), placed as (select id, coalesce(sum(size) over (order by id rows between unbounded preceding and 1 preceding), 0) / (sum(size) over ())::double as share from sizes) select id, cast(least(floor(share * 4), 3) as int) as block from placed")(
     lambda s, d: assign_blocks(pair(s, d, _P)[1], 4).select("id", "block").distinct()
@@ -435,7 +468,19 @@ query("w8_kmeans_iterate")(lambda s, d: apps.kmeans_iterate(*_seeds(s, d), round
 # ---------------------------------------------------------------- ablation
 
 
-@query("w9_ablation")
+_ORDERS = {"frequent_first": "count(*) desc, d", "rare_first": "count(*), d", "natural": "d"}
+_STATS = " union all ".join(f"select '{name}' as dim_order, rb, d, count(*) as freq, max(w) as peak_weight, row_number() over (partition by rb order by {by}) as dim_rank from r2 group by rb, d" for name, by in _ORDERS.items())
+_W9 = f"""{_FIRST_STATE}, {_LIVE}, stats as ({_STATS}),
+  walked as (select dim_order, rb, s3.id as s_id, s3.d, freq, sum(peak_weight * s3.w) over (partition by dim_order, rb, s3.id order by dim_rank, s3.d rows unbounded preceding) as bound from s3 join stats on s3.d = stats.d where sb = 1),
+  split as materialized (select dim_order, rule, rb, s_id, d, freq, case rule when 'strict' then bound > block_floor else bound >= block_floor and bound > 0 end as is_tail from walked join floors using (rb), (select unnest(['tie_safe', 'strict']) as rule)),
+  visit as (select dim_order, rule, rb, count(*) as indexed_features, cast(sum(freq) as bigint) as scanned_postings from split where is_tail group by 1, 2, 3),
+  met as (select distinct dim_order, rule, split.rb, r2.id as r_id, s_id from split join r2 on split.rb = r2.rb and split.d = r2.d where is_tail),
+  size as (select id as r_id, count(*) as nr from r2 group by id), head as (select dim_order, rule, rb, s_id, count(*) as nh from split where not is_tail group by 1, 2, 3, 4),
+  done as (select dim_order, rule, rb, count(*) as candidates, cast(sum(case when nh is null then 0 else nr + nh end) as bigint) as completion_steps from met join size using (r_id) left join head using (dim_order, rule, rb, s_id) group by 1, 2, 3)
+  select dim_order, rule, rb, indexed_features, scanned_postings, coalesce(candidates, 0) as candidates, coalesce(completion_steps, 0) as completion_steps, scanned_postings + coalesce(completion_steps, 0) as steps from visit left join done using (dim_order, rule, rb)"""
+
+
+@query("w9_ablation", _W9)
 def w9_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Indexed features, visited postings, candidates and completion steps of the second S-block under each dimension order and rule."""
     outer, block, kth = _state(spark, sf_dir)

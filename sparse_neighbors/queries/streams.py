@@ -94,3 +94,10 @@ def st_topk_state(s: SparkSession, d: str) -> DataFrame:
     rows = s.read.parquet(path)
     newest = rows.groupBy("r_id").agg(F.max("batch").alias("batch"))
     return rows.join(newest, ["r_id", "batch"]).select("r_id", "s_id", "score", "rank")
+
+
+@query("st_rate_source", "select cast(v // 8 as bigint) as id, cast(v * 7919 % 50 as bigint) as d, cast(sum(1 + v % 5) as bigint) as w from range(0, 2000) t(v) group by 1, 2")
+def st_rate_source(s: SparkSession, d: str) -> DataFrame:
+    """The first 2000 features that the rate source makes, added up to vectors."""
+    features = streams.first_values(streams.rate_features(s), 2000, new_path(s, "rate"))
+    return features.groupBy("id", "d").agg(F.sum("w").alias("w"))

@@ -11,8 +11,10 @@ from pyspark.sql.streaming.state import GroupStateTimeout
 
 from ..functions import vectors as V
 from ..operators.inverted import accumulate, inverted_join
-from ..operators.topk import top_k
-from ..sources.scratch import new_path
+from ..operators.pruned import block_dimstats, pruned_block
+from ..operators.resident import RESIDENT_BYTES, feature_bytes
+from ..plans.nested_loop import keep_best, merge_candidates, thresholds
+from ..sources.scratch import discard, materialize, new_path
 
 
 def run_to_end(writer) -> None:
@@ -40,21 +42,65 @@ def stream_query_join(r_stream: DataFrame, s: DataFrame, k: int, path: str) -> N
 
 
 def stream_inner_join(r: DataFrame, s_stream: DataFrame, k: int, path: str) -> DataFrame:
-    """Each micro-batch of packed S vectors is an S-block; state n is made from state n - 1, so a replay changes nothing."""
-    spark = r.sparkSession
-    left = r.select(F.col("id").alias("r_id"), "d", "w")
-    schema = "r_id long, s_id long, score long, rank int"
+    """Each micro-batch of packed S vectors is an S-block; state n is made from state n - 1, so a replay changes nothing.
+
+    The k-th scores of a state are the floors of the next batch, of which only what can reach them is indexed. Batches come in any
+    order of ids, so ties with a floor are kept.
+    """
+    spark, kind = r.sparkSession, r.schema["w"].dataType.simpleString()
+    left = materialize(r.select(F.lit(0).alias("rb"), F.col("id").alias("r_id"), "d", "w"), "outer")
+    dimstats = materialize(block_dimstats(left), "dimstats")
+    packed = materialize(left.groupBy("rb", "r_id").agg(F.array_sort(F.collect_list(F.struct("d", "w"))).alias("features")), "packed")
+    resident = feature_bytes(left) <= RESIDENT_BYTES
     last = []
 
     def one(batch: DataFrame, number: int) -> None:
-        new = accumulate(left, V.unpack(batch).withColumnRenamed("id", "s_id"))
+        block = V.unpack(batch).withColumnRenamed("id", "s_id")
         if number:
-            new = new.unionByName(spark.read.schema(schema).parquet(f"{path}/state={number - 1}").drop("rank"))
-        top_k(new, k).write.mode("overwrite").parquet(f"{path}/state={number}")
+            old = spark.read.parquet(f"{path}/state={number - 1}")
+            kth = thresholds(old)
+            new = pruned_block(left, block, kth, dimstats, r_packed=packed, resident=resident)
+            after = merge_candidates(old, new, kth, k, strict=False)
+        else:
+            new = accumulate(left, block, by=("rb",))
+            after = keep_best(new.where("score > 0"), k)
+        after.write.mode("overwrite").parquet(f"{path}/state={number}")
+        if number:
+            discard(new._written)
         last[:] = [number]
 
     run_to_end(s_stream.writeStream.foreachBatch(one).option("checkpointLocation", f"{path}-progress"))
-    return spark.read.schema(schema).parquet(f"{path}/state={last[0]}") if last else spark.createDataFrame([], schema)
+    discard(left, dimstats, packed)
+    columns = ("r_id", "s_id", "score", "rank")
+    return spark.read.parquet(f"{path}/state={last[0]}").select(*columns) if last else spark.createDataFrame([], f"r_id long, s_id long, score {kind}, rank int")
+
+
+def rate_features(spark: SparkSession, rate: int = 1000, per_vector: int = 8, dims: int = 50) -> DataFrame:
+    """A stream of generated features from the rate source: value, id, d, w."""
+    rows = spark.readStream.format("rate").option("rowsPerSecond", rate).option("numPartitions", 2).load()
+    value = F.col("value")
+    return rows.select("value", F.floor(value / per_vector).alias("id"), (value * 7919 % dims).alias("d"), (1 + value % 5).alias("w"))
+
+
+def first_values(stream: DataFrame, n: int, path: str) -> DataFrame:
+    """The rows of the first n values of an endless stream: it runs until a batch has passed them, then stops."""
+    passed = []
+
+    def one(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/batch={number}")
+        top = batch.sparkSession.read.parquet(f"{path}/batch={number}").agg(F.max("value")).first()[0]
+        if top is not None and top >= n - 1:
+            passed.append(number)
+
+    query = stream.writeStream.foreachBatch(one).option("checkpointLocation", f"{path}-progress").start()
+    try:
+        while not passed and query.isActive:
+            query.awaitTermination(0.2)
+    finally:
+        query.stop()
+    if query.exception():
+        raise query.exception()
+    return stream.sparkSession.read.parquet(path).where(F.col("value") < n).drop("batch")
 
 
 def stateful_topk(scores_stream: DataFrame, k: int, path: str) -> None:

@@ -238,3 +238,63 @@ def test_report_rows_cover_the_work(spark, data):
     assert {x["sb"] for x in rows} == {0, 1}
     assert sum(x["scanned"] for x in rows) <= costs.summary(r, s).first()["products"]
     assert all(x["completed"] <= x["candidates"] <= x["scanned"] for x in rows)
+
+
+@pytest.mark.parametrize("ties", ["id", "all", "strict"])
+def test_resident_form(spark, ties):
+    """One broadcast of R or several, with every tie rule; and the pruned loop with R sent to every task or not."""
+    from sparse_neighbors.operators.resident import resident_join
+
+    rng = random.Random(14)
+    rv, sv = random_vectors(rng, 20, 15, 5), random_vectors(rng, 50, 15, 5)
+    r, s = frame(spark, rv), frame(spark, sv)
+    want = expected(rv, sv, 3, ties)
+    assert rows(resident_join(r, s, 3, ties)) == want
+    assert rows(resident_join(r, s, 3, ties, block_bytes=32 * 20)) == want
+    if ties != "strict":
+        for size in (0, 1 << 20):
+            assert rows(block_join(r, s, 3, "pruned", BlockPlan(0, 0, 2, 3), ties=ties, resident_bytes=size)) == want
+            assert rows(block_join(r, s, 3, "inverted", BlockPlan(0, 0, 2, 3), ties=ties, resident_bytes=size)) == want
+
+
+def test_resident_form_shuffles_no_partial_sums(spark, tmp_path):
+    from sparse_neighbors.operators.resident import resident_join
+
+    frame(spark, S0).write.parquet(str(tmp_path / "s"))
+    plan = resident_join(frame(spark, R0), spark.read.parquet(str(tmp_path / "s")), 2)._jdf.queryExecution().executedPlan().toString()
+    # S by its id, the distinct dimensions of R, the ranks by r
+    assert plan.count("Exchange hashpartitioning") == 3 and "Exchange hashpartitioning(r_id" in plan and "SortMergeJoin" not in plan
+
+
+def test_resident_form_of_odd_sides(spark):
+    from sparse_neighbors.operators.resident import feature_bytes, resident_join
+
+    none = spark.createDataFrame([], "id long, d long, w long")
+    s = frame(spark, S0)
+    assert feature_bytes(none) == 0
+    assert resident_join(none, s, 2).count() == 0 and resident_join(s, none, 2).count() == 0
+    with pytest.raises(ValueError):
+        knn_join(s, s, 2, "packed", strategy="resident")
+    with pytest.raises(ValueError):
+        knn_join(s, s, 2, strategy="other")
+
+
+def test_choice_of_strategy():
+    """Small or thin joins shuffle by dimension; dense ones broadcast R while few blocks hold it, and else take the pruned loop."""
+    from sparse_neighbors.plans.api import _choice
+
+    n = {"r_features": 10**6, "s_features": 10**9, "products": 10**9}
+    assert _choice(n | {"s_features": 10**6, "products": 10**12}) == ("inverted", "dimension")
+    assert _choice(n) == ("inverted", "dimension")
+    assert _choice(n | {"products": 10**13}) == ("inverted", "resident")
+    assert _choice(n | {"products": 10**15, "r_features": 10**9}) == ("pruned", "dimension")
+
+
+def test_arrays_of_candidates_merge(spark):
+    from sparse_neighbors.operators.topk import from_best, merge_best, to_best
+
+    make = lambda x: to_best(spark.createDataFrame(x, "r_id long, s_id long, score long"))
+    a, b = make([(1, 5, 9), (1, 4, 7), (2, 1, 3)]), make([(1, 2, 7), (1, 3, 8), (3, 1, 1)])
+    both = a.join(b.withColumnRenamed("best", "other"), "r_id", "full").select("r_id", merge_best(F.col("best"), F.col("other"), 3).alias("best"))
+    assert sorted(tuple(x) for x in from_best(both).collect()) == [(1, 2, 7, 3), (1, 3, 8, 2), (1, 5, 9, 1), (2, 1, 3, 1), (3, 1, 1, 1)]
+

@@ -21,3 +21,13 @@ def test_cells_give_the_join_by_partial_sums(spark, monkeypatch, ties):
     plan = got._jdf.queryExecution().executedPlan().toString()
     assert "InArrow" in plan and "sum(" not in plan.split("InArrow")[0]
     assert sorted(map(tuple, got.collect())) == want and want
+
+
+def test_state_comes_from_the_inverted_join(spark, data, monkeypatch):
+    """The k-th scores after the first S-block come from rows cut to k before any shuffle by pair."""
+    plain = sorted(map(tuple, joins.QUERIES["kth_scores"](spark, data).collect()))
+    asked = []
+    monkeypatch.setattr(inverted, "MOST_SUMS", 0)
+    monkeypatch.setattr(inverted, "cell_join", lambda *a, f=inverted.cell_join: asked.append(a[2]) or f(*a))
+    monkeypatch.setattr(inverted, "cells", lambda r, s: (2, 2))
+    assert sorted(map(tuple, joins.QUERIES["kth_scores"](spark, data).collect())) == plain and asked == [2]

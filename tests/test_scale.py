@@ -31,3 +31,9 @@ def test_state_comes_from_the_inverted_join(spark, data, monkeypatch):
     monkeypatch.setattr(inverted, "cell_join", lambda *a, f=inverted.cell_join: asked.append(a[2]) or f(*a))
     monkeypatch.setattr(inverted, "cells", lambda r, s: (2, 2))
     assert sorted(map(tuple, joins.QUERIES["kth_scores"](spark, data).collect())) == plain and asked == [2]
+
+
+def test_synthetic_vectors_come_from_a_given_table(spark, data):
+    """A vector for each customer, from Spark's own reading of the table."""
+    n = spark.read.parquet(f"{data}/customer.parquet").count()
+    assert [tuple(r) for r in joins.QUERIES["vec_synthetic"](spark, data).collect()] == [(n, True)] and n != 200

@@ -46,10 +46,25 @@ for _how in ("inner", "left", "right", "full"):
     query(f"rel_join_{_how}", f"select c_custkey, o_orderkey from (select * from customer where c_mktsegment = 'BUILDING') c {_how} join (select * from orders where o_orderstatus = 'F') o on c_custkey = o_custkey")(
         lambda s, d, h=_how: C(s, d).where("c_mktsegment = 'BUILDING'").join(O(s, d).where("o_orderstatus = 'F'"), F.col("c_custkey") == F.col("o_custkey"), h).select("c_custkey", "o_orderkey")
     )
-for _key, _hint in (("broadcast", "broadcast"), ("shuffle_hash", "shuffle_hash"), ("merge", "merge")):
+BROADCAST_ROWS = 1 << 20  # of orders in one broadcast; more are joined by a shuffle, since the driver holds a broadcast whole
+
+
+def _broadcast_hint(side: DataFrame, most: int = BROADCAST_ROWS) -> str:
+    """Broadcast while the side is small, by all of its rows."""
+    return "broadcast" if side.count() <= most else "shuffle_hash"
+
+
+for _key, _hint in (("broadcast", _broadcast_hint), ("shuffle_hash", lambda side: "shuffle_hash"), ("merge", lambda side: "merge")):
     query(f"rel_join_{_key}", "select o_orderpriority, count(*) as n, cast(sum(l_quantity) as bigint) as quantity from orders join lineitem on o_orderkey = l_orderkey group by 1")(
-        lambda s, d, h=_hint: L(s, d).join(O(s, d).select("o_orderkey", "o_orderpriority").hint(h), F.col("l_orderkey") == F.col("o_orderkey")).groupBy("o_orderpriority").agg(F.count("*").alias("n"), F.sum("l_quantity").cast("bigint").alias("quantity"))
+        lambda s, d, h=_hint: _priorities(L(s, d), O(s, d).select("o_orderkey", "o_orderpriority"), h)
     )
+
+
+def _priorities(lines: DataFrame, orders: DataFrame, hint) -> DataFrame:
+    joined = lines.join(orders.hint(hint(orders)), F.col("l_orderkey") == F.col("o_orderkey"))
+    return joined.groupBy("o_orderpriority").agg(F.count("*").alias("n"), F.sum("l_quantity").cast("bigint").alias("quantity"))
+
+
 query("rel_semi", "select o_orderkey from orders where o_orderkey in (select l_orderkey from lineitem where l_quantity > 49)")(lambda s, d: O(s, d).join(L(s, d).where("l_quantity > 49"), F.col("o_orderkey") == F.col("l_orderkey"), "left_semi").select("o_orderkey"))
 query("rel_anti", "select c_custkey from customer where c_custkey not in (select o_custkey from orders)")(lambda s, d: C(s, d).join(O(s, d), F.col("c_custkey") == F.col("o_custkey"), "left_anti").select("c_custkey"))
 _EXISTS = "select c_custkey from customer c where exists (select 1 from orders o where o.o_custkey = c.c_custkey and o.o_totalprice > 400000)"

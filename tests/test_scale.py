@@ -37,3 +37,8 @@ def test_synthetic_vectors_come_from_a_given_table(spark, data):
     """A vector for each customer, from Spark's own reading of the table."""
     n = spark.read.parquet(f"{data}/customer.parquet").count()
     assert [tuple(r) for r in joins.QUERIES["vec_synthetic"](spark, data).collect()] == [(n, True)] and n != 200
+
+
+def test_large_sides_are_not_broadcast(spark):
+    orders = spark.range(50)
+    assert relational._broadcast_hint(orders, 50) == "broadcast" and relational._broadcast_hint(orders, 49) == "shuffle_hash"

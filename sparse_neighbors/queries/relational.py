@@ -80,8 +80,15 @@ query("rel_theta", "select r.p_partkey as a, s.p_partkey as b from part r join p
 
 
 def _theta(part: DataFrame) -> DataFrame:
+    """Per size only prices with a partner on the other side are paired: above the lowest by more than 500, and below the highest likewise.
+
+    Every row that is left has a row of the result at least; a size without a pair costs two scans.
+    """
     a, b = (part.select(F.col("p_partkey").alias(n), F.col("p_size").alias(f"size_{n}"), F.col("p_retailprice").alias(f"price_{n}")) for n in "ab")
-    return a.join(b, (F.col("size_a") == F.col("size_b")) & (F.col("price_a") > F.col("price_b") + 500)).select("a", "b")
+    ends = part.where("p_retailprice is not null").groupBy("p_size").agg(F.min("p_retailprice").alias("low"), F.max("p_retailprice").alias("high")).where("high > low + 500")
+    above = a.join(ends, F.col("size_a") == F.col("p_size")).where("price_a > low + 500").select("a", "size_a", "price_a")
+    below = b.join(ends, F.col("size_b") == F.col("p_size")).where("high > price_b + 500").select("b", "size_b", "price_b")
+    return above.join(below, (F.col("size_a") == F.col("size_b")) & (F.col("price_a") > F.col("price_b") + 500)).select("a", "b")
 
 
 @query("rel_range", "select e.event_id, p.p_partkey from events e join part p on p.p_retailprice >= e.value * 10 and p.p_retailprice < e.value * 10 + 1 where e.event_type = 'purchase'")

@@ -42,3 +42,12 @@ def test_synthetic_vectors_come_from_a_given_table(spark, data):
 def test_large_sides_are_not_broadcast(spark):
     orders = spark.range(50)
     assert relational._broadcast_hint(orders, 50) == "broadcast" and relational._broadcast_hint(orders, 49) == "shuffle_hash"
+
+
+def test_theta_pairs_only_prices_with_a_partner(spark):
+    """Sizes whose prices are too close are not paired at all; all others give every pair."""
+    rows = [(i, i % 4, float(900 + (i * 37 % 100) + (1000 if i % 4 == 1 and i % 3 == 0 else 0))) for i in range(80)] + [(99, 1, None)]
+    got = relational._theta(spark.createDataFrame(rows, "p_partkey long, p_size int, p_retailprice double"))
+    want = sorted((a, b) for a, n, x in rows for b, m, y in rows if n == m and x is not None and y is not None and x > y + 500)
+    assert sorted(map(tuple, got.collect())) == want and want
+    assert "min(" in got._jdf.queryExecution().executedPlan().toString()

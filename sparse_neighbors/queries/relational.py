@@ -139,7 +139,17 @@ query("rel_agg_stats", "select l_returnflag, round(stddev_samp(l_quantity), 6) a
     lambda s, d: L(s, d).groupBy("l_returnflag").agg(F.round(F.stddev_samp("l_quantity"), 6).alias("deviation"), F.round(F.var_pop("l_quantity"), 6).alias("variance"), F.round(F.percentile("l_quantity", 0.5), 6).alias("median"))
 )
 query("rel_agg_approx")(lambda s, d: L(s, d).agg((F.abs(F.approx_count_distinct("l_partkey", 0.02) / F.countDistinct("l_partkey") - 1) < 0.1).alias("distinct_ok"), (F.abs(F.percentile_approx("l_quantity", 0.5) - F.percentile("l_quantity", 0.5)) <= 1).alias("median_ok"), (F.abs(F.hll_sketch_estimate(F.hll_sketch_agg("l_partkey")) / F.countDistinct("l_partkey") - 1) < 0.1).alias("sketch_ok")))
-query("rel_agg_max_by", "select o_custkey, arg_max(o_orderkey, o_totalprice) as dearest, arg_min(o_orderkey, o_totalprice) as cheapest from orders group by 1")(lambda s, d: O(s, d).groupBy("o_custkey").agg(F.max_by("o_orderkey", "o_totalprice").alias("dearest"), F.min_by("o_orderkey", "o_totalprice").alias("cheapest")))
+query("rel_agg_max_by", "select o_custkey, arg_max(o_orderkey, o_totalprice) as dearest, arg_min(o_orderkey, o_totalprice) as cheapest from orders group by 1")(lambda s, d: _dearest(O(s, d)))
+
+
+def _dearest(orders: DataFrame) -> DataFrame:
+    """Of orders that tie in price, the one of lowest key, which is the first in the table; null keys and prices count for nothing."""
+    key, price = F.col("o_orderkey"), F.col("o_totalprice")
+    known = key.isNotNull() & price.isNotNull()
+    dear, cheap = (F.when(known, F.struct(price.alias("price"), k.alias("key"))) for k in (-key, key))
+    return orders.groupBy("o_custkey").agg((-F.max(dear)["key"]).alias("dearest"), F.min(cheap)["key"].alias("cheapest"))
+
+
 for _kind in ("rollup", "cube"):
     query(f"rel_{_kind}", f"select o_orderstatus, o_orderpriority, count(*) as n from orders group by {_kind}(o_orderstatus, o_orderpriority)")(lambda s, d, k=_kind: getattr(O(s, d), k)("o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n")))
 _SETS = "select o_orderstatus, o_orderpriority, count(*) as n from orders group by grouping sets ((o_orderstatus), (o_orderpriority), ())"

@@ -51,3 +51,10 @@ def test_theta_pairs_only_prices_with_a_partner(spark):
     want = sorted((a, b) for a, n, x in rows for b, m, y in rows if n == m and x is not None and y is not None and x > y + 500)
     assert sorted(map(tuple, got.collect())) == want and want
     assert "min(" in got._jdf.queryExecution().executedPlan().toString()
+
+
+def test_orders_that_tie_in_price_give_the_lowest_key(spark):
+    rows = [(7, 1, 5.0), (3, 1, 5.0), (9, 1, 2.0), (4, 1, 2.0), (1, 1, None), (None, 1, 9.0), (5, 2, None)]
+    for part in (rows, rows[::-1]):
+        got = relational._dearest(spark.createDataFrame(part, "o_orderkey long, o_custkey long, o_totalprice double").repartition(3))
+        assert sorted(map(tuple, got.collect())) == [(1, 3, 4), (2, None, None)]

@@ -34,7 +34,9 @@ from .shared import collect_garbage, discard, materialize, prepare_workers
 from .textscan import hashed_words, mix64, shingle_hashes
 
 WORDS = 8  # 64-bit words of the sketch that every document has; larger sets have a wide one as well, of a bit or more a shingle
-FILTER_BITS = 1 << 26  # of the filters of keys and documents that are needed; a full filter only lets more rows through
+FILTER_BITS = 1 << 26  # of the filter of documents that are needed; a full filter only lets more rows through
+SLICE = 1 << 18  # keys of a task in hand at once
+LOW = 40  # bits of a key that travel; two keys that agree in them and in their part only make more candidates
 
 
 @dataclass(frozen=True)
@@ -195,21 +197,74 @@ def _sets(k: int, bits: np.ndarray):
     return run
 
 
-def _keys_in(bits: np.ndarray):
-    """(doc_id, key) for the keys that the filter lets through."""
+def _key_blocks(parts: int):
+    """(part, low, names): the keys of a batch by part, LOW bits each, and for each key the short name of its set.
+
+    The high bits of a key choose its part, so both together are the key that the rest of the join uses.
+    """
 
     def run(batches):
-        for batch in batches:
+        for batch in (piece for whole in batches for piece in _slices(whole)):
             keys = batch.column("keys")
             sizes = np.asarray(keys.value_lengths().fill_null(0), dtype=np.int64)
-            flat = np.asarray(keys.flatten(), dtype=np.int64)
-            kept = ((bits[(at := _filter_spots(flat, 1)[0]) >> 3] >> (at & 7)) & 1).astype(bool)
-            owner = np.repeat(np.asarray(batch.column("doc_id"), dtype=np.int64), sizes)
-            yield pa.RecordBatch.from_arrays([pa.array(owner[kept]), pa.array(flat[kept])], ["doc_id", "key"])
+            flat = np.asarray(keys.flatten(), dtype=np.int64).view(np.uint64)
+            name = np.repeat(np.asarray(batch.column("print_a"), dtype=np.int64).astype("<u4"), sizes)
+            part = ((flat >> np.uint64(LOW)) % np.uint64(parts)).astype(np.uint16)
+            order = np.argsort(part, kind="stable")
+            cuts = np.searchsorted(part[order], np.arange(parts + 1))
+            low, name = flat[order].astype("<u8").view(np.uint8).reshape(-1, 8)[:, : LOW // 8], name[order]
+            used = np.flatnonzero(np.diff(cuts))
+            spans = [(cuts[p], cuts[p + 1]) for p in used]
+            yield pa.RecordBatch.from_arrays([pa.array(used), pa.array([low[a:b].tobytes() for a, b in spans], pa.binary()), pa.array([name[a:b].tobytes() for a, b in spans], pa.binary())], ["part", "low", "names"])
 
     return run
 
 
+def _slices(batch: pa.RecordBatch):
+    """Rows of a batch in slices of about SLICE keys, so that a long batch costs no more memory."""
+    ends = np.cumsum(np.asarray(batch.column("keys").value_lengths().fill_null(0), dtype=np.int64))
+    at = 0
+    while at < len(ends):
+        stop = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + SLICE, "right")))
+        yield batch.slice(at, stop - at)
+        at = stop
+
+
+def _shared_keys(batches):
+    """(key, name) of the keys that sets of different names have, each once; rows come sorted by part, and a task has all of a part."""
+    keys, names, now = [], [], None
+    for batch in batches:
+        for part, low, name in zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True):
+            if part != now:
+                yield from _shared_in(keys, names)
+                keys, names, now = [], [], part
+            wide = np.zeros((len(name) // 4, 8), np.uint8)
+            wide[:, : LOW // 8] = np.frombuffer(low, np.uint8).reshape(-1, LOW // 8)
+            keys.append(wide.view("<u8").ravel().astype(np.int64) | (part << LOW))
+            names.append(np.frombuffer(name, "<u4"))
+    yield from _shared_in(keys, names)
+
+
+def _shared_in(keys: list[np.ndarray], names: list[np.ndarray]):
+    if not keys:
+        return
+    key, name = np.concatenate(keys), np.concatenate(names)
+    order = np.argsort(key)
+    key, name = key[order], name[order]
+    again = np.r_[False, key[1:] == key[:-1]]
+    kept = again | np.r_[again[1:], False]
+    key, name = key[kept], name[kept]
+    order = np.lexsort((name, key))
+    key, name = key[order], name[order]
+    first = np.r_[True, (key[1:] != key[:-1]) | (name[1:] != name[:-1])]
+    key, name = key[first], name[first].astype(np.int64)
+    again = np.r_[False, key[1:] == key[:-1]]
+    kept = np.flatnonzero(again | np.r_[again[1:], False])
+    for at in range(0, len(kept), 100_000):
+        own = kept[at : at + 100_000]
+        yield pa.RecordBatch.from_arrays([pa.array(key[own]), pa.array(name[own])], ["key", "name"])
+
+
 def _filter_spots(ids: np.ndarray, hashes: int = 3) -> list[np.ndarray]:
     base = ids.view(np.uint64)
     return [(mix64(base + np.uint64(7919 * (i + 1))) & np.uint64(FILTER_BITS - 1)).astype(np.int64) for i in range(hashes)]
@@ -252,15 +307,16 @@ def jaccard_components(docs: DataFrame, k: int = 5, num: int = 4, den: int = 5)
     known = prints.where("doc_id is not null")
     filled = known.where("n > 0")
     classes = materialize(filled.groupBy("n", "print_a", "print_b").agg(F.min("doc_id").alias("rep")), "classes")
-    rep_of = filled.join(classes, ["n", "print_a", "print_b"]).select("doc_id", "rep").distinct()
-    # keys that come up again, few of all; a filter of fixed size keeps most other rows from the shuffles below
-    keyed = filled.select("doc_id", "keys")
-    counted = keyed.select(F.explode("keys").alias("key")).groupBy("key").agg(F.count("*").alias("n"))
-    repeated = materialize(counted.where("n > 1").select("key"), "keys")
+    # keys travel once, as blocks of bytes, with a short name of their set in place of its id; only what sets of different names share comes back
+    tasks = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    blocks = filled.select("print_a", "keys").mapInArrow(_key_blocks(min(16 * tasks, 1 << 16)), "part long, low binary, names binary")
+    shared = materialize(blocks.repartition(tasks, "part").sortWithinPartitions("part").mapInArrow(_shared_keys, "key long, name long"), "keys")
     collect_garbage(spark)
-    found = keyed.mapInArrow(_keys_in(_id_filter(repeated, hashes=1)), "doc_id long, key long").join(repeated, "key")
-    rows = materialize(found.join(rep_of, "doc_id").select(F.col("rep").alias("doc_id"), "key").distinct(), "keys")
-    discard(repeated)
+    named = classes.select(F.col("print_a").bitwiseAND(F.lit(0xFFFFFFFF)).alias("name"), F.col("rep").alias("doc_id"))
+    # different sets of one name would hide each other, so their name is a key of its own
+    clash = named.groupBy("name").agg(F.count("*").alias("n")).where("n > 1").select("name", (-F.col("name") - 1).alias("key"))
+    rows = materialize(shared.unionByName(clash).join(named, "name").select("doc_id", "key").distinct(), "keys")
+    discard(shared)
     # the member nearest to the key in XOR distance is the hub: another one for each key
     spot = F.col("doc_id").bitwiseXOR(F.col("key"))
     span = rows.groupBy("key").agg(F.min(spot).alias("low"), F.max(spot).alias("high")).where("low <> high")

@@ -4,6 +4,7 @@ import random
 import re
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from sparse_neighbors.llm import components, ngram_join, vector_dedup
@@ -116,6 +117,50 @@ def test_wide_sketches_bound_the_difference(spark):
     assert [r.d for r in got] == want and ngram_join.wide_words(512) == 0
 
 
+def test_keys_travel_once_in_nine_bytes_and_only_shared_ones_come_back():
+    """Every key that sets of different names have comes back with each of these names, from 9 bytes a key."""
+    rng = np.random.default_rng(4)
+    pool = rng.integers(-(2**63), 2**63, 400)
+    rows = [(int(rng.integers(-(2**63), 2**63)), rng.choice(pool, 30, replace=False)) for _ in range(20)]
+    rows += [rows[0], (7, pool[:0])]  # an equal set of another task, and one without keys
+    batch = pa.RecordBatch.from_pydict({"print_a": pa.array([a for a, _ in rows]), "keys": pa.array([k.tolist() for _, k in rows], pa.list_(pa.int64()))})
+    blocks = list(ngram_join._key_blocks(5)([batch.slice(0, 9), batch.slice(9)]))
+    total = sum(len(k) for _, k in rows)
+    assert sum(len(x) for b in blocks for c in ("low", "names") for x in b.column(c).to_pylist()) == 9 * total
+    got = set()
+    for p in range(5):
+        parts = [b.filter(pa.array([x == p for x in b.column("part").to_pylist()])) for b in blocks]
+        for b in ngram_join._shared_keys(parts):
+            pairs = list(zip(b.column("key").to_pylist(), b.column("name").to_pylist(), strict=True))
+            assert not got & set(pairs) and len(set(pairs)) == len(pairs)
+            got |= set(pairs)
+    owners = {}
+    for a, keys in rows:
+        for key in keys.tolist():
+            own = key % 2**64
+            owners.setdefault((own >> 40) % 5 << 40 | own % 2**40, set()).add(a % 2**32)
+    assert got == {(key, a) for key, names in owners.items() if len(names) > 1 for a in names} and len(got) > 50
+    assert list(ngram_join._shared_keys([])) == []
+
+
+def test_sets_that_share_a_short_name_are_still_linked(spark, monkeypatch):
+    """With names of one value for all sets, no key tells two of them apart; the name is then a key itself."""
+    rows = make_texts()
+    plain = ngram_join._prints
+
+    def same(k, bands):
+        def run(batches):
+            for batch in plain(k, bands)(batches):
+                a = np.asarray(batch.column("print_a"))
+                yield batch.set_column(2, "print_a", pa.array(a & ~np.int64(0xFFFFFFFF)))
+
+        return run
+
+    monkeypatch.setattr(ngram_join, "_prints", same)
+    got = ngram_join.jaccard_components(spark.createDataFrame([(i, t, "s", 1) for i, t in rows], DOCS), 3, 4, 5)
+    assert sorted(map(tuple, got.collect())) == brute(rows, 3, 4, 5)
+
+
 def test_linked_sets_share_a_key():
     rng = np.random.default_rng(2)
     for bands in (ngram_join.Bands(9, 10), ngram_join.Bands(4, 5)):

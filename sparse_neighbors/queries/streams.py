@@ -60,7 +60,7 @@ def st_dedup(s: SparkSession, d: str) -> DataFrame:
     """Every event arrives twice and counts once."""
     e = table(s, d, "events").select("event_id", "user_id", F.col("ts").cast("timestamp").alias("ts"))
     stream = streams.stream_of(s, e.unionAll(e), 1)
-    return streams.collect_stream(stream.withWatermark("ts", "40 days").dropDuplicatesWithinWatermark(["event_id"]), "append").groupBy("user_id").agg(F.count("*").alias("n"))
+    return streams.appended(stream.withWatermark("ts", "40 days").dropDuplicatesWithinWatermark(["event_id"])).groupBy("user_id").agg(F.count("*").alias("n"))
 
 
 @query("st_stream_join", "select a.event_id as click_id, b.event_id as purchase_id from events a join events b on a.user_id = b.user_id and a.event_type = 'click' and b.event_type = 'purchase' and b.ts >= a.ts and b.ts <= a.ts + interval 1 hour")

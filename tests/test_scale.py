@@ -58,3 +58,13 @@ def test_orders_that_tie_in_price_give_the_lowest_key(spark):
     for part in (rows, rows[::-1]):
         got = relational._dearest(spark.createDataFrame(part, "o_orderkey long, o_custkey long, o_totalprice double").repartition(3))
         assert sorted(map(tuple, got.collect())) == [(1, 3, 4), (2, None, None)]
+
+
+def test_deduplication_keeps_its_state_on_disk(spark, data, monkeypatch):
+    """The stream runs with the RocksDB provider and the session's own is back afterwards."""
+    from sparse_neighbors.streaming import streams as running
+
+    before, seen = spark.conf.get(running.PROVIDER), []
+    monkeypatch.setattr(running, "run_to_end", lambda w, provider="", f=running.run_to_end: (seen.append(provider), f(w, provider)))
+    rows = streams.QUERIES["st_dedup"](spark, data).agg(F.sum("n")).first()[0]
+    assert rows == spark.read.parquet(f"{data}/events.parquet").count() and seen == [running.ROCKSDB] and spark.conf.get(running.PROVIDER) == before

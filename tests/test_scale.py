@@ -68,3 +68,16 @@ def test_deduplication_keeps_its_state_on_disk(spark, data, monkeypatch):
     monkeypatch.setattr(running, "run_to_end", lambda w, provider="", f=running.run_to_end: (seen.append(provider), f(w, provider)))
     rows = streams.QUERIES["st_dedup"](spark, data).agg(F.sum("n")).first()[0]
     assert rows == spark.read.parquet(f"{data}/events.parquet").count() and seen == [running.ROCKSDB] and spark.conf.get(running.PROVIDER) == before
+
+
+def test_resident_blocks_are_merged_and_follow_each_other(spark, data, monkeypatch):
+    """A small block size gives no more scans than MOST_SCANS; results of blocks are files, so no broadcast waits in the plan."""
+    big = resident.RESIDENT_BYTES
+    assert resident.block_count(10**8, 1 << 18) == resident.MOST_SCANS and resident.block_count(10, 1 << 18) == 1
+    assert resident.block_count(20 * big, 1 << 18) == 20 and resident.block_count(3 * big, big) == 3
+    monkeypatch.setattr(resident, "MOST_SCANS", 3)
+    r, s = joins.pair(spark, data, "customer")
+    got = resident.resident_join(r, s, block_bytes=4000)
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    assert "Broadcast" not in plan and plan.count("FileScan") == 3
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, inverted.inverted_join(r, s).collect()))

@@ -253,6 +253,8 @@ def _shared_in(keys: list[np.ndarray], names: list[np.ndarray]):
     key, name = key[order], name[order]
     again = np.r_[False, key[1:] == key[:-1]]
     kept = again | np.r_[again[1:], False]
+    if not kept.any():  # no set shares a key of this part
+        return
     key, name = key[kept], name[kept]
     order = np.lexsort((name, key))
     key, name = key[order], name[order]

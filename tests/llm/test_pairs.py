@@ -143,6 +143,12 @@ def test_keys_travel_once_in_nine_bytes_and_only_shared_ones_come_back():
     assert list(ngram_join._shared_keys([])) == []
 
 
+def test_a_part_without_shared_keys_gives_nothing():
+    one = pa.RecordBatch.from_pydict({"part": [0, 1], "low": [bytes(5), bytes(5)], "names": [b"aaaa", b"bbbb"]})
+    assert list(ngram_join._shared_keys([one])) == []
+    assert list(ngram_join._shared_in([np.arange(4)], [np.arange(4, dtype=np.uint32)])) == []
+
+
 def test_sets_that_share_a_short_name_are_still_linked(spark, monkeypatch):
     """With names of one value for all sets, no key tells two of them apart; the name is then a key itself."""
     rows = make_texts()

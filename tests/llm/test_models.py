@@ -164,6 +164,21 @@ def test_counts_are_found_by_hash():
         assert not counts.find(rng.integers(0, 1 << 63, n).astype(np.uint64) * np.uint64(2) + np.uint64(1)).any()
 
 
+def test_pair_counts_reach_the_driver_in_ranges(spark, monkeypatch):
+    rng = np.random.default_rng(4)
+    keys = np.unique(rng.integers(-(1 << 63), 1 << 63, 3000))
+    table = rng.integers(0, 400, (len(keys), 2))
+    rows = spark.createDataFrame([(int(k), int(a), int(b)) for k, (a, b) in zip(keys, table, strict=True)], "pair long, n0 long, n1 long")
+    sizes, whole = [], toxicity._table
+    monkeypatch.setattr(toxicity, "_table", lambda *a: sizes.append(got := whole(*a)) or got)
+    counts = toxicity.Counts.joined(len(keys), 2, toxicity._ranges(rows, "pair", "n0", "n1"))
+    assert len(sizes) == toxicity.PARTS and max(len(x[0]) for x in sizes) < len(keys) / 4
+    once = toxicity.Counts.of(keys.view(np.uint64), table[:, 0], table[:, 1])
+    for name in ("borders", "rest", "columns", "large_at", "large"):
+        assert (getattr(counts, name) == getattr(once, name)).all(), name
+    assert (counts.find(keys.view(np.uint64)) == table).all()
+
+
 def test_columns_of_any_name_stay(tables):
     docs, labels, *_ = tables
     from pyspark.sql import functions as F

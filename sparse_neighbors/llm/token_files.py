@@ -147,16 +147,21 @@ def _token_rows(path: str, end_id: int, vocabulary: int):
     return run
 
 
+def _all_ids(column: pa.Array, unit: str):
+    """The ids of all rows as few arrays as their buffers allow."""
+    for chunk in getattr(column, "chunks", [column]):
+        _, offsets, data = chunk.buffers()
+        if len(chunk) and data is not None:
+            at = np.frombuffer(offsets, np.int64 if pa.types.is_large_binary(chunk.type) else np.int32)
+            yield np.frombuffer(data, np.uint8)[at[chunk.offset] : at[chunk.offset + len(chunk)]].view(unit)
+
+
 def _id_counts(vocabulary: int):
     def run(batches):
         counts = np.zeros(vocabulary, np.int64)
         for batch in batches:
-            for data in batch.column("ids").to_pylist():
-                own = np.frombuffer(data, _unit(vocabulary))
-                if len(own) * 8 > vocabulary:
-                    counts += np.bincount(own, minlength=vocabulary)
-                else:
-                    np.add.at(counts, own, 1)
+            for own in _all_ids(batch.column("ids"), _unit(vocabulary)):
+                counts += np.bincount(own, minlength=vocabulary)
         at = np.flatnonzero(counts)
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(counts[at])], ["id", "n"])
 

@@ -3,11 +3,12 @@
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import public_tokenizers
 import pytest
 from tokenizers import Tokenizer
 
-from sparse_neighbors.llm import packing, progressive_jpeg, token_files
+from sparse_neighbors.llm import packing, progressive_jpeg, textscan, token_files, tokens
 from sparse_neighbors.llm.tokens import CachedEncoder
 
 TEXTS = ["", None, "Hello  world\n\n  it's  don't ", " lead", "tail ", "a\u00a0b \u2003c\x1cd \x1c e", "naïve Ünï ½ 12 345 <|endoftext|> x", "\n \n x\n y \t z", "word " * 3000, "日本語 テキスト", "e\u0301 \u0301x", "  ", "'s 's' s'"]
@@ -43,6 +44,38 @@ def test_special_tokens_and_odd_characters():
                 assert np.frombuffer(got, "<u4").tolist() == plain.encode(text, add_special_tokens=False).ids, text
 
 
+@pytest.mark.parametrize("name", ["byte_bpe_50k.json", "word_bpe_49k.json"])
+def test_a_word_with_a_comma_or_dot_needs_no_pattern(name):
+    path = public_tokenizers.path(name)
+    own, plain = CachedEncoder(path), Tokenizer.from_file(path)
+    texts = ["x Known words, known WORDS. na\u00efve, it's. 12, a-b, ,, .. don't, \u00aa, x", ". a , b. \u0130, \u4e2d."]
+    for got, text in zip(own.encode(texts), texts, strict=True):
+        assert np.frombuffer(got, "<u4").tolist() == plain.encode(text, add_special_tokens=False).ids
+    tried = []
+    pieces = own._pieces
+    own._pieces = lambda text: tried.append(text) or pieces(text)
+    own.encode(["x fresh, words. NEWLY, made."])
+    assert not [t for t in tried if "," in t or "." in t]
+
+
+def test_encoders_go_when_a_worker_turns_to_other_operators():
+    path = public_tokenizers.path("word_bpe_49k.json")
+    kept = tokens.encoder(path)
+    assert tokens.encoder(path) is kept
+    list(textscan.hashed_words(pa.array(["some text"])))
+    assert tokens.encoder(path) is not kept
+
+
+def test_ids_are_counted_from_whole_buffers():
+    rows = [np.array(x, "<u2").tobytes() for x in ([1, 2], [], [2], [9, 9, 9], [4])]
+    column = pa.array(rows, pa.binary())
+    for part, want in ((column, {1: 1, 2: 2, 4: 1, 9: 3}), (column.slice(1, 3), {2: 1, 9: 3}), (column.slice(0, 0), {}), (column.cast(pa.large_binary()).slice(4), {4: 1})):
+        arrays = list(token_files._all_ids(part, "<u2"))
+        assert len(arrays) <= 1
+        got = next(token_files._id_counts(16)([pa.RecordBatch.from_arrays([part], ["ids"])]))
+        assert dict(zip(got["id"].to_pylist(), got["n"].to_pylist(), strict=True)) == want
+
+
 def test_caches_change_generations(monkeypatch):
     from sparse_neighbors.llm import tokens
 

@@ -37,7 +37,7 @@ query("st_sliding", "select time_bucket(interval 1 hour, ts) - to_hours(cast(i a
     lambda s, d: streams.collect_stream(_events(s, d).groupBy(F.window("ts", "3 hours", "1 hour")["start"].alias("start")).agg(F.count("*").alias("n")))
 )
 query("st_session", "with g as (select user_id, ts, case when ts - lag(ts) over (partition by user_id order by ts, event_id) < interval 6 hour then 0 else 1 end as new from events), n as (select *, sum(new) over (partition by user_id order by ts rows unbounded preceding) as session from g) select user_id, min(ts) as start, count(*) as n from n group by user_id, session")(
-    lambda s, d: streams.collect_stream(_events(s, d).groupBy("user_id", F.session_window("ts", "6 hours").alias("w")).agg(F.count("*").alias("n"))).select("user_id", F.col("w")["start"].alias("start"), "n")
+    lambda s, d: streams.completed(_events(s, d).groupBy("user_id", F.session_window("ts", "6 hours").alias("w")).agg(F.count("*").alias("n"))).select("user_id", F.col("w")["start"].alias("start"), "n")
 )
 
 

@@ -81,3 +81,11 @@ def test_resident_blocks_are_merged_and_follow_each_other(spark, data, monkeypat
     plan = got._jdf.queryExecution().executedPlan().toString()
     assert "Broadcast" not in plan and plan.count("FileScan") == 3
     assert sorted(map(tuple, got.collect())) == sorted(map(tuple, inverted.inverted_join(r, s).collect()))
+
+
+def test_sessions_stay_off_the_driver(spark, data, monkeypatch):
+    """The complete table goes to a folder a batch, and the last one holds each session once."""
+    monkeypatch.setattr(streams.streams, "collect_stream", lambda *a: pytest.fail("the driver's memory takes the sessions"))
+    got = streams.QUERIES["st_session"](spark, data)
+    assert got.columns == ["user_id", "start", "n"] and got.count() == got.dropDuplicates(["user_id", "start"]).count()
+    assert got.agg(F.sum("n")).first()[0] == spark.read.parquet(f"{data}/events.parquet").count()

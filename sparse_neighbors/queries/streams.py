@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import IntegerType
 
 from ..functions import vectors as V
-from ..functions.similarity import join_dot
+from ..operators.inverted import candidate_scores
 from ..sources.datasets import knn_sql, pair, table
 from ..sources.scratch import new_path
 from ..streaming import streams
@@ -90,7 +90,7 @@ def st_inner_join(s: SparkSession, d: str) -> DataFrame:
 def st_topk_state(s: SparkSession, d: str) -> DataFrame:
     """The newest output of each r is its result."""
     path = new_path(s, "topk-state")
-    streams.stateful_topk(streams.stream_of(s, join_dot(*pair(s, d, "spectrum")), 3), 5, path)
+    streams.stateful_topk(streams.stream_of(s, candidate_scores(*pair(s, d, "spectrum"), 5), 3), 5, path)
     rows = s.read.parquet(path)
     newest = rows.groupBy("r_id").agg(F.max("batch").alias("batch"))
     return rows.join(newest, ["r_id", "batch"]).select("r_id", "s_id", "score", "rank")

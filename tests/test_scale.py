@@ -89,3 +89,15 @@ def test_sessions_stay_off_the_driver(spark, data, monkeypatch):
     got = streams.QUERIES["st_session"](spark, data)
     assert got.columns == ["user_id", "start", "n"] and got.count() == got.dropDuplicates(["user_id", "start"]).count()
     assert got.agg(F.sum("n")).first()[0] == spark.read.parquet(f"{data}/events.parquet").count()
+
+
+def test_the_state_stream_holds_candidates_of_cells(spark, monkeypatch):
+    """Sides with frequent dimensions send k scores per r and cell, which have the k best among them."""
+    r = spark.range(400).select(F.expr("id % 20 as id"), F.expr("id % 13 * 7 as d"), F.expr("id % 3 + 1 as w")).groupBy("id", "d").agg(F.sum("w").alias("w"))
+    s = r.select((F.col("id") + 5).alias("id"), "d", "w")
+    every = inverted.candidate_scores(r, s, 3)
+    want = sorted(map(tuple, inverted.top_k(every, 3).collect()))
+    monkeypatch.setattr(inverted, "MOST_SUMS", 0)
+    monkeypatch.setattr(inverted, "S_CELL", 100)
+    few = inverted.candidate_scores(r, s, 3)
+    assert sorted(map(tuple, inverted.top_k(few, 3).collect())) == want and few.count() <= 20 * 3 * 3 < every.count()

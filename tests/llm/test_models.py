@@ -179,6 +179,15 @@ def test_pair_counts_reach_the_driver_in_ranges(spark, monkeypatch):
     assert (counts.find(keys.view(np.uint64)) == table).all()
 
 
+def test_a_counted_pair_travels_as_two_hashes(tables, monkeypatch):
+    """Pairs are shuffled and written without what their words tell, and the orders below are made from one table of words."""
+    docs, labels, *_ = tables
+    written, whole = {}, toxicity.materialize
+    monkeypatch.setattr(toxicity, "materialize", lambda df, name: written.update({name: df.columns}) or whole(df, name))
+    toxicity.fit_toxicity(docs, labels)
+    assert written["counts"] == ["before", "word", "n0", "n1"] and set(written["words"]) == {"word", "long", "short", "n0", "n1", "n"}
+
+
 def test_columns_of_any_name_stay(tables):
     docs, labels, *_ = tables
     from pyspark.sql import functions as F

@@ -3,7 +3,9 @@
 import pytest
 from pyspark.sql import functions as F
 
-from sparse_neighbors.operators import inverted, resident
+from sparse_neighbors.operators import inverted, pruned, resident
+from sparse_neighbors.plans import nested_loop
+from sparse_neighbors.plans.blocks import BlockPlan
 from sparse_neighbors.queries import joins, relational, streams
 
 
@@ -101,3 +103,11 @@ def test_the_state_stream_holds_candidates_of_cells(spark, monkeypatch):
     monkeypatch.setattr(inverted, "S_CELL", 100)
     few = inverted.candidate_scores(r, s, 3)
     assert sorted(map(tuple, inverted.top_k(few, 3).collect())) == want and few.count() <= 20 * 3 * 3 < every.count()
+
+
+def test_completions_are_counted_in_cells(spark, data, monkeypatch):
+    want = sorted(map(tuple, joins.QUERIES["cost_completion"](spark, data).collect()))
+    monkeypatch.setattr(inverted, "cells", lambda r, s, most=None: (2, 3))
+    got = joins.QUERIES["cost_completion"](spark, data)
+    assert "InArrow" in got._jdf.queryExecution().executedPlan().toString()
+    assert sorted(map(tuple, got.collect())) == want and want

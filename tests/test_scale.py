@@ -105,9 +105,52 @@ def test_the_state_stream_holds_candidates_of_cells(spark, monkeypatch):
     assert sorted(map(tuple, inverted.top_k(few, 3).collect())) == want and few.count() <= 20 * 3 * 3 < every.count()
 
 
+def in_cells(monkeypatch):
+    """Every join with cells of a few features, and none that adds up or counts pairs by a shuffle."""
+    from sparse_neighbors.streaming import streams as running
+
+    monkeypatch.setattr(inverted, "MOST_SUMS", -1)
+    monkeypatch.setattr(inverted, "R_CELL", 60)
+    monkeypatch.setattr(inverted, "S_CELL", 500)
+    monkeypatch.setattr(inverted, "cells", lambda r, s, f=inverted.cells: f(r, s) and (2, 3))
+    for module, name in ((nested_loop, "cells"), (running, "cells")):
+        monkeypatch.setattr(module, name, lambda r, s: (2, 3))
+    for module, name in ((pruned, "partial_scores"), (nested_loop, "accumulate"), (running, "accumulate")):
+        monkeypatch.setattr(module, name, lambda *a, n=name, **o: pytest.fail(f"{n} shuffles sums of pairs"))
+
+
+@pytest.mark.parametrize("name", ["knn_pruned_keep_dead", "knn_pruned_ties_all", "knn_pruned_ties_strict", "join_report", "theorem_missed_pairs"])
+def test_later_blocks_go_through_cells(spark, data, monkeypatch, name):
+    """Scores and counts of all S-blocks come out of cells, and are those of the partial sums."""
+    want = sorted(map(tuple, joins.QUERIES[name](spark, data).collect()))
+    in_cells(monkeypatch)
+    assert sorted(map(tuple, joins.QUERIES[name](spark, data).collect())) == want and want
+
+
 def test_completions_are_counted_in_cells(spark, data, monkeypatch):
     want = sorted(map(tuple, joins.QUERIES["cost_completion"](spark, data).collect()))
     monkeypatch.setattr(inverted, "cells", lambda r, s, most=None: (2, 3))
     got = joins.QUERIES["cost_completion"](spark, data)
     assert "InArrow" in got._jdf.queryExecution().executedPlan().toString()
     assert sorted(map(tuple, got.collect())) == want and want
+
+
+def test_a_stream_of_blocks_goes_through_cells(spark, data, monkeypatch):
+    want = sorted(map(tuple, streams.QUERIES["st_inner_join"](spark, data).collect()))
+    in_cells(monkeypatch)
+    assert sorted(map(tuple, streams.QUERIES["st_inner_join"](spark, data).collect())) == want and want
+
+
+@pytest.mark.parametrize("weight", ["id % 3 + 1", "(id % 3 + 1) / 4.0", "id % 3"])
+def test_cells_take_any_weights_and_leave_out_self(spark, monkeypatch, weight):
+    r = spark.range(700).select(F.expr("id % 20 as id"), F.expr("id % 13 * 7 as d"), F.expr(f"{weight} as w")).groupBy("id", "d").agg(F.sum(F.col("w").cast("double" if "/" in weight else "long")).alias("w"))
+    s = r.select((F.col("id") + 5).alias("id"), "d", "w")
+    plan = BlockPlan(0, 0, 2, 3)
+
+    def rows():
+        found = nested_loop.block_join(r, s, 3, "pruned", plan, exclude_self=True).collect()
+        return sorted((x.r_id, x.s_id, round(x.score, 9), x.rank) for x in found)
+
+    want = rows()
+    in_cells(monkeypatch)
+    assert rows() == want and want

@@ -30,12 +30,14 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .components import connected_components
-from .shared import collect_garbage, discard, materialize, prepare_workers
+from .shared import collect_garbage, discard, giving_back, materialize, prepare_workers, short_batches
 from .textscan import hashed_words, mix64, shingle_hashes
 
 WORDS = 8  # 64-bit words of the sketch that every document has; larger sets have a wide one as well, of a bit or more a shingle
 FILTER_BITS = 1 << 26  # of the filter of documents that are needed; a full filter only lets more rows through
 SLICE = 1 << 18  # keys of a task in hand at once
+BATCH = 2000  # rows of texts, keys or blocks that travel at once
+FEW = 100_000  # ids up to which they are sent to every task, so that only their texts go to Python
 LOW = 40  # bits of a key that travel; two keys that agree in them and in their part only make more candidates
 
 
@@ -170,15 +172,16 @@ def _prints(k: int, bands: Bands):
     return run
 
 
-def _sets(k: int, bits: np.ndarray):
-    """Shingle sets of the documents that the filter lets through."""
+def _sets(k: int, bits: np.ndarray | None):
+    """Shingle sets of the documents that the filter lets through, of all without one."""
 
     def run(batches):
         for batch in batches:
             ids = batch.column("doc_id").cast(pa.int64())
-            known = np.asarray(ids.is_valid())
-            spots = _filter_spots(np.asarray(ids.fill_null(0), dtype=np.int64))
-            wanted = known & np.logical_and.reduce([(bits[s >> 3] >> (s & 7)) & 1 for s in spots]).astype(bool)
+            wanted = np.asarray(ids.is_valid())
+            if bits is not None:
+                spots = _filter_spots(np.asarray(ids.fill_null(0), dtype=np.int64))
+                wanted = wanted & np.logical_and.reduce([(bits[s >> 3] >> (s & 7)) & 1 for s in spots]).astype(bool)
             batch = batch.select(["doc_id", "text"]).filter(pa.array(wanted))
             held, size = [], 0
             for row, s in _per_text(batch, k):
@@ -301,18 +304,23 @@ def _verified(pairs: DataFrame, sets: DataFrame, bands: Bands) -> DataFrame:
 
 def jaccard_components(docs: DataFrame, k: int = 5, num: int = 4, den: int = 5) -> DataFrame:
     """docs (doc_id, text) -> (doc_id, n_shingles, component_id), linking sets with Jaccard >= num / den."""
+    with short_batches(docs.sparkSession, BATCH):
+        return _components(docs, k, num, den)
+
+
+def _components(docs: DataFrame, k: int, num: int, den: int) -> DataFrame:
     spark = docs.sparkSession
     prepare_workers(spark)
     bands = Bands(num, den)
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    prints = materialize(texts.mapInArrow(_prints(k, bands), PRINT_SCHEMA), "prints")
+    prints = materialize(texts.mapInArrow(giving_back(_prints(k, bands)), PRINT_SCHEMA), "prints")
     known = prints.where("doc_id is not null")
     filled = known.where("n > 0")
     classes = materialize(filled.groupBy("n", "print_a", "print_b").agg(F.min("doc_id").alias("rep")), "classes")
     # keys travel once, as blocks of bytes, with a short name of their set in place of its id; only what sets of different names share comes back
     tasks = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    blocks = filled.select("print_a", "keys").mapInArrow(_key_blocks(min(16 * tasks, 1 << 16)), "part long, low binary, names binary")
-    shared = materialize(blocks.repartition(tasks, "part").sortWithinPartitions("part").mapInArrow(_shared_keys, "key long, name long"), "keys")
+    blocks = filled.select("print_a", "keys").mapInArrow(giving_back(_key_blocks(min(16 * tasks, 1 << 16))), "part long, low binary, names binary")
+    shared = materialize(blocks.repartition(tasks, "part").sortWithinPartitions("part").mapInArrow(giving_back(_shared_keys), "key long, name long"), "keys")
     collect_garbage(spark)
     named = classes.select(F.col("print_a").bitwiseAND(F.lit(0xFFFFFFFF)).alias("name"), F.col("rep").alias("doc_id"))
     # different sets of one name would hide each other, so their name is a key of its own
@@ -360,10 +368,12 @@ def jaccard_components(docs: DataFrame, k: int = 5, num: int = 4, den: int = 5)
         return both.where(open_ | fits | (wide_distance(F.col("wu"), F.col("wv")) <= most)).select("u", "v").distinct()
 
     def verified(pairs: DataFrame) -> DataFrame:
-        bits = _id_filter(pairs.select(F.explode(F.array("u", "v")).alias("doc_id")).distinct())
-        sets = materialize(texts.mapInArrow(_sets(k, bits), "doc_id long, shingles array<long>"), "sets")
+        wanted = materialize(pairs.select(F.explode(F.array("u", "v")).alias("doc_id")).distinct(), "wanted")
+        few = wanted.count() <= FEW
+        held = texts.join(F.broadcast(wanted), "doc_id", "left_semi") if few else texts
+        sets = materialize(held.mapInArrow(giving_back(_sets(k, None if few else _id_filter(wanted))), "doc_id long, shingles array<long>"), "sets")
         found = materialize(_verified(pairs, sets, bands), "links")
-        discard(sets)
+        discard(sets, wanted)
         return found
 
     def unconnected(members: DataFrame, labels: DataFrame) -> DataFrame:

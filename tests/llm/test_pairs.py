@@ -7,7 +7,7 @@ import numpy as np
 import pyarrow as pa
 import pytest
 
-from sparse_neighbors.llm import components, ngram_join, vector_dedup
+from sparse_neighbors.llm import components, ngram_join, shared, vector_dedup
 from sparse_neighbors.llm.textscan import hashed_words, shingle_hashes
 
 DOCS = "doc_id long, text string, source string, n long"
@@ -276,3 +276,15 @@ def test_vector_recall_with_many_lists():
         total += len(i)
         found += int(((probes[i] == own[j][:, None]).any(1) | (probes[j] == own[i][:, None]).any(1)).sum())
     assert total > 5000 and found >= 0.9 * total
+
+
+def test_only_texts_of_few_pairs_go_to_python_and_in_short_batches(spark, monkeypatch):
+    """Few ids are joined before Python sees a text; every job of the join has short batches, and the session's limit is back afterwards."""
+    base = [f"w{i}" for i in range(40)]
+    rows = [(1, " ".join(base), "s", 1), (2, " ".join([*base, "x"]), "s", 1), (3, " ".join(base[::-1]), "s", 1), (4, "", "s", 1)]
+    own, seen = spark.conf.get(shared.BATCH_ROWS), set()
+    monkeypatch.setattr(ngram_join, "materialize", lambda df, name, f=ngram_join.materialize: (seen.add(df.sparkSession.conf.get(shared.BATCH_ROWS)), f(df, name))[1])
+    monkeypatch.setattr(ngram_join, "_id_filter", lambda *a: pytest.fail("all texts go to Python"))
+    got = ngram_join.jaccard_components(spark.createDataFrame(rows, DOCS), 3, 9, 10)
+    assert {(r["doc_id"], r["component_id"]) for r in got.collect()} == {(1, 1), (2, 1), (3, 3), (4, 4)}
+    assert seen == {str(ngram_join.BATCH)} and spark.conf.get(shared.BATCH_ROWS) == own

@@ -8,7 +8,7 @@ import public_tokenizers
 import pytest
 from tokenizers import Tokenizer
 
-from sparse_neighbors.llm import packing, progressive_jpeg, textscan, token_files, tokens
+from sparse_neighbors.llm import packing, progressive_jpeg, shared, textscan, token_files, tokens
 from sparse_neighbors.llm.tokens import CachedEncoder
 
 TEXTS = ["", None, "Hello  world\n\n  it's  don't ", " lead", "tail ", "a\u00a0b \u2003c\x1cd \x1c e", "naïve Ünï ½ 12 345 <|endoftext|> x", "\n \n x\n y \t z", "word " * 3000, "日本語 テキスト", "e\u0301 \u0301x", "  ", "'s 's' s'"]
@@ -278,3 +278,20 @@ def test_media_column(spark, monkeypatch):
     one = [t for _, t in progressive_jpeg.tensors([files[0], None, files[1], b"x"])]
     assert one[1] is None and one[3] is None and one[0].tobytes() == bytes(got[1].rgb) and one[2].tobytes() == bytes(got[3].rgb)
     assert progressive_jpeg.store_texts(spark.createDataFrame([], DOCS)).count() == 0
+
+
+def test_packing_sends_few_texts_at_once_after_heap_is_released(spark, monkeypatch):
+    """Executors return unused heap before workers tokenize, which get short batches; the session's limit is back afterwards."""
+    own, seen = spark.conf.get(shared.BATCH_ROWS), []
+    monkeypatch.setattr(packing, "release_heap", lambda s, f=packing.release_heap: (seen.append("released"), f(s)))
+    monkeypatch.setattr(packing, "materialize", lambda df, name, f=packing.materialize: (seen.append((name, df.sparkSession.conf.get(shared.BATCH_ROWS))), f(df, name))[1])
+    docs = spark.createDataFrame([(i, "some words " * i) for i in range(5)], "doc_id long, text string")
+    packing.pack_documents(docs, public_tokenizers.path("byte_bpe_50k.json"), 0, 64).collect()
+    assert seen[:2] == ["released", ("pieces", str(packing.BATCH))] and spark.conf.get(shared.BATCH_ROWS) == own
+
+
+def test_a_worker_that_tokenizes_drops_the_tables_of_hashes():
+    list(textscan.hashed_words(pa.array(["some text"])))
+    assert textscan._tables.cache_info().currsize == 1
+    tokens.encoder(public_tokenizers.path("byte_bpe_50k.json"))
+    assert textscan._tables.cache_info().currsize == 0

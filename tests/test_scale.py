@@ -154,3 +154,31 @@ def test_cells_take_any_weights_and_leave_out_self(spark, monkeypatch, weight):
     want = rows()
     in_cells(monkeypatch)
     assert rows() == want and want
+
+
+@pytest.mark.parametrize("weight", ["id % 3 + 1", "(id % 3 + 1) / 4.0", "id % 3 - 1"])
+def test_all_pairs_are_streamed_out_of_cells(spark, monkeypatch, weight):
+    """Every pair that shares a dimension comes once, whatever its score, and nothing is shuffled by pair; vectors may span batches."""
+    r = spark.range(700).select(F.expr("id % 20 as id"), F.expr("id % 13 * 7 as d"), F.expr(f"{weight} as w")).groupBy("id", "d").agg(F.sum(F.col("w").cast("double" if "/" in weight else "long")).alias("w"))
+    r = r.unionByName(r.limit(1).select(F.lit(99).alias("id"), F.lit(1).alias("d"), "w"))
+    s = r.where("d > 7").select((F.col("id") + 5).alias("id"), "d", "w")
+    want = sorted(map(tuple, inverted.every_score(r, s).collect()))
+    own = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
+    monkeypatch.setattr(inverted, "MOST_SUMS", -1)
+    monkeypatch.setattr(inverted, "cells", lambda r, s: (2, 3))
+    monkeypatch.setattr(inverted, "join_dot", lambda *a: pytest.fail("sums of pairs are shuffled"))
+    monkeypatch.setattr("sparse_neighbors.operators.pair_cells.PAIRS", 50)
+    try:
+        for rows in ("7", "10000"):
+            spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", rows)
+            assert sorted(map(tuple, inverted.every_score(r, s).collect())) == want and want
+    finally:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", own)
+
+
+def test_dot_join_goes_through_cells(spark, data, monkeypatch):
+    want = sorted(map(tuple, joins.QUERIES["dot_join"](spark, data).collect()))
+    monkeypatch.setattr(inverted, "cells", lambda r, s: (2, 3))
+    got = joins.QUERIES["dot_join"](spark, data)
+    assert "InArrow" in got._jdf.queryExecution().executedPlan().toString() and got.columns == ["r_id", "s_id", "score"]
+    assert sorted(map(tuple, got.collect())) == want and want

@@ -5,9 +5,10 @@ shingles cancel and the Hamming distance of two sketches never exceeds the symme
 fall into bands such that documents that can reach the threshold lie in the same or adjacent bands. In a
 band the largest possible symmetric difference D is known; the sketch is cut into D + 1 + e pieces, and
 two linked documents agree in at least 1 + e of them. A piece (as a 64-bit code linear in its bits, so
-that it is the XOR of the codes of the shingles that fall into it) is the key of an equi-join; candidates
-pass a whole-sketch Hamming test and an exact intersection of their shingle sets. Sets that a small sketch can't tell apart
-have a wide one besides, with at least a bit for each shingle.
+that it is the XOR of the codes of the shingles that fall into it) is the key of an equi-join. Sets that must agree in
+c pieces still share one if each leaves out its c - 1 most frequent keys, so passages that many unlinked texts share hardly
+bring them together. Candidates pass a whole-sketch Hamming test and an exact intersection of their shingle sets. Sets that a
+small sketch can't tell apart have a wide one besides, with at least a bit for each shingle.
 
 Groups of copies are never expanded into pairs. Equal sets become one class; each key tests its members against
 one of them, a different one for each key, and only members that the verified links don't connect are paired
@@ -55,6 +56,16 @@ class Bands:
         """Largest symmetric difference of two linked sets whose sizes add up to size_sum."""
         return size_sum * (self.den - self.num) // (self.den + self.num)
 
+    def band(self, n: int) -> int:
+        return int(np.searchsorted(self.edges(n), n, "right")) - 1
+
+    def high(self, band: int) -> int:
+        """Largest size in a band."""
+        most = 16
+        while len(lows := self.edges(most)) < band + 2:
+            most *= 4
+        return int(lows[band + 1] - 1)
+
     def pieces(self, high: int) -> tuple[int, int]:
         """(pieces, pieces agreeing beyond the first) for linked sets of at most `high` elements."""
         d = self.difference(2 * high)
@@ -64,6 +75,20 @@ class Bands:
         return d + 1 + spare, spare
 
 
+@lru_cache(1 << 16)
+def spare_keys(n: int, bands: Bands) -> tuple[int, int, int]:
+    """(lowest bit of the own band's keys, keys of the own band and of the next that a set of n shingles can leave out).
+
+    A partner has n * den / num shingles at most, so all but the largest difference of these two sizes agree; one of them is needed.
+    """
+    own, out = bands.band(n), []
+    for band in (own, own + 1):
+        high = bands.high(band)
+        k, _ = bands.pieces(high)
+        out.append(max(0, k - bands.difference(n + min(high, n * bands.den // bands.num)) - 1))
+    return own & 1, *out
+
+
 @lru_cache(8)
 def _edges(num: int, den: int, most: int) -> tuple[int, ...]:
     lows = [1]
@@ -73,26 +98,24 @@ def _edges(num: int, den: int, most: int) -> tuple[int, ...]:
 
 
 def piece_keys(shingles: np.ndarray, bands: Bands) -> np.ndarray:
-    """Keys of one document from its sorted distinct shingle hashes: its own band's and the next band's pieces."""
-    n = len(shingles)
-    lows = bands.edges(n)
-    own = int(np.searchsorted(lows, n, "right")) - 1
+    """Keys of one document from its sorted distinct shingle hashes: its own band's and the next band's pieces, empty ones too.
+
+    The lowest bit tells the two bands apart.
+    """
+    own = bands.band(len(shingles))
     out = []
     high_part, bit = shingles >> np.uint64(32), shingles & np.uint64(255)
     for band in (own, own + 1):
-        high = int(lows[band + 1] - 1) if band + 1 < len(lows) else int(bands.edges(int(lows[-1]) * 4)[band + 1] - 1)
-        k, spare = bands.pieces(high)
+        k, _ = bands.pieces(bands.high(band))
         if k == 0:
             continue
         piece = (high_part * np.uint64(k)) >> np.uint64(32)
         code = mix64((piece << np.uint64(8)) + bit + np.uint64(band << 40))
         at = np.flatnonzero(np.r_[True, piece[1:] != piece[:-1]])
-        bits, used = np.bitwise_xor.reduceat(code, at), piece[at].astype(np.int64)
         full = np.zeros(k, np.uint64)
-        full[used] = bits
+        full[piece[at].astype(np.int64)] = np.bitwise_xor.reduceat(code, at)
         names = mix64(full + mix64(np.arange(k, dtype=np.uint64) + np.uint64((band << 24) + 1)))
-        # with at most `spare` empty pieces, one of the agreeing pieces has something in it
-        out.append(names if (full == 0).sum() > spare else names[full != 0])
+        out.append(names & ~np.uint64(1) | np.uint64(band & 1))
     return np.concatenate(out) if out else np.zeros(0, np.uint64)
 
 
@@ -129,7 +152,7 @@ def _per_text(batch: pa.RecordBatch, k: int):
             yield i + t, np.unique(hashes[cut[t] : cut[t + 1]])
 
 
-PRINT_SCHEMA = "doc_id long, n long, print_a long, print_b long, sketch array<long>, wide array<long>, keys array<long>"
+PRINT_SCHEMA = "doc_id long, n long, print_a long, print_b long, sketch array<long>, wide array<long>, keys array<long>, side int, spare int, spare_next int"
 
 
 def _ragged(rows: list[np.ndarray]) -> pa.Array:
@@ -148,14 +171,16 @@ def _prints(k: int, bands: Bands):
             known = np.asarray(ids.is_valid())
             for row, s in _per_text(batch, k):
                 if not len(s):
-                    rows.append((row, 0, 0, 0, sketch(s), none, none))
+                    rows.append((row, 0, 0, 0, sketch(s), none, none, (0, 0, 0)))
                     continue
                 a, b = int(np.add.reduce(mix64(s)).view(np.int64)), int(np.bitwise_xor.reduce(mix64(s ^ np.uint64(0xA5A5A5A5A5A5A5A5))).view(np.int64))
                 first = bool(known[row]) and (len(s), a, b) not in seen
                 if first:
                     seen.add((len(s), a, b))
-                words = wide_words(len(s))
-                rows.append((row, len(s), a, b, sketch(s), sketch(s, words) if words else none, piece_keys(s, bands) if first else none))
+                words, keys, spare = wide_words(len(s)), piece_keys(s, bands) if first else none, spare_keys(len(s), bands)
+                if len(np.unique(keys & np.uint64((1 << LOW) - 1))) < len(keys):  # pieces that may have one key don't count twice
+                    spare = (spare[0], 0, 0)
+                rows.append((row, len(s), a, b, sketch(s), sketch(s, words) if words else none, keys, spare))
                 if len(rows) >= 2000:
                     yield _batch(ids, rows)
                     rows = []
@@ -163,10 +188,10 @@ def _prints(k: int, bands: Bands):
                 yield _batch(ids, rows)
 
     def _batch(ids, rows):
-        at, n, a, b, sk, wide, keys = zip(*rows, strict=True)
+        at, n, a, b, sk, wide, keys, spare = zip(*rows, strict=True)
         return pa.RecordBatch.from_arrays(
-            [ids.take(pa.array(at, pa.int64())).cast(pa.int64()), pa.array(n, pa.int64()), pa.array(a, pa.int64()), pa.array(b, pa.int64()), _ragged(list(sk)), _ragged(list(wide)), _ragged(list(keys))],
-            ["doc_id", "n", "print_a", "print_b", "sketch", "wide", "keys"],
+            [ids.take(pa.array(at, pa.int64())).cast(pa.int64()), pa.array(n, pa.int64()), pa.array(a, pa.int64()), pa.array(b, pa.int64()), _ragged(list(sk)), _ragged(list(wide)), _ragged(list(keys)), *(pa.array(x, pa.int32()) for x in zip(*spare, strict=True))],
+            ["doc_id", "n", "print_a", "print_b", "sketch", "wide", "keys", "side", "spare", "spare_next"],
         )
 
     return run
@@ -234,7 +259,7 @@ def _slices(batch: pa.RecordBatch):
 
 
 def _shared_keys(batches):
-    """(key, name) of the keys that sets of different names have, each once; rows come sorted by part, and a task has all of a part."""
+    """(key, name, sets) of the keys that sets of different names have, each once, and how many names have them; rows come sorted by part, and a task has all of a part."""
     keys, names, now = [], [], None
     for batch in batches:
         for part, low, name in zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True):
@@ -264,10 +289,12 @@ def _shared_in(keys: list[np.ndarray], names: list[np.ndarray]):
     first = np.r_[True, (key[1:] != key[:-1]) | (name[1:] != name[:-1])]
     key, name = key[first], name[first].astype(np.int64)
     again = np.r_[False, key[1:] == key[:-1]]
-    kept = np.flatnonzero(again | np.r_[again[1:], False])
+    first = np.flatnonzero(~again)
+    sets = np.repeat(size := np.diff(np.r_[first, len(key)]), size)
+    kept = np.flatnonzero(sets > 1)
     for at in range(0, len(kept), 100_000):
         own = kept[at : at + 100_000]
-        yield pa.RecordBatch.from_arrays([pa.array(key[own]), pa.array(name[own])], ["key", "name"])
+        yield pa.RecordBatch.from_arrays([pa.array(key[own]), pa.array(name[own]), pa.array(sets[own])], ["key", "name", "sets"])
 
 
 def _filter_spots(ids: np.ndarray, hashes: int = 3) -> list[np.ndarray]:
@@ -316,20 +343,25 @@ def _components(docs: DataFrame, k: int, num: int, den: int) -> DataFrame:
     prints = materialize(texts.mapInArrow(giving_back(_prints(k, bands)), PRINT_SCHEMA), "prints")
     known = prints.where("doc_id is not null")
     filled = known.where("n > 0")
-    classes = materialize(filled.groupBy("n", "print_a", "print_b").agg(F.min("doc_id").alias("rep")), "classes")
+    classes = materialize(filled.groupBy("n", "print_a", "print_b").agg(F.min("doc_id").alias("rep"), F.first("side").alias("side"), F.min("spare").alias("spare"), F.min("spare_next").alias("spare_next")), "classes")
     # keys travel once, as blocks of bytes, with a short name of their set in place of its id; only what sets of different names share comes back
     tasks = int(spark.conf.get("spark.sql.shuffle.partitions"))
     blocks = filled.select("print_a", "keys").mapInArrow(giving_back(_key_blocks(min(16 * tasks, 1 << 16))), "part long, low binary, names binary")
-    shared = materialize(blocks.repartition(tasks, "part").sortWithinPartitions("part").mapInArrow(giving_back(_shared_keys), "key long, name long"), "keys")
+    shared = materialize(blocks.repartition(tasks, "part").sortWithinPartitions("part").mapInArrow(giving_back(_shared_keys), "key long, name long, sets long"), "keys")
     collect_garbage(spark)
-    named = classes.select(F.col("print_a").bitwiseAND(F.lit(0xFFFFFFFF)).alias("name"), F.col("rep").alias("doc_id"))
-    # different sets of one name would hide each other, so their name is a key of its own
-    clash = named.groupBy("name").agg(F.count("*").alias("n")).where("n > 1").select("name", (-F.col("name") - 1).alias("key"))
-    rows = materialize(shared.unionByName(clash).join(named, "name").select("doc_id", "key").distinct(), "keys")
+    named = classes.select(F.col("print_a").bitwiseAND(F.lit(0xFFFFFFFF)).alias("name"), F.col("rep").alias("doc_id"), "side", "spare", "spare_next")
+    named = named.withColumn("same", F.count("*").over(Window.partitionBy("name")))
+    # different sets of one name would hide each other, so their name is a key of its own, and they leave out no key
+    clash = named.where("same > 1").select("doc_id", (-F.col("name") - 1).alias("key"), F.lit(True).alias("own"))
+    own = F.col("key").bitwiseAND(1) == F.col("side")
+    most_frequent = Window.partitionBy("name", own).orderBy(F.desc("sets"), "key")
+    rare = shared.join(named, "name").withColumn("nth", F.row_number().over(most_frequent)).withColumn("own", own)
+    rare = rare.where((F.col("same") > 1) | (F.col("nth") > F.when(F.col("own"), F.col("spare")).otherwise(F.col("spare_next"))))
+    rows = materialize(rare.select("doc_id", "key", "own").unionByName(clash).distinct(), "keys")
     discard(shared)
     # the member nearest to the key in XOR distance is the hub: another one for each key
     spot = F.col("doc_id").bitwiseXOR(F.col("key"))
-    span = rows.groupBy("key").agg(F.min(spot).alias("low"), F.max(spot).alias("high")).where("low <> high")
+    span = rows.groupBy("key").agg(F.min(spot).alias("low"), F.max(spot).alias("high"), F.max("own").alias("some")).where("low <> high and some")  # two sets that both are of the band before meet there
     hubs = span.select("key", F.col("low").bitwiseXOR(F.col("key")).alias("hub"))
     buckets = materialize(rows.join(hubs, "key"), "buckets")
     discard(rows)
@@ -377,8 +409,8 @@ def _components(docs: DataFrame, k: int, num: int, den: int) -> DataFrame:
         return found
 
     def unconnected(members: DataFrame, labels: DataFrame) -> DataFrame:
-        """Members (key, doc_id, component, base) of the keys that still hold several components, base being one of them."""
-        member = members.join(labels.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("key", "doc_id", F.coalesce("component", "doc_id").alias("component"))
+        """Members (key, doc_id, own, component, base) of the keys that still hold several components, base being one of them."""
+        member = members.join(labels.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("key", "doc_id", "own", F.coalesce("component", "doc_id").alias("component"))
         split = member.groupBy("key").agg(F.min("component").alias("base"), F.max("component").alias("top")).where("base <> top").select("key", "base")
         return materialize(member.join(split, "key"), "open")
 
@@ -398,9 +430,9 @@ def _components(docs: DataFrame, k: int, num: int, den: int) -> DataFrame:
     # members of different components are paired, where the sketches don't rule them out
     open_ = unconnected(buckets, labels)
     marked = open_.join(marks, "doc_id")
-    stray = marked.where("component <> base").select("key", F.col("doc_id").alias("u"), F.col("component").alias("cu"), *left)
-    other = marked.select("key", F.col("doc_id").alias("v"), F.col("component").alias("cv"), *right)
-    rest = stray.join(other, (stray["key"] == other["key"]) & (F.col("cu") != F.col("cv")) & possible("nu", "nv", "ku", "kv"))
+    stray = marked.where("component <> base").select("key", F.col("doc_id").alias("u"), F.col("component").alias("cu"), F.col("own").alias("ou"), *left)
+    other = marked.select("key", F.col("doc_id").alias("v"), F.col("component").alias("cv"), F.col("own").alias("ov"), *right)
+    rest = stray.join(other, (stray["key"] == other["key"]) & (F.col("cu") != F.col("cv")) & (F.col("ou") | F.col("ov")) & possible("nu", "nv", "ku", "kv"))
     rest = rest.select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).distinct().join(first, ["u", "v"], "left_anti")
     rest = materialize(sifted(rest), "pairs")
     if rest.limit(1).count():

@@ -288,3 +288,39 @@ def test_only_texts_of_few_pairs_go_to_python_and_in_short_batches(spark, monkey
     got = ngram_join.jaccard_components(spark.createDataFrame(rows, DOCS), 3, 9, 10)
     assert {(r["doc_id"], r["component_id"]) for r in got.collect()} == {(1, 1), (2, 1), (3, 3), (4, 4)}
     assert seen == {str(ngram_join.BATCH)} and spark.conf.get(shared.BATCH_ROWS) == own
+
+
+def test_linked_sets_share_a_key_that_neither_leaves_out():
+    """Whatever the order of keys, linked sets keep a common one when each leaves out as many of the first as it may."""
+    rng = np.random.default_rng(5)
+    for bands in (ngram_join.Bands(9, 10), ngram_join.Bands(4, 5), ngram_join.Bands(1, 2)):
+        for n in (2, 5, 10, 19, 30, 95, 400, 1500):
+            base = np.unique(rng.integers(0, 1 << 63, n).astype(np.uint64))
+            for _ in range(20):
+                gone, more = (int(rng.integers(0, max(2, n * (bands.den - bands.num) // bands.den + 2))) for _ in range(2))
+                other = np.unique(np.concatenate([base[rng.permutation(len(base))[gone:]], rng.integers(0, 1 << 63, more).astype(np.uint64)]))
+                both, union = len(np.intersect1d(base, other)), len(np.union1d(base, other))
+                if both == union or not len(other) or bands.den * both < bands.num * union:
+                    continue
+                common = np.intersect1d(ngram_join.piece_keys(base, bands), ngram_join.piece_keys(other, bands))
+                kept = []
+                for s in (base, other):
+                    keys, (side, *spare) = ngram_join.piece_keys(s, bands), ngram_join.spare_keys(len(s), bands)
+                    for bit in (0, 1):  # the common keys first: the worst order for them
+                        of_band = sorted((int(x) for x in keys if int(x) & 1 == bit), key=lambda x: (x not in common, x))
+                        kept += of_band[spare[bit != side] :]
+                assert len(kept) > len(set(kept))
+
+
+def test_a_passage_of_unlinked_texts_brings_few_of_them_together(spark, monkeypatch):
+    """Texts that share a short passage and nothing else leave out the keys that it gives them; the linked ones among them are found."""
+    rng = random.Random(6)
+    word = lambda: "".join(rng.choice("abcdefghij") for _ in range(5))
+    line = " ".join(word() for _ in range(12))
+    rows = [(i, f"{line} {' '.join(word() for _ in range(180 + i % 30))}") for i in range(150)]
+    rows += [(1000 + i, rows[i][1] + " " + word()) for i in range(5)]
+    met = {}
+    monkeypatch.setattr(ngram_join, "materialize", lambda df, name, f=shared.materialize: (out := f(df, name), met.setdefault(name, out.count()))[0])
+    got = ngram_join.jaccard_components(spark.createDataFrame([(i, t, "s", 1) for i, t in rows], DOCS), 5, 4, 5)
+    assert sorted(map(tuple, got.collect())) == brute(rows, 5, 4, 5)
+    assert met["buckets"] < 5 * len(rows), met

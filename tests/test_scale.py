@@ -182,3 +182,36 @@ def test_dot_join_goes_through_cells(spark, data, monkeypatch):
     got = joins.QUERIES["dot_join"](spark, data)
     assert "InArrow" in got._jdf.queryExecution().executedPlan().toString() and got.columns == ["r_id", "s_id", "score"]
     assert sorted(map(tuple, got.collect())) == want and want
+
+
+@pytest.mark.parametrize("weight", ["id % 3 + 1", "(id % 3 + 1) / 4.0"])
+def test_every_candidate_is_streamed_out_of_cells(spark, monkeypatch, weight):
+    """The candidates of both R-blocks and their whole scores, heads added, come out of cells; vectors may span batches."""
+    kind = "double" if "/" in weight else "long"
+    r = spark.range(700).select(F.expr("cast(id % 20 div 10 as int) as rb"), F.expr("id % 20 as r_id"), F.expr("id % 13 * 7 as d"), F.expr(f"{weight} as w")).groupBy("rb", "r_id", "d").agg(F.sum(F.col("w").cast(kind)).alias("w"))
+    s = r.where("d > 7 and (r_id + d) % 4 > 0").select((F.col("r_id") + 5).alias("s_id"), "d", "w")
+    kth = r.select("rb", "r_id").distinct().withColumn("kth_score", F.lit(100 if kind == "long" else 6).cast(kind))
+
+    def rows(**how):
+        found = pruned.pruned_block(r, s, kth, pruned.block_dimstats(r), pruned.PruneOptions(precheck=False), **how)
+        return sorted((x.rb, x.r_id, x.s_id, round(x.score, 6)) for x in found.select("rb", "r_id", "s_id", "score").collect())
+
+    want = rows()
+    heads = pruned.split_features(s, pruned.block_dimstats(r), pruned.block_floors(kth)).where("not is_tail").count()
+    own = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
+    monkeypatch.setattr(pruned, "partial_scores", lambda *a: pytest.fail("sums of pairs are shuffled"))
+    monkeypatch.setattr("sparse_neighbors.operators.pair_cells.PAIRS", 50)
+    try:
+        for size in ("7", "10000"):
+            spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", size)
+            assert rows(grid=(2, 3), every=True) == want and want and heads
+    finally:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", own)
+
+
+def test_pruned_candidates_goes_through_cells(spark, data, monkeypatch):
+    want = sorted(map(tuple, joins.QUERIES["pruned_candidates"](spark, data).collect()))
+    monkeypatch.setattr(inverted, "cells", lambda r, s, most=None: (2, 3))
+    got = joins.QUERIES["pruned_candidates"](spark, data)
+    assert "InArrow" in got._jdf.queryExecution().executedPlan().toString() and got.columns == ["rb", "r_id", "s_id", "score"]
+    assert sorted(map(tuple, got.collect())) == want and want

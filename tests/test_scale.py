@@ -215,3 +215,18 @@ def test_pruned_candidates_goes_through_cells(spark, data, monkeypatch):
     got = joins.QUERIES["pruned_candidates"](spark, data)
     assert "InArrow" in got._jdf.queryExecution().executedPlan().toString() and got.columns == ["rb", "r_id", "s_id", "score"]
     assert sorted(map(tuple, got.collect())) == want and want
+
+
+@pytest.mark.parametrize("name", ["dot_probe", "dot_merge", "udf_arrow_dot"])
+def test_packed_pairs_are_not_shuffled(spark, data, monkeypatch, name):
+    """Pairs leave the cells with the features of s, and R's packed features are broadcast: the exchanges are below the cells and for R."""
+    from sparse_neighbors.operators import pair_cells
+
+    want = sorted(map(tuple, joins.QUERIES[name](spark, data).collect()))
+    monkeypatch.setattr(inverted, "cells", lambda r, s, most=None: (2, 3))
+    monkeypatch.setattr(pair_cells, "PAIRS", 50)
+    monkeypatch.setattr(joins.similarity, "join_dot", lambda *a: pytest.fail("pairs are shuffled"))
+    got = joins.QUERIES[name](spark, data)
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    assert "MapInArrow" in plan and "BroadcastHashJoin" in plan and "SortMergeJoin" not in plan
+    assert sorted(map(tuple, got.collect())) == want and want
